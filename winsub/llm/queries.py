@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from winsub.llm import op01_exact_dedup
+from winsub.llm import op01_exact_dedup, op05_transport_stream, op08_token_counts
 
 QUERIES = {
     "op1_exact_dedup": op01_exact_dedup.query,
+    "op5_transport_stream": op05_transport_stream.query,
+    "op8_token_counts": op08_token_counts.query,
 }
 ORACLES = {
     "op1_exact_dedup": op01_exact_dedup.ORACLE,
