@@ -30,8 +30,8 @@ from pyspark.sql import functions as F
 
 from winsub.llm.common import table
 
-#: Entries of the remembered tables before they are emptied.
-REMEMBERED = 400_000
+#: Entries of the remembered tables (words and pairs, units) before they are emptied.
+REMEMBERED, UNITS = 300_000, 1_000_000
 
 # The pre-token pattern of the byte-level vocabulary.
 PATTERN = regex.compile(
@@ -62,7 +62,13 @@ class PrefixCounter:
         self.made = {}
         for (a, b), k in self.rank.items():
             self.made.setdefault(a + b, (a, b, k))
-        self.longest = max(map(len, self.vocab))
+        sizes: dict[bytes, set[int]] = {}
+        for t in self.vocab:
+            if len(t) > 2:
+                sizes.setdefault(t[-3:], set()).add(len(t))
+        #: Lengths of tokens by their last three bytes, longest first.
+        self.sizes = {t: (*sorted(n, reverse=True), 2, 1) for t, n in sizes.items()}
+        self.words: dict[str, int] = {}
         self.split_special = re.compile("|".join(map(re.escape, self.special))) if self.special else None
         self.pairs: dict[tuple[bytes, bytes], bool] = {}
         self.units: dict[str, int] = _Units(self)
@@ -121,10 +127,13 @@ class PrefixCounter:
 
     def table(self, word: bytes) -> list[int]:
         """count[i]: exact tokens of word[:i], for every byte prefix of one pre-token."""
-        n, vocab, longest, fits, pairs = len(word), self.vocab, self.longest, self.fits, self.pairs
+        n, vocab, sizes, fits, pairs = len(word), self.vocab, self.sizes, self.fits, self.pairs
         last, count = [b""] * (n + 1), [0] * (n + 1)
         for i in range(1, n + 1):
-            for j in range(max(0, i - longest), i):
+            for size in sizes.get(word[i - 3 : i] if i > 2 else b"", (2, 1)):
+                j = i - size
+                if j < 0:
+                    continue
                 token = word[j:i]
                 if token in vocab:
                     known = pairs.get((last[j], token))
@@ -133,9 +142,26 @@ class PrefixCounter:
                         break
         return count
 
+    def _letters(self, word: str) -> int:
+        """Tokens of a pre-token of letters; remembered."""
+        found = self.words.get(word)
+        if found is None:
+            if len(self.words) >= REMEMBERED:
+                self.words.clear()
+            found = self.words[word] = self.table(word.encode())[-1]
+        return found
+
     def _plain(self, text: str) -> int:
         return sum(self.table(w.encode())[-1] for w in PATTERN.findall(text))
 
+    def _unit(self, unit: str) -> int:
+        """Tokens of " " + unit."""
+        if unit.isalpha():
+            return self.table(b" " + unit.encode())[-1] if len(unit) < 64 else self._plain(" " + unit)
+        if unit[-1] in ".,;:?!" and unit[:-1].isalpha():
+            return self._letters(" " + unit[:-1]) + 1
+        return self._plain(" " + unit)
+
     def count(self, text: str) -> int:
         """Tokens of the whole text."""
         if self.split_special and any(s in text for s in self.special):
@@ -199,9 +225,9 @@ class _Units(dict):
     def __missing__(self, unit: str) -> int:
         if not unit or unit[0].isspace():
             raise LookupError(unit)
-        if len(self) >= REMEMBERED:
+        if len(self) >= UNITS:
             self.clear()
-        found = self.counter._plain(" " + unit)
+        found = self.counter._unit(unit)
         if len(unit) < 64:
             self[unit] = found
         return found
