@@ -97,7 +97,7 @@ class DoubleArray:
                     groups.append((b, i, i + 1))
             if not groups:
                 continue
-            at = max(0, len(self.check) - 512)  # holes further back are left: the search stays short
+            at = max(0, len(self.check) - 128)  # holes further back are left: the search stays short
             while any((s := at + b + 1) < len(self.check) and self.check[s] >= 0 for b, _, _ in groups):
                 at += 1
             need = at + groups[-1][0] + 2 - len(self.check)
