@@ -141,3 +141,60 @@ def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     total[0] = 0
     np.cumsum(_BYTE_LOWER[data] * up[:n], out=total[1:])
     return starts, ends, mix64((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+
+
+def spaced(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The rows' bytes with a blank after each row, and where rows begin."""
+    sizes = np.diff(offsets)
+    begin = np.concatenate([[0], np.cumsum(sizes + 1)])
+    out = np.full(begin[-1], 32, np.uint8)
+    keep = np.ones(begin[-1], bool)
+    keep[begin[1:] - 1] = False
+    out[keep] = data[offsets[0] : offsets[-1]]
+    return out, begin
+
+
+def blocks(data: np.ndarray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int]]:
+    """Ranges of about ``limit`` bytes that end at white space (or at the end)."""
+    at = 0
+    while at < len(data):
+        to = min(len(data), at + limit)
+        while to < len(data):
+            gap = np.flatnonzero(_SPACE[data[to : to + 4096]])
+            if len(gap):
+                to += int(gap[0])
+                break
+            to = min(len(data), to + 4096)
+        yield at, to
+        at = to
+
+
+def shingle_sets(data: np.ndarray, offsets: np.ndarray, words: int = 5) -> list[np.ndarray]:
+    """Sorted distinct 64-bit hashes of each row's shingles of ``words`` lower-cased words.
+
+    A row with fewer words has one shingle, its whole sequence; without words, none.
+    """
+    text, begin = spaced(data, offsets)
+    place, value = [np.empty(0, np.int64)], [np.empty(0, np.uint64)]
+    for at, to in blocks(text):
+        starts, _, found = word_hashes(text[at:to])
+        place.append(starts + at)
+        value.append(found)
+    place, value = np.concatenate(place), np.concatenate(value)
+    first = np.searchsorted(place, begin)
+    n = max(0, len(value) - words + 1)
+    h = np.zeros(n, np.uint64)
+    for k in range(words):
+        h = mix64(h * _MULT + value[k : k + n])
+    out = []
+    for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
+        if b - a >= words:
+            out.append(np.unique(h[a : b - words + 1]))
+        elif b > a:
+            short = np.full(1, b - a, np.uint64)
+            for v in value[a:b]:
+                short = mix64(short * _MULT + v)
+            out.append(short)
+        else:
+            out.append(np.empty(0, np.uint64))
+    return out
