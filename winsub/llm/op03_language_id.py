@@ -202,3 +202,17 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     found = predict(docs, fit(training_rows(docs)))
     return found.select("doc_id", (fold("doc_id", 4) == 2).alias("held_out"), "lang_pred", "score", "languages")
+
+
+def kept_documents(docs: DataFrame, model: Model) -> DataFrame:
+    """The rows whose language can be told, all columns; texts without a letter go."""
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            data, offsets = utf8(b.column(at))
+            for i, j in slices(offsets):
+                names, _, _ = model.predict(data, offsets[i : j + 1])
+                yield b.slice(i, j - i).filter(pa.array([x != "und" for x in names], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -167,3 +167,16 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     model = fit(docs.where(fold("doc_id", 4) != 2), labels.where(fold("doc_id", 4) != 2))
     return score(docs, model).select("doc_id", (fold("doc_id", 4) == 2).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
+
+
+def kept_documents(docs: DataFrame, model: Attention, least: float = 0.5) -> DataFrame:
+    """The rows that are likelier of good quality than not, all columns."""
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            data, offsets = utf8(b.column(at))
+            for i, j in slices(offsets):
+                yield b.slice(i, j - i).filter(pa.array(model.score(data, offsets[i : j + 1]) >= least, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
