@@ -22,6 +22,7 @@ from __future__ import annotations
 
 import os
 import struct
+import unicodedata
 import zlib
 from collections.abc import Iterator
 
@@ -35,30 +36,67 @@ from winsub.llm.common import stage, table
 
 CAPACITY, END_ID, TOLERANCE = 4096, 2, 4
 #: Words whose ids a worker remembers before it starts afresh.
-REMEMBERED = 400_000
+REMEMBERED = 1_200_000
 
 CUT_SCHEMA = "doc_id long, doc_tokens long, full_crc array<long>, rem int, rem_crc long, part_crc array<long>, part int, full_rank long, rank long"
 
 
 class Words:
-    """Ids of words as little-endian 32-bit bytes; tokens never cross ASCII white space."""
+    """Ids of words as little-endian 32-bit bytes; tokens never cross ASCII white space.
+
+    The vocabulary is lower case, so words are remembered in lower case (unless a special
+    string may stand in the text).  A new word of Latin letters goes to the merging model
+    directly, punctuation after it apart; any other word through the whole tokenizer.
+    """
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {}
+        self.tokenizer, self.known, self.tails = Tokenizer.from_file(path), {}, {}
+        self.model = self.tokenizer.model
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        rest = [x for x in range(256) if x not in set(plain)]
+        self.letters = {x: chr(x) for x in plain} | {x: chr(256 + k) for k, x in enumerate(rest)}
+
+    def _letters(self, stem: bytes) -> bytes | None:
+        """Ids of one run of letters, if it is one that needs no normalising."""
+        if stem.isalpha():
+            text = stem.decode()
+        else:
+            word = stem.decode()
+            if not word.isalpha() or max(word) >= "\u0250" or "\u0130" in word or not unicodedata.is_normalized("NFC", word):
+                return None
+            text = word.lower().encode().decode("latin-1").translate(self.letters)
+        return np.array([t.id for t in self.model.tokenize(text)], "<u4").tobytes()
+
+    def _encode(self, words: list[bytes]) -> list[bytes]:
+        found = self.tokenizer.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)
+        return [np.array(e.ids, "<u4").tobytes() for e in found]
 
     def ids(self, texts: list[bytes]) -> list[bytes]:
-        split = [t.split() for t in texts]
+        split = [(t if b"<|" in t else t.lower()).split() for t in texts]
         if len(self.known) > REMEMBERED:
             self.known.clear()
-        known = self.known
-        new = list(set().union(*split).difference(known))
-        for i in range(0, len(new), 4096):
-            part = new[i : i + 4096]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False), strict=True):
-                known[w] = np.array(e.ids, "<u4").tobytes()
+        known, tails, odd = self.known, self.tails, []
+        for w in set().union(*split).difference(known):
+            stem = w.rstrip(b".,;:!?")
+            found = known.get(stem) if stem[-1:].isalnum() else None
+            if found is None and stem and stem == stem.lower():
+                found = self._letters(stem)
+            if found is None:
+                odd.append(w)
+                continue
+            known[stem] = found
+            if len(stem) < len(w):
+                tail = w[len(stem) :]
+                if tail not in tails:
+                    if len(tails) > 10_000:
+                        tails.clear()
+                    tails[tail] = self._encode([tail])[0]
+                known[w] = found + tails[tail]
+        for i in range(0, len(odd), 4096):
+            known.update(zip(odd[i : i + 4096], self._encode(odd[i : i + 4096]), strict=True))
         return [b"".join(map(known.__getitem__, words)) for words in split]
 
 
