@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from winsub.llm.common import table
 
 MARK = "▁"
-REMEMBERED = 300_000
+REMEMBERED = 1_000_000
 #: Added to the lowest score for a character without a piece.
 UNKNOWN_PENALTY = -10.0
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # fixed values: piece types
