@@ -8,15 +8,15 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
-from pyspark.sql.types import LongType, StringType, StructField, StructType
+from pyspark.sql.types import ArrayType, LongType, StringType, StructField, StructType
 
 from winsub.kernel.scan import native_find
 from winsub.kernel.window_index import WindowIndex
 
-TAIL = "struct<start: bigint, len: bigint, kind: string, twin: bigint, period: bigint>"
+TAIL = StructType([StructField(x, StringType() if x == "kind" else LongType()) for x in ("start", "len", "kind", "twin", "period")])
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(ArrayType(LongType()))
 def substr_positions(text: pd.Series, pattern: pd.Series) -> pd.Series:
     """All places of a pattern; null for a null text or pattern."""
 
@@ -45,7 +45,7 @@ def window_tail(text: pd.Series) -> pd.DataFrame:
     return pd.DataFrame(rows, columns=["start", "len", "kind", "twin", "period"]).astype({"start": "Int64", "len": "Int64", "twin": "Int64", "period": "Int64"})
 
 
-@F.pandas_udf("bigint")
+@F.pandas_udf(LongType())
 def tail_agg(seq: pd.Series, sym: pd.Series) -> int:
     """Tail length of a group's symbols in the order of ``seq``."""
     return WindowIndex(max(1, len(sym))).extend(sym.iloc[seq.argsort(kind="stable")]).tail_len
