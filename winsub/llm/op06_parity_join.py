@@ -13,9 +13,13 @@ sketch, a block for every hash.
 
 Keys are not expanded into pairs.  Each member of a key's group is first compared with the
 group's smallest set; one parity bit per shingle gives a bit sketch whose Hamming distance
-must be within the bound before texts are fetched and compared exactly.  Connected
-documents are contracted, and only members of different components that still share a key
-are compared further, in blocks of ``CHUNK`` members, again by Hamming distance first.
+must be within the bound before texts are fetched and compared exactly.  This settles
+groups of two.  Documents emit ``slack(n)`` more keys than needed, so linked documents share
+that many more: one with no more keys in groups of three and above than its partners have
+slack shares a group of two with each of them and is settled.  Of the others, connected
+ones are contracted, further leaders of the groups are tried for ``ROUNDS`` rounds, and only
+members of different components that still share a key are compared, in blocks of
+``CHUNK`` members, again by Hamming distance first.
 
 Equality of shingles and blocks is that of 64-bit hashes.  A document with n >= 64
 shingles has fewer than D+1 non-empty blocks with a probability below 1e-9; the writer
@@ -32,7 +36,6 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -40,7 +43,7 @@ from pyspark.sql import functions as F
 from winsub.llm.common import mix64, shingle_sets, slices, stage, table, utf8
 from winsub.llm.components import components
 
-SMALL, CHUNK, HEAVY = 64, 1024, 4096
+SMALL, CHUNK, HEAVY, ROUNDS = 64, 1024, 4096, 2
 #: Digests a worker remembers to skip copies inside its partition; bits of the text filter.
 REMEMBERED, FILTER_BITS = 200_000, 1 << 22
 
@@ -50,9 +53,14 @@ def bound(a, b):
     return (a + b) // 7
 
 
+def slack(n):
+    """Keys emitted beyond those that the bound asks for."""
+    return n // 16
+
+
 def width(n: int) -> int:
-    """Bits of the bit sketch: about four to eight for each shingle."""
-    return 1 << max(6, (4 * n - 1).bit_length()) if n else 64
+    """Bits of the bit sketch: two to four for each shingle, half of that for large sets."""
+    return 1 << max(6, ((2 if n <= 1024 else 1) * n - 1).bit_length()) if n else 64
 
 
 def bit_sketch(hashes: np.ndarray) -> np.ndarray:
@@ -89,7 +97,7 @@ def keys(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
     n, out = len(hashes), []
     hot = _is_heavy(hashes, heavy)
     if 3 * n < 4 * SMALL:  # a partner, or the document, may be small
-        out.append(_first(mix64(hashes), hot, n // 4 + 1))
+        out.append(_first(mix64(hashes), hot, n // 4 + 1 + slack(n)))
     if n >= SMALL:
         m = 1 << (n - 1).bit_length()
         bands = [(m, bound(n, m))] + ([(2 * m, n // 3)] if 4 * n >= 3 * (m + 1) else [])
@@ -99,9 +107,9 @@ def keys(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
             begin = np.flatnonzero(np.diff(block[order], prepend=-1))
             word = np.bitwise_xor.reduceat(hashes[order], begin)
             element = mix64(word ^ mix64((block[order[begin]] + blocks).astype(np.uint64)))
-            if len(element) <= most:
+            if len(element) <= most + slack(n):
                 raise ValueError(f"{len(element)} blocks for {n} shingles")
-            out.append(_first(element, np.logical_and.reduceat(hot[order], begin), most + 1))
+            out.append(_first(element, np.logical_and.reduceat(hot[order], begin), most + 1 + slack(n)))
     return np.concatenate(out) if out else np.empty(0, np.uint64)
 
 
@@ -193,16 +201,15 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
-def _cross(group: pd.DataFrame) -> pd.DataFrame:
+def _block(group: dict[str, np.ndarray], sketches: list[bytes]) -> list[tuple[int, int]]:
     """Pairs of different components in one block of a key's members, by Hamming distance."""
-    n, label, rep = group["n"].to_numpy(np.int64), group["label"].to_numpy(np.int64), group["rep"].to_numpy(np.int64)
-    chunk, low = group["chunk"].to_numpy(), group["low"].to_numpy()[0]
-    same = group["low"].to_numpy()[0] == group["high"].to_numpy()[0]
-    words = np.array([len(s) // 8 for s in group["sketch"]])
+    n, label, rep, chunk = (group[x] for x in ("n", "label", "rep", "chunk"))
+    low, same = group["low"][0], group["low"][0] == group["high"][0]
+    words = np.array([len(s) // 8 for s in sketches])
     found = []
     for w in np.unique(words):
         wide = np.flatnonzero((words == w) | (words == 2 * w))
-        m = np.stack([halve(np.frombuffer(group["sketch"].iloc[i], np.uint64), w) for i in wide])
+        m = np.stack([halve(np.frombuffer(sketches[i], np.uint64), w) for i in wide])
         for k, i in enumerate(wide):
             if words[i] != w:
                 continue
@@ -215,7 +222,45 @@ def _cross(group: pd.DataFrame) -> pd.DataFrame:
                 far = np.bitwise_count(m[at] ^ m[k]).sum(axis=1)
                 hit = wide[at[far <= bound(n[wide[at]], n[i])]]
                 found += [(min(rep[i], rep[j]), max(rep[i], rep[j])) for j in hit]
-    return pd.DataFrame(sorted(set(found)), columns=["a", "b"], dtype="int64")
+    return found
+
+
+_BLOCK = ["key", "low", "high", "chunk", "rep", "n", "label"]
+
+
+def _cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """``_block`` of each run of equal (key, low, high); a run has about 2 * CHUNK rows."""
+    held, seen = None, set()
+
+    def pairs(rows: pa.Table) -> Iterator[tuple[int, int]]:
+        columns = {x: rows[x].to_numpy() for x in _BLOCK}
+        sketches = rows["sketch"].to_pylist()
+        new = np.flatnonzero((np.diff(columns["key"], prepend=0) != 0) | (np.diff(columns["low"], prepend=-1) != 0) | (np.diff(columns["high"], prepend=-1) != 0))
+        for i, j in zip(new, np.append(new[1:], rows.num_rows), strict=True):
+            if columns["label"][i:j].min() < columns["label"][i:j].max():
+                yield from _block({x: c[i:j] for x, c in columns.items()}, sketches[i:j])
+
+    def out(rows: pa.Table) -> pa.RecordBatch:
+        found = set(pairs(rows)) - seen
+        if len(seen) > 1_000_000:
+            seen.clear()
+        seen.update(found)
+        a, b = zip(*found, strict=True) if found else ((), ())
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    for b in batches:
+        rows = pa.Table.from_batches([b])
+        held = rows if held is None else pa.concat_tables([held, rows])
+        last = [held[x][-1].as_py() for x in ("key", "low", "high")]
+        inside = np.ones(held.num_rows, bool)
+        for x, v in zip(("key", "low", "high"), last, strict=True):
+            inside &= held[x].to_numpy() == v
+        cut = len(inside) - int(np.argmin(inside[::-1])) if not inside.all() else 0  # where the last run begins
+        if cut:
+            yield out(held.slice(0, cut))
+            held = held.slice(cut).combine_chunks()
+    if held is not None and held.num_rows:
+        yield out(held)
 
 
 class Join:
@@ -285,24 +330,48 @@ class Join:
         pairs = pairs.join(m.select(F.col("doc_id").alias("leader"), F.col("rep").alias("y")), "leader")
         return pairs.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
+    def _unsettled(self, keyed: DataFrame) -> DataFrame:
+        """(key, rep, n) of the classes that groups of two don't settle."""
+        more = keyed.where("key is not null")
+        more = more.select("key", "doc").unionByName(more.select("key", F.col("leader").alias("doc"))).distinct()
+        more = stage(more.join(self.member.select(F.col("doc_id").alias("doc"), "rep", "n"), "doc"), "common")
+        # The least slack of a partner: 3/4 of the set's size.
+        many = more.groupBy("doc").agg(F.count(F.lit(1)).alias("keys"), F.max("n").alias("n")).where("keys > floor(ceil(0.75 * n) / 16)").select("doc")
+        rows = more.join(many, "doc", "left_semi").select("key", "rep", "n").distinct()
+        shared = rows.groupBy("key").agg((F.min("rep") < F.max("rep")).alias("open")).where("open").select("key")
+        return stage(rows.join(shared, "key", "left_semi"), "unsettled")
+
+    @staticmethod
+    def _open(rows: DataFrame, label: DataFrame) -> DataFrame:
+        """Rows with their components' labels, of keys that more than one component has."""
+        rows = rows.join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("label", "rep").alias("label"))
+        by = Window.partitionBy("key")
+        return rows.withColumn("l", F.min("label").over(by)).withColumn("h", F.max("label").over(by)).where("l < h").drop("l", "h")
+
     def links(self) -> DataFrame:
         """Links of classes that connect all components: (a, b)."""
         keyed = self.keyed()
-        first = self.verified(self._classes(keyed.select("doc", "leader").distinct()), near=True)
-        label = components(first)
-        more = keyed.where("key is not null")
-        more = more.select("key", "doc").unionByName(more.select("key", F.col("leader").alias("doc"))).distinct()
-        more = more.join(self.member.select(F.col("doc_id").alias("doc"), "rep"), "doc")
-        more = more.join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label")).distinct()
-        more = stage(more, "grouped")
-        open_ = more.groupBy("key").agg(F.min("label").alias("l"), F.max("label").alias("h"), F.count(F.lit(1)).alias("size")).where("l <> h and size > 2").select("key", "size")
-        rows = more.join(open_, "key").join(self.sketch, "rep")
-        rows = rows.withColumn("chunk", ((F.row_number().over(Window.partitionBy("key").orderBy("n", "rep")) - 1) / CHUNK).cast("int"))
-        other = F.explode(F.sequence(F.lit(0), F.ceil(F.col("size") / CHUNK).cast("int") - 1)).alias("other")
-        rows = rows.select("key", "rep", "n", "label", "sketch", "chunk", other)
-        rows = rows.select("key", "rep", "n", "label", "sketch", "chunk", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"))
-        pairs = rows.groupBy("key", "low", "high").applyInPandas(_cross, "a long, b long").distinct()
-        return first.unionByName(self.verified(pairs, near=False))
+        found = self.verified(self._classes(keyed.select("doc", "leader").distinct()), near=True)
+        label = components(found)
+        rows = self._unsettled(keyed)
+        for k in range(ROUNDS):
+            left = self._open(rows, label)
+            lead = F.min(F.struct(F.xxhash64("rep", F.lit(k)).alias("h"), "rep", "label")).over(Window.partitionBy("key"))
+            pairs = left.withColumn("lead", lead).where("label <> lead.label")
+            pairs = pairs.select(F.least("rep", "lead.rep").alias("a"), F.greatest("rep", "lead.rep").alias("b")).distinct()
+            found = found.unionByName(self.verified(pairs, near=True))
+            label = components(found)
+        left = self._open(rows, label).join(self.sketch.select("rep", "sketch"), "rep")
+        by = Window.partitionBy("key")
+        # Keys of one cluster mostly have the same least member: their runs meet in one task,
+        # which then gives each pair once.  A document's place in a large group is its own.
+        parts = F.expr(f"cast(power(2, greatest(0, ceil(log2(size / {CHUNK})))) as int)")
+        left = left.withColumn("size", F.count(F.lit(1)).over(by)).withColumn("home", F.min(F.xxhash64("rep")).over(by))
+        left = left.withColumn("chunk", F.pmod(F.xxhash64("rep"), parts).cast("int"))
+        left = left.select("*", F.explode(F.sequence(F.lit(0), parts - 1)).alias("other"))
+        left = left.select("home", "key", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"), "chunk", "rep", "n", "label", "sketch")
+        runs = left.repartition("home", "low", "high").sortWithinPartitions("home", "low", "high", "key").drop("home")
+        return found.unionByName(self.verified(runs.mapInArrow(_cross, "a long, b long"), near=False))
 
     def components(self) -> DataFrame:
         """doc_id, n_shingles, component_id of every row."""
