@@ -12,7 +12,7 @@ from winsub.plans import planner
 from winsub.sources.adapters import assemble, chunks, encode_symbols, family, symbols, texts
 from winsub.sources.readers import load, load_text, register_source
 from winsub.sources.sinks import save_parquet, to_memory, upsert_batches
-from winsub.streaming.live import counts, live_locate, once, state_store
+from winsub.streaming.live import counts, live_locate, near_events, once, reordered, state_store
 
 ODD = [("a", "a%_b'\"\n\\E.*(?=ü)𝒳ü𝒳"), ("b", ""), ("c", None), (None, "x"), ("d", "ab" * 40), ("e", "x")]
 
@@ -157,3 +157,28 @@ def test_event_time_streams(spark, sf_dir, tmp_path):
         q = to_memory(counts(events, "ts", "1 hour", **options), f"counts{k}", f"{tmp_path}/w{k}")
         q.awaitTermination()
         assert spark.table(f"counts{k}").count() > 0
+
+
+def test_reordered_symbols_and_late_ones(spark, tmp_path):
+    schema = "stream_id string, ts timestamp, seq bigint, payload string"
+    at = lambda s: f"2024-01-01 00:{s // 60:02d}:{s % 60:02d}"
+    for k, batch in enumerate([[(5, "b"), (1, "a"), (9, "d")], [(7, "c"), (60, "e")], [(2, "late"), (200, "f")], [(400, "g")]]):
+        rows = spark.createDataFrame([("s", at(s), s, p) for s, p in batch], "stream_id string, ts string, seq bigint, payload string").withColumn("ts", F.col("ts").cast("timestamp"))
+        rows.coalesce(1).write.mode("append").parquet(f"{tmp_path}/{k}")
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/[0-9]")
+    with state_store(spark):
+        to_memory(reordered(stream, "10 seconds"), "ordered", f"{tmp_path}/c").awaitTermination()
+    got = spark.table("ordered").collect()
+    assert [r.payload for r in got if not r.late][:5] == list("abcde") and [r.payload for r in got if r.late] == ["late"]
+
+
+def test_stream_stream_join(spark, sf_dir, tmp_path):
+    from winsub.sources.readers import stream_table
+
+    events = stream_table(spark, sf_dir, "events").select("user_id", "ts", "event_type", "event_id")
+    a, b = events.where("event_type = 'purchase'"), events.where("event_type = 'error'")
+    joined = near_events(a, b, "user_id", "10 minutes").select(F.col("a.event_id").alias("x"), F.col("b.event_id").alias("y"))
+    to_memory(joined, "met", f"{tmp_path}/j").awaitTermination()
+    e = load(spark, sf_dir, "events")
+    want = e.where("event_type = 'purchase'").alias("a").join(e.where("event_type = 'error'").alias("b"), F.expr("a.user_id = b.user_id and b.ts between a.ts - interval 10 minutes and a.ts + interval 10 minutes"))
+    assert spark.table("met").count() == want.count()

@@ -57,6 +57,8 @@ def locate(windows: DataFrame, queries: DataFrame, method: str = "auto", rule: s
         raise ValueError("an empty pattern")
     windows = windows.where("win_text is not null and stream_id is not null")
     sent = sendable(queries)
+    if parallel == "segment":
+        return _by_segment(windows, queries, sent)
     if method == "auto":
         size = windows.agg(F.avg(F.length("win_text"))).first()[0] or 1
         method = "catalyst" if sent is not None and len(sent) <= 8 else choose_method(len(sent) if sent else 1, size)
@@ -79,6 +81,12 @@ def locate(windows: DataFrame, queries: DataFrame, method: str = "auto", rule: s
     else:
         pairs = windows.join(queries.where("pattern is not null").select("stream_id", "query_id", "pattern"), "stream_id").where("length(pattern) <= length(win_text)")
 
+    return _paired(pairs, method, rule, ancestor, children)
+
+
+def _paired(pairs: DataFrame, method: str, rule: str, ancestor: str, children: str) -> DataFrame:
+    """Windows joined with their queries; rows of one window stand together."""
+
     def paired(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         last, find = None, None
         for b in batches:
@@ -93,6 +101,27 @@ def locate(windows: DataFrame, queries: DataFrame, method: str = "auto", rule: s
     return ordered.mapInPandas(paired, MATCHES)
 
 
+def locate_at(texts: DataFrame, queries: DataFrame, capacity: int, method: str = "index", rule: str = "project") -> DataFrame:
+    """(stream_id, text), QUERIES with stream and ``at_seq`` -> MATCHES as of that many symbols."""
+    asked = queries.where("at_seq is not null and length(pattern) > 0")
+    rows = texts.join(asked, "stream_id").where(F.col("at_seq").between(1, F.length("text")))
+    window = F.expr(f"substring(text, cast(greatest(at_seq - {capacity}, 0) as int) + 1, cast(least(at_seq, {capacity}) as int))")
+    rows = rows.select("stream_id", F.col("at_seq").alias("n_seen"), F.greatest(F.col("at_seq") - capacity, F.lit(0)).alias("win_start"), window.alias("win_text"), "query_id", "pattern")
+    return _paired(rows.where("length(pattern) <= length(win_text)"), method, rule, "order_list", "hash")
+
+
+def _by_segment(windows: DataFrame, queries: DataFrame, sent: list | None) -> DataFrame:
+    from winsub.operators.segments import locate_segmented, seal_segments
+    from winsub.sources.adapters import chunks
+
+    if sent is None:
+        raise ValueError("segments take a bounded set of queries for all streams")
+    longest = max((len(p) for _, p in sent), default=1)
+    cut = chunks(windows.select("stream_id", F.col("win_text").alias("text")), max(1 << 16, longest))
+    found = locate_segmented(seal_segments(cut, longest), queries, longest).drop("n_seen")
+    return found.join(windows.select("stream_id", "n_seen", "win_start"), "stream_id").select("stream_id", "query_id", "n_seen", (F.col("win_start") + F.col("off")).alias("off"))
+
+
 def _declared(windows: DataFrame, queries: DataFrame, method: str, sent: list | None) -> DataFrame:
     q = queries.where("pattern is not null").select("query_id", F.col("stream_id").alias("only"), "pattern")
     if sent is not None:

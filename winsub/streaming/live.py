@@ -48,7 +48,7 @@ class LiveWindow(StatefulProcessor):
         schema = "n_seen bigint, win_text string, tree binary"
         self.state = handle.getValueState("window", schema, self.idle_ms) if self.idle_ms else handle.getValueState("window", schema)
 
-    def handleInputRows(self, key, rows, timer_values) -> Iterator[pd.DataFrame]:
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
         batch = pd.concat(list(rows)).sort_values(["seq", "kind"], ascending=[True, False], kind="stable")
         n, text, tree = self.state.get() if self.state.exists() else (0, "", None)
         asked = (batch.kind == "query").any()
@@ -76,6 +76,58 @@ class LiveWindow(StatefulProcessor):
         pass
 
 
+ORDERED = "stream_id string, ts timestamp, seq bigint, payload string, late boolean"
+
+
+class Reorder(StatefulProcessor):
+    """Holds symbols until the watermark has passed them and gives them in order of time.
+
+    Symbols behind the watermark come out at once, marked late: a dead-letter sink takes them.
+    """
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
+        self.held = handle.getListState("held", "ms bigint, seq bigint, payload string")
+
+    def _rows(self, key, found: list, late: bool) -> pd.DataFrame:
+        out = [(key[0], pd.Timestamp(ms, unit="ms"), seq, payload, late) for ms, seq, payload in found]
+        return pd.DataFrame(out, columns=names(ORDERED))
+
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
+        mark, late, new = timerValues.getCurrentWatermarkInMs(), [], []
+        for b in rows:
+            for ts, seq, payload in zip(b.ts, b.seq, b.payload, strict=True):
+                ms = int(pd.Timestamp(ts).value // 1_000_000)
+                (late if ms <= mark else new).append((ms, seq, payload))
+        for row in new:
+            self.held.appendValue(row)
+        if new:
+            self.handle.registerTimer(max(ms for ms, _, _ in new))
+            self.handle.registerTimer(min(ms for ms, _, _ in new))
+        yield self._rows(key, sorted(late), True)
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
+        mark = timerValues.getCurrentWatermarkInMs()
+        held = sorted(self.held.get())
+        ready, rest = [r for r in held if r[0] <= mark], [r for r in held if r[0] > mark]
+        if ready:
+            self.held.clear()
+            for row in rest:
+                self.held.appendValue(row)
+            if rest:
+                self.handle.registerTimer(rest[0][0])
+        yield self._rows(key, ready, False)
+
+    def close(self) -> None:
+        pass
+
+
+def reordered(rows: DataFrame, delay: str) -> DataFrame:
+    """Streaming (stream_id, ts, seq, payload) -> the same in order of time, and ``late``."""
+    timed = in_event_time(rows.select("stream_id", "ts", "seq", "payload"), "ts", delay)
+    return timed.groupBy("stream_id").transformWithStateInPandas(Reorder(), ORDERED, "Append", "EventTime")
+
+
 def live_locate(tagged: DataFrame, capacity: int, layout: str = "text+lazy", idle_ms: int | None = None) -> DataFrame:
     """Streaming (stream_id, seq, kind, payload) -> streaming MATCHES."""
     mode = "ProcessingTime" if idle_ms else "None"

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from winsub.kernel.window_index import WindowIndex
 from winsub.operators import measures
 from winsub.operators.features import qgram_features
-from winsub.operators.locate import count_matches, exists_match, first_last, locate
+from winsub.operators.locate import count_matches, exists_match, first_last, locate, locate_at
 from winsub.operators.replay import evict_effect, replay_matches, replay_tails
 from winsub.operators.segments import expire_segments, locate_segmented, seal_segments
 from winsub.operators.staging import shared_folder
@@ -143,6 +143,19 @@ def locate_history_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return keyed(found, "ev_user", F.col("query_id").alias("pattern"), "n_seen", "off")
 
 
+@workload("locate_at_seq", HISTORY.format(s=STREAMS["ev_user"], c=16, e=20) + ", " + values(["ev", "c"]) + " " + hits("user_id"))
+def locate_at_seq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries that each ask for the window as of a place of their own."""
+    rows = family(spark, sf_dir, "ev_user")
+    at = F.explode(F.expr("sequence(20, length(text), 20)")).alias("at")
+    asked = rows.where("length(text) >= 20").select("stream_id", at).select("*", F.explode(F.array(F.lit("ev"), F.lit("c"))).alias("pattern"))
+    queries = asked.select(F.col("pattern").alias("query_id"), "stream_id", "pattern", F.col("at").cast("long").alias("at_seq"))
+    return keyed(locate_at(rows, queries, 16), "ev_user", F.col("query_id").alias("pattern"), "n_seen", "off")
+
+
+workload("locate_by_segment", base("conv", 2048, values(["the", ". "])) + hits("conv_id"))(_locate("conv", 2048, ["the", ". "], "auto", parallel="segment"))
+
+
 @workload(
     "locate_doc_bench",
     "SELECT doc_id, item_id, CAST(i AS BIGINT) AS off FROM (SELECT d.doc_id, b.item_id, d.text AS t, b.text AS p, unnest(range(0, length(d.text) - length(b.text) + 1)) AS i "
