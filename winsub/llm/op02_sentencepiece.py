@@ -244,21 +244,28 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
-    """Digests of encoding and of decoding what was encoded, in one pass over the texts."""
-    schema = "doc_id long, n_pieces long, ids_crc32 long, decoded_sha256 string, round_trip boolean"
+    """Ids, and digests of them and of the text decoded from them, in one pass over the texts."""
+    schema = "doc_id long, n_pieces long, ids array<int>, ids_crc32 long, decoded_sha256 string, round_trip boolean"
+    names = [x.strip().split(" ")[0] for x in schema.split(",")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = load(path)
         for b in batches:
-            rows = []
-            for doc_id, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                text = t.as_py() or ""
-                ids = pieces.encode(text)
-                back = pieces.decode(ids)
-                rows.append((doc_id, len(ids), zlib.crc32(ids.tobytes()), hashlib.sha256(back.encode()).hexdigest(), back == text.replace(MARK, " ")))
-            columns = list(zip(*rows, strict=True)) or [[]] * 5
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], [x.strip().split(" ")[0] for x in schema.split(",")])
+            for i in range(0, b.num_rows, 512):
+                texts = [t or "" for t in b.column(1)[i : i + 512].to_pylist()]
+                ids = [pieces.encode(t) for t in texts]
+                back = [pieces.decode(x) for x in ids]
+                sizes = [len(x) for x in ids]
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32()), pa.array(np.concatenate(ids).astype(np.int32)))
+                columns = [
+                    b.column(0)[i : i + 512],
+                    pa.array(sizes, pa.int64()),
+                    lists,
+                    pa.array([zlib.crc32(x.tobytes()) for x in ids], pa.int64()),
+                    pa.array([hashlib.sha256(x.encode()).hexdigest() for x in back]),
+                    pa.array([x == t.replace(MARK, " ") for x, t in zip(back, texts, strict=True)]),
+                ]
+                yield pa.RecordBatch.from_arrays(columns, names)
 
     return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, schema)
 
