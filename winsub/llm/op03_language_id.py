@@ -153,7 +153,7 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> Model:
     if not total:
         return Model([], np.zeros((0, BUCKETS)))
     part = min(1.0, train_docs / total)
-    some = rows.where(F.pmod(F.xxhash64("text"), F.lit(1 << 20)) < int(part * (1 << 20)) + 1)
+    some = rows.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 20)) < int(part * (1 << 20)) + 1)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros((len(languages), BUCKETS), np.int64)

@@ -5,8 +5,8 @@ passage is described by the frequencies of neighbouring byte classes and by how
 the word one or two before, and encoded by a hidden layer; gated attention weighs the passages; the weighted sum is classified.  All
 weights, attention included, are learned together from document labels.
 
-Fitting reads at most about ``TRAIN_DOCS`` labelled documents, chosen by a hash; scoring
-covers every passage of every document.
+Fitting reads at most about ``TRAIN_DOCS`` labelled documents, chosen by a hash, and of each at
+most ``TRAIN_PASSAGES`` passages, evenly spaced; scoring covers every passage of every document.
 
 Defined results: null text is empty and is one passage without features, so it has a score;
 documents without a label are scored; of a document's repeated labels the largest counts;
@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from winsub.llm.common import fold, slices, table, utf8, word_hashes
 
-PASSAGE, TRAIN_DOCS, THRESHOLD = 512, 6000, 0.7
+PASSAGE, TRAIN_DOCS, TRAIN_PASSAGES, THRESHOLD = 512, 6000, 64, 0.7
 HIDDEN, GATE, EPOCHS, BATCH, RATE = 32, 16, 30, 128, 5e-3
 
 CLASSES = 16
@@ -138,7 +138,10 @@ def fit(docs: DataFrame, labels: DataFrame, train_docs: int = TRAIN_DOCS) -> Att
             for i, j in slices(offsets):
                 x, first = passages(data, offsets[i : j + 1])
                 x = x.astype(np.float16)
-                bags = [x[first[k] : first[k + 1]].tobytes() for k in range(j - i)]
+                bags = []
+                for a, e in zip(first[:-1], first[1:], strict=True):
+                    some = np.linspace(a, e - 1, min(TRAIN_PASSAGES, e - a)).astype(np.int64)
+                    bags.append(x[some].tobytes())
                 yield pa.RecordBatch.from_arrays([b.column(0)[i:j], b.column(2)[i:j], pa.array(bags, pa.binary())], ["doc_id", "quality", "bag"])
 
     found = rows.select("doc_id", "text", F.col("quality").cast("int").alias("quality")).mapInArrow(run, "doc_id long, quality int, bag binary").toPandas()
