@@ -54,8 +54,11 @@ def _contexts(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
 
 def _log_kt(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Log evidence of a zeros and b ones under the Krichevsky-Trofimov estimate."""
-    half = 2 * math.lgamma(0.5)
-    return _lgamma(a + 0.5) + _lgamma(b + 0.5) - half - _lgamma(a + b + 1.0)
+    out, half = np.empty(a.shape), 2 * math.lgamma(0.5)
+    for i in range(0, len(a), 1024):  # a part at a time: the series needs many temporaries
+        x, y = a[i : i + 1024], b[i : i + 1024]
+        out[i : i + 1024] = _lgamma(x + 0.5) + _lgamma(y + 0.5) - half - _lgamma(x + y + 1.0)
+    return out
 
 
 def _lgamma(x: np.ndarray) -> np.ndarray:
