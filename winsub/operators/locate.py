@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from winsub.kernel.automaton import ManyPatterns
 from winsub.kernel.scan import kmp_find, native_find, skip_find
 from winsub.kernel.static_index import BackwardSearch, SuffixArray
 from winsub.kernel.window_index import WindowIndex
@@ -15,7 +16,23 @@ from winsub.model import MATCHES
 from winsub.plans.planner import choose_method, gram_pairs, sendable
 
 KERNEL = ("index", "kmp", "boyer_moore", "finalise", "static_bwt", "suffix_array", "native")
-METHODS = (*KERNEL, "sql", "catalyst", "auto")
+METHODS = (*KERNEL, "automaton", "sql", "catalyst", "auto")
+
+
+def matcher(patterns: list[str]) -> Callable[[str], Iterator[tuple[str, int]]]:
+    """text -> (pattern, place) of all matches in one pass, however many patterns there are."""
+    try:
+        import ahocorasick
+    except ImportError:
+        machine = ManyPatterns(patterns)
+        return lambda text: iter(machine.run(text)[0])
+    machine = ahocorasick.Automaton()
+    for p in patterns:
+        machine.add_word(p, p)
+    if not patterns:
+        return lambda text: iter(())
+    machine.make_automaton()
+    return lambda text: ((p, end - len(p) + 1) for end, p in machine.iter(text))
 
 
 def finder(text: str, start: int, method: str, rule: str, ancestor: str, children: str) -> Callable[[str], list[int]]:
@@ -30,7 +47,7 @@ def finder(text: str, start: int, method: str, rule: str, ancestor: str, childre
     if method in ("suffix_array", "static_bwt"):
         static = SuffixArray(text) if method == "suffix_array" else BackwardSearch(text)
         return lambda p: [start + i for i in static.find(p)[0]]
-    scan = {"kmp": kmp_find, "boyer_moore": skip_find, "native": native_find}[method]
+    scan = {"kmp": kmp_find, "boyer_moore": skip_find, "native": native_find, "automaton": native_find}[method]
     return lambda p: [start + i for i in scan(text, p)[0]]
 
 
@@ -61,9 +78,14 @@ def locate(windows: DataFrame, queries: DataFrame, method: str = "auto", rule: s
         return _by_segment(windows, queries, sent)
     if method == "auto":
         size = windows.agg(F.avg(F.length("win_text"))).first()[0] or 1
-        method = "catalyst" if sent is not None and len(sent) <= 8 else choose_method(len(sent) if sent else 1, size)
+        if sent is not None:
+            method = "catalyst" if len(sent) <= 8 else "automaton"
+        else:
+            method = choose_method(1, size)
     if method in ("sql", "catalyst"):
         return _declared(windows, queries, method, sent)
+    if method == "automaton" and sent is not None:
+        return _in_one_pass(windows, sent)
     if sent is not None and parallel == "stream":
 
         def answer(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -84,6 +106,20 @@ def locate(windows: DataFrame, queries: DataFrame, method: str = "auto", rule: s
     return _paired(pairs, method, rule, ancestor, children)
 
 
+def _in_one_pass(windows: DataFrame, sent: list[tuple[str, str]]) -> DataFrame:
+    ids: dict[str, list[str]] = {}
+    for q, p in sent:
+        ids.setdefault(p, []).append(q)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        find = matcher(list(ids))
+        for b in batches:
+            rows = [(sid, q, n, start + i) for sid, n, start, text in zip(b.stream_id, b.n_seen, b.win_start, b.win_text, strict=True) for p, i in find(text) for q in ids[p]]
+            yield _emit(rows)
+
+    return windows.select("stream_id", "n_seen", "win_start", "win_text").mapInPandas(run, MATCHES)
+
+
 def _paired(pairs: DataFrame, method: str, rule: str, ancestor: str, children: str) -> DataFrame:
     """Windows joined with their queries; rows of one window stand together."""
 

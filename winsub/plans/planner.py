@@ -7,6 +7,7 @@ symbols; beyond that windows and patterns meet in an equi-join on a q-gram.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -56,14 +57,14 @@ def gram_pairs(windows: DataFrame, queries: DataFrame, q: int = 8) -> DataFrame:
 
 def gram_signature(text: str, q: int = 3, bits: int = 4096) -> bytes:
     """Which q-grams a text may have: a bit set by a fixed rolling hash."""
-    sig = bytearray(bits // 8)
-    for i in range(len(text) - q + 1):
-        h = 0
-        for c in text[i : i + q]:
-            h = (h * 1_000_003 + ord(c)) & 0xFFFFFFFF
-        h = (h ^ h >> 15) % bits
-        sig[h >> 3] |= 1 << (h & 7)
-    return bytes(sig)
+    code = np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64)
+    n = max(0, len(code) - q + 1)
+    h = np.zeros(n, np.uint64)
+    for k in range(q):
+        h = (h * np.uint64(1_000_003) + code[k : k + n]) & np.uint64(0xFFFFFFFF)
+    flags = np.zeros(bits, bool)
+    flags[(h ^ h >> np.uint64(15)) % np.uint64(bits)] = True
+    return np.packbits(flags, bitorder="little").tobytes()
 
 
 def may_contain(sig: bytes, pattern_sig: bytes) -> bool:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from winsub.functions.surface import register_all
 from winsub.operators.locate import count_matches, locate
 from winsub.operators.tail import leaf_hits, tail_hits, tail_table
-from winsub.operators.windows import make_queries, window_at
+from winsub.operators.windows import make_queries, queries_from, window_at
 from winsub.sources.adapters import family, symbols
 from winsub.sources.readers import load
 from winsub.workloads import TAIL, base, hits, values
@@ -128,18 +128,21 @@ def interval_join(spark, d):
 _BENCH = "EXISTS (SELECT 1 FROM benchmark b WHERE contains(d.text, b.text))"
 
 
-def _passages(spark, d):
-    return F.broadcast(load(spark, d, "benchmark").select(F.col("text").alias("passage")).limit(20_000)).alias("b")  # a bounded set of passages
+def _with_passage(spark, d):
+    """Documents that hold a passage: one pass over each text for all passages."""
+    w = window_at(family(spark, d, "doc"), 1 << 30)
+    found = locate(w, queries_from(load(spark, d, "benchmark"), "item_id", "text"))
+    return found.select(F.col("stream_id").cast("long").alias("doc_id")).distinct()
 
 
 @rel("semi", f"SELECT doc_id FROM documents d WHERE {_BENCH}")
 def semi(spark, d):
-    return load(spark, d, "documents").join(_passages(spark, d), F.expr("contains(text, passage)"), "left_semi").select("doc_id")
+    return load(spark, d, "documents").select("doc_id").join(_with_passage(spark, d), "doc_id", "left_semi")
 
 
 @rel("anti", f"SELECT doc_id FROM documents d WHERE NOT {_BENCH}")
 def anti(spark, d):
-    return load(spark, d, "documents").join(_passages(spark, d), F.expr("contains(text, passage)"), "left_anti").select("doc_id")
+    return load(spark, d, "documents").select("doc_id").join(_with_passage(spark, d), "doc_id", "left_anti")
 
 
 _SYMS = "y AS (SELECT l_partkey AS k, l_returnflag AS c, row_number() OVER (PARTITION BY l_partkey ORDER BY l_shipdate, l_orderkey, l_linenumber, l_returnflag) - 1 AS seq FROM lineitem)"

@@ -118,7 +118,7 @@ def _locate(name: str, capacity: int, patterns: list[str], method: str, **option
 
 for _name, (_f, _c, _p, _m) in LOCATE.items():
     workload(_name, base(_f, _c, values(_p)) + hits(key_of(_f)))(_locate(_f, _c, _p, _m))
-for _m in ("kmp", "boyer_moore", "finalise", "static_bwt", "suffix_array", "native", "sql", "catalyst"):
+for _m in ("kmp", "boyer_moore", "finalise", "static_bwt", "suffix_array", "native", "automaton", "sql", "catalyst"):
     workload(f"baseline_{_m}", base("ev_user", 64, values(EV)) + hits("user_id"))(_locate("ev_user", 64, EV, _m))
 for _r in ("tail_kmp", "linked_and_period", "period_scan", "period_project"):
     _c = base("li_part", 32, values(["A", "RN", "NNN", "ARN"])) + hits("l_partkey")
@@ -162,7 +162,7 @@ workload("locate_by_segment", base("conv", 2048, values(["the", ". "])) + hits("
     "FROM documents d JOIN benchmark b ON contains(d.text, b.text) WHERE length(b.text) > 0) WHERE substr(t, i + 1, length(p)) = p",
 )
 def locate_doc_bench(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = locate(windows(spark, sf_dir, "doc", WHOLE), queries_from(load(spark, sf_dir, "benchmark"), "item_id", "text"), method="catalyst")
+    found = locate(windows(spark, sf_dir, "doc", WHOLE), queries_from(load(spark, sf_dir, "benchmark"), "item_id", "text"))
     return found.select(F.col("stream_id").cast("long").alias("doc_id"), F.col("query_id").cast("long").alias("item_id"), "off")
 
 
