@@ -182,3 +182,18 @@ def test_stream_stream_join(spark, sf_dir, tmp_path):
     e = load(spark, sf_dir, "events")
     want = e.where("event_type = 'purchase'").alias("a").join(e.where("event_type = 'error'").alias("b"), F.expr("a.user_id = b.user_id and b.ts between a.ts - interval 10 minutes and a.ts + interval 10 minutes"))
     assert spark.table("met").count() == want.count()
+
+
+def plan(df):
+    return df._jdf.queryExecution().toString()
+
+
+def test_filters_and_columns_reach_the_scan(spark, sf_dir):
+    from winsub.relational_workloads import QUERIES as REL
+
+    text = plan(REL["rel_prefix_filter"](spark, sf_dir))
+    assert "StringStartsWith(text,The)" in text and "ReadSchema: struct<doc_id:bigint,text:string,lang:string>" in text
+    text = plan(tail_table(window_at(family(spark, sf_dir, "doc"), 64)).select("stream_id", "tail_len"))
+    assert "Exchange" not in text and "Python" not in text and "ReadSchema: struct<doc_id:bigint,text:string>" in text
+    text = plan(locate(window_at(family(spark, sf_dir, "li_part"), 32), make_queries(spark, ["RN"]), method="index"))
+    assert text.split("== Physical Plan ==")[1].count("Exchange hashpartitioning") == 1  # the assembly of streams
