@@ -367,6 +367,23 @@ def test_context_tree_by_definition(spark, docs, none):
     assert math.isclose({r.doc_id: r.score for r in op9.score(docs, blank).collect()}[3], -8 * math.log10(2), rel_tol=1e-5)
 
 
+def test_every_counted_context_is_in_the_tree(spark):
+    """More contexts than 16,384, each counted: a seen context predicts its byte, however rare."""
+    rng = random.Random(5)
+    texts = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(1000)) for _ in range(30)]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    model = op9.fit(rows)
+    contexts = {bytes(op9.DEPTH - k) + t[:k].encode() if k < op9.DEPTH else t[k - op9.DEPTH : k].encode() for t in texts for k in range(len(t))}
+    nodes = model.tree.levels[op9.DEPTH].selectExpr("count(distinct shiftright(node, 8)) n").first().n
+    assert nodes == len(contexts) > 16_384
+    # Sent to the workers or met in a join, the codes count the same.
+    few = op9.fit(rows, codes=100)
+    assert 0 < len(few.tree.known.codes) <= 100 < len(model.tree.known.codes)
+    some = rows.where("doc_id < 3").unionByName(spark.createDataFrame([(100, "zzzz unseen \u00e9"), (101, ""), (102, None)], "doc_id long, text string"))
+    a, b = ({r.doc_id: r.score for r in op9.score(some, m).collect()} for m in (model, few))
+    assert len(a) == 6 and a.keys() == b.keys() and all(math.isclose(a[i], b[i], rel_tol=1e-5, abs_tol=1e-9) for i in a)
+
+
 def test_rare_words_meet_their_counts_in_a_join(docs):
     few = op9.fit(docs, heavy=2)
     assert len(few.heavy) <= 2

@@ -3,13 +3,16 @@
 Bytes are coded as eight binary decisions.  For every decision the contexts of 0 to
 ``DEPTH`` preceding bytes form a tree; each node has a Krichevsky-Trofimov estimate from the training
 counts, and the weighting mixes the node's own estimate with its children's, bottom up, by
-their exact evidence.  The frozen mixture is folded into one table (context, byte) -> log
-probability, so scoring a text is one gather per byte.  The score is log10 of the text's
-probability; code length per byte follows from it.
-
-Counts of (context, byte) cover the whole training text and are summed by Spark; the tree
-admits at most ``NODES`` contexts, the most frequent ones, and rarer ones share a leaf of
-their longest admitted suffix.  Word counts grow with the input and stay distributed; only words above a count chosen so that at most
+their exact evidence.  The score is log10 of the text's probability; code length per byte
+follows from it.
+
+Counts of (context, byte) cover the whole training text and are summed by Spark, and the tree
+has every context counted: its evidences are summed depth by depth in Spark and its mixture
+is folded from the root down, both as tables with a row for each context and decision.  Log
+probabilities of (context, byte) codes above a count chosen so that at most ``CODES`` exceed
+it are sent to the workers, where scoring is one lookup per byte; all other codes of a text
+meet the tree in a join, where what was never counted takes the mixture of its longest
+counted suffix.  Word counts grow with the input and stay distributed; only words above a count chosen so that at most
 ``HEAVY`` exceed it are sent to the workers, all others meet their counts in a shuffle.
 
 Defined results: null text is empty: one token (the end), code length 0; without training
@@ -22,6 +25,7 @@ from __future__ import annotations
 import math
 from collections import Counter
 from collections.abc import Iterator
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -33,8 +37,9 @@ from winsub.llm.common import fold, slices, stage, table, utf8
 
 #: Words at most that workers hold; distinct words a worker gathers before it hands them on.
 HEAVY, GATHER = 1 << 17, 150_000
-#: Bytes of context, contexts admitted to the tree at most, codes a worker gathers.
-DEPTH, NODES, GRAMS = 4, 1 << 14, 1_000_000
+#: Bytes of context (6 at most: codes are longs), codes at most that workers hold, codes a
+#: worker gathers.
+DEPTH, CODES, GRAMS = 4, 1 << 20, 1_000_000
 
 
 def _contexts(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
@@ -52,6 +57,14 @@ def _contexts(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
     return out
 
 
+def _codes(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Each byte below the ``DEPTH`` bytes before it, the latest lowest."""
+    code = data[offsets[0] : offsets[-1]].astype(np.int64)
+    for k, back in enumerate(_contexts(data, offsets), 1):
+        code |= back.astype(np.int64) << 8 * k
+    return code
+
+
 def _log_kt(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Log evidence of a zeros and b ones under the Krichevsky-Trofimov estimate."""
     out, half = np.empty(a.shape), 2 * math.lgamma(0.5)
@@ -74,86 +87,88 @@ def _lgamma(x: np.ndarray) -> np.ndarray:
     return (y - 0.5) * np.log(y) - y + 0.5 * math.log(2 * math.pi) + (1 / 12 - z * (1 / 360 - z * (1 / 1260 - z / 1680))) / y - shift
 
 
-def _bits(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(zeros, ones) at each of the 255 decisions of a byte, for rows of 256 counts."""
-    zeros, ones = np.empty((len(counts), 256)), np.empty((len(counts), 256))
-    sums, at = counts, 128
-    while at:
-        pair = sums.reshape(len(counts), at, 2)
-        zeros[:, at : 2 * at], ones[:, at : 2 * at] = pair[:, :, 0], pair[:, :, 1]
-        sums, at = pair.sum(axis=2), at // 2
-    return zeros[:, 1:], ones[:, 1:]
+def _weigh(batches: Iterator[pa.RecordBatch], leaf: bool) -> Iterator[pa.RecordBatch]:
+    """(node, zeros, ones, below) -> whole, the mixed evidence, and stop, the node's own share of it."""
+    for b in batches:
+        zeros, ones, below = (b.column(k).to_numpy().astype(float) for k in (1, 2, 3))
+        evidence = _log_kt(zeros, ones)
+        whole = evidence if leaf else np.logaddexp(evidence, below) - math.log(2)
+        stop = np.ones(len(whole)) if leaf else np.exp(evidence - math.log(2) - whole)
+        yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(whole), pa.array(stop)], ["node", "zeros", "ones", "whole", "stop"])
+
+
+def _decisions(codes: DataFrame) -> DataFrame:
+    """The rows of ``codes`` for each of a byte's eight decisions.
+
+    ``node``: context << 8 | decision (the bits before it below a leading one); ``bit``: its outcome.
+    """
+    byte = F.col("code").bitwiseAND(F.lit(255))
+    steps = [F.struct((F.shiftright(byte, 8 - k) + (1 << k)).alias("decision"), F.shiftright(byte, 7 - k).bitwiseAND(F.lit(1)).alias("bit")) for k in range(8)]
+    found = codes.withColumn("step", F.explode(F.array(*steps)))
+    return found.select("*", (F.shiftleft(F.shiftright("code", 8), 8) + F.col("step.decision")).alias("node"), F.col("step.bit").alias("bit")).drop("step")
+
+
+def _up(depth: int) -> Column:
+    """The node of the same decision at the context's last ``depth`` bytes."""
+    return F.col("node").bitwiseAND(F.lit((1 << 8 * (depth + 1)) - 1))
+
+
+def _log_sums(decided: DataFrame, p: DataFrame) -> DataFrame:
+    """(code, log): log10 probability of each code's byte."""
+    return decided.join(p, "node").groupBy("code").agg(F.sum(F.log10(F.when(F.col("bit") == 1, F.col("p")).otherwise(1 - F.col("p")))).alias("log"))
+
+
+class Known:
+    """Codes and their log10 probabilities in a hash table; what collides is searched for."""
+
+    def __init__(self, codes: np.ndarray, logs: np.ndarray):
+        order = np.argsort(codes)
+        self.codes, self.logs = codes[order], logs[order].astype(np.float32)
+        self.shift = np.uint64(64 - max(4, (4 * len(codes)).bit_length()))
+        self.code = np.full(1 << 64 - int(self.shift), -1, np.int64)
+        self.log = np.full(len(self.code), np.nan, np.float32)
+        at = self._slot(self.codes)
+        self.code[at], self.log[at] = self.codes, self.logs
+
+    def _slot(self, codes: np.ndarray) -> np.ndarray:
+        return ((codes.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def find(self, codes: np.ndarray) -> np.ndarray:
+        """Logs of the codes, NaN for those not held."""
+        at = self._slot(codes)
+        out = self.log[at]
+        other = np.flatnonzero(self.code[at] != codes)
+        out[other] = np.nan
+        if len(self.codes):
+            left = codes[other]
+            at = np.minimum(np.searchsorted(self.codes, left), len(self.codes) - 1)
+            held = self.codes[at] == left
+            out[other[held]] = self.logs[at[held]]
+        return out
 
 
 class ContextTree:
-    """Frozen mixture over the admitted contexts.
+    """Frozen mixture over all counted contexts.
 
-    ``keys``: depth << 32 | the context's bytes, the latest lowest, with every shorter
-    context among them; ``counts``: a row of 256 for each.  Below a node its admitted
-    children are told apart and all other contexts share one more leaf, so the partition is
-    a proper tree.  ``table`` has a row of log10 byte probabilities for each deepest
-    admitted context, ``child`` leads from a row and the byte before to the longer context.
+    ``levels``: for each depth (node, gone, left), what the contexts down to the node give to
+    a one and the weight left below it; what is not counted below a node is even.
     """
 
-    def __init__(self, keys: np.ndarray, counts: np.ndarray):
-        order = np.argsort(keys)
-        keys, counts = np.concatenate([[-1], keys[order]]), np.concatenate([np.zeros((1, 256)), counts[order]])
-        depth = keys >> 32
-        suffix = keys & 0xFFFFFFFF
-        self.root = 1
-        self.child = np.zeros((len(keys), 256), np.int32)  # row 0: no such context
-        up = np.zeros(len(keys), np.int64)
-        for d in range(1, DEPTH + 1):
-            own = np.flatnonzero(depth == d)
-            up[own] = np.searchsorted(keys, (d - 1) << 32 | suffix[own] & (1 << 8 * (d - 1)) - 1)
-            self.child[up[own], suffix[own] >> 8 * (d - 1)] = own
-        rest = counts.copy()
-        np.subtract.at(rest, up[2:], counts[2:])
-        zeros, ones = _bits(counts)
-        evidence = _log_kt(zeros, ones)
-        own_p = ((ones + 0.5) / (zeros + ones + 1)).astype(np.float32)
-        zeros, ones = _bits(rest)
-        below = _log_kt(zeros, ones)
-        rest_p = ((ones + 0.5) / (zeros + ones + 1)).astype(np.float32)
-        del zeros, ones, rest
-        stop = np.ones(own_p.shape, np.float32)
-        inner = self.child.any(axis=1)
-        for d in range(DEPTH, -1, -1):
-            at = np.flatnonzero((depth == d) & inner)
-            whole = np.logaddexp(evidence[at], below[at]) - math.log(2)
-            stop[at] = np.exp(evidence[at] - math.log(2) - whole)
-            evidence[at] = whole
-            here = np.flatnonzero(depth == d)
+    def __init__(self, levels: list[DataFrame], known: Known):
+        self.levels, self.known = levels, known
+
+    def logs(self, codes: DataFrame) -> DataFrame:
+        """(code, log) of distinct codes, counted or not."""
+        decided = stage(_decisions(codes), "decided")
+        asked = stage(decided.select("node").distinct(), "asked")
+        p = None
+        for d, level in enumerate(self.levels):
+            here = asked.select(_up(d).alias("node")).distinct() if d < DEPTH else asked
+            here = here.join(level, "node", "left").withColumn("p", F.col("gone") + F.col("left") / 2)
             if d:
-                np.add.at(below, up[here], evidence[here])
-        del evidence, below
-        # Top down: what the shorter contexts have contributed, and the weight left.
-        gone, left = np.zeros_like(own_p), np.ones_like(own_p)
-        for d in range(1, DEPTH + 1):
-            at = np.flatnonzero(depth == d)
-            gone[at] = gone[up[at]] + left[up[at]] * stop[up[at]] * own_p[up[at]]
-            left[at] = left[up[at]] * (1 - stop[up[at]])
-        p = gone + left * (stop * own_p + (1 - stop) * rest_p)
-        del gone, left, own_p, rest_p, stop
-        log1, log0 = np.log10(p), np.log10(1 - p)
-        total = np.zeros((len(p), 1), np.float32)
-        for level in range(8):
-            n = 1 << level
-            part = slice(n - 1, 2 * n - 1)
-            total = np.repeat(total, 2, axis=1) + np.stack([log0[:, part], log1[:, part]], axis=2).reshape(len(p), 2 * n)
-        self.table = total.astype(np.float32)
-
-    def score(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-        """log10 probability of each text."""
-        d = data[offsets[0] : offsets[-1]]
-        at = best = np.full(len(d), self.root, np.int32)
-        for back in _contexts(data, offsets):
-            at = self.child[at, back]
-            best = np.where(at > 0, at, best)
-        total = np.zeros(len(d) + 1)
-        np.cumsum(self.table[best, d], out=total[1:], dtype=np.float64)
-        cut = offsets - offsets[0]
-        return total[cut[1:]] - total[cut[:-1]]
+                here = here.withColumn("up", _up(d - 1)).join(p.select(F.col("node").alias("up"), F.col("p").alias("shorter")), "up")
+            p = here.select("node", F.coalesce("p", "shorter" if d else F.lit(0.5)).alias("p"))
+        return stage(_log_sums(decided, p), "logs")
 
 
 class Grams:
@@ -196,10 +211,7 @@ def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         data, offsets = utf8(b.column(0))
         texts += b.num_rows
         for i, j in slices(offsets):
-            code = data[offsets[i] : offsets[j]].astype(np.int64)
-            for k, back in enumerate(_contexts(data, offsets[i : j + 1]), 1):
-                code |= back.astype(np.int64) << 8 * k
-            grams.add(code)
+            grams.add(_codes(data, offsets[i : j + 1]))
             if grams.size > 4 * GRAMS:  # mostly distinct: hand them on
                 yield from given(*grams.merge())
                 grams = Grams()
@@ -233,33 +245,53 @@ def least_count(rows: DataFrame, most: int) -> tuple[int | None, list[tuple[int,
     return least, by
 
 
-def grow(grams: DataFrame, nodes: int = NODES) -> ContextTree:
-    """The tree of the most frequent contexts, at most ``nodes``, and their byte counts."""
+def grow(grams: DataFrame, codes: int = CODES) -> ContextTree:
+    """The tree of all contexts; workers get at most ``codes`` of the most frequent codes."""
     grams = stage(grams, "grams")
-    levels = grams.select(F.explode(F.array(*[F.lit(d << 32).bitwiseOR(F.shiftright("code", 8).bitwiseAND(F.lit((1 << 8 * d) - 1))) for d in range(DEPTH + 1)])).alias("key"), F.col("code").bitwiseAND(F.lit(255)).alias("byte"), "n")
-    levels = stage(levels.groupBy("key", "byte").agg(F.sum("n").alias("n")), "levels")
-    contexts = levels.groupBy("key").agg(F.sum("n").alias("n"))
-    least, _ = least_count(contexts, nodes)
-    admitted = contexts.where(F.col("n") >= (least or (1 << 62))).select("key")
-    found = levels.join(F.broadcast(admitted), "key").toPandas()
-    keys = np.unique(np.append(found["key"].to_numpy(np.int64), 0))
-    counts = np.zeros((len(keys), 256))
-    counts[np.searchsorted(keys, found["key"].to_numpy(np.int64)), found["byte"].to_numpy(np.int64)] = found["n"].to_numpy(float)
-    return ContextTree(keys, counts)
-
-
-def fit(docs: DataFrame, heavy: int = HEAVY) -> Model:
+    rows = _decisions(grams).groupBy("node").agg(F.sum(F.col("n") * (1 - F.col("bit"))).alias("zeros"), F.sum(F.col("n") * F.col("bit")).alias("ones")).withColumn("below", F.lit(0.0))
+    weighed = []
+    for d in range(DEPTH, -1, -1):
+        run = partial(_weigh, leaf=d == DEPTH)
+        weighed.insert(0, stage(rows.mapInArrow(run, "node long, zeros long, ones long, whole double, stop double"), "weighed"))
+        # All text of a longer context is text of the shorter one too.
+        rows = weighed[0].groupBy(_up(d - 1).alias("node")).agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("whole").alias("below"))
+    levels = []
+    for d, rows in enumerate(weighed):
+        own = (F.col("ones") + 0.5) / (F.col("zeros") + F.col("ones") + 1)
+        rows = rows.select("node", "stop", own.alias("own"), _up(d - 1).alias("up"))
+        if d:
+            rows = rows.join(levels[-1].select(F.col("node").alias("up"), "gone", "left"), "up")
+        else:
+            rows = rows.withColumns({"gone": F.lit(0.0), "left": F.lit(1.0)})
+        levels.append(stage(rows.select("node", (F.col("gone") + F.col("left") * F.col("stop") * F.col("own")).alias("gone"), (F.col("left") * (1 - F.col("stop"))).alias("left")), "level"))
+    least, _ = least_count(grams, codes)
+    often = _decisions(grams.where(F.col("n") >= (least or (1 << 62))).select("code"))
+    found = _log_sums(often, levels[-1].select("node", (F.col("gone") + F.col("left") / 2).alias("p"))).toArrow()
+    return ContextTree(levels, Known(found["code"].to_numpy(), found["log"].to_numpy()))
+
+
+def fit(docs: DataFrame, heavy: int = HEAVY, codes: int = CODES) -> Model:
     """Counts over every training row."""
     found = stage(docs.select("text").mapInArrow(_counts, "word string, code long, n long"), "counts")
     words = stage(found.where("word is not null").groupBy("word").agg(F.sum("n").alias("n")), "words")
     end = found.where("word is null and code is null").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
     least, by = least_count(words, heavy)
     frequent = {} if least is None else {r["word"].encode(): r["n"] for r in words.where(F.col("n") >= least).toLocalIterator()}
-    tree = grow(found.where("code is not null").groupBy("code").agg(F.sum("n").alias("n")))
+    tree = grow(found.where("code is not null").groupBy("code").agg(F.sum("n").alias("n")), codes)
     return Model(words, sum(t for _, _, t in by) + end, sum(w for _, w, _ in by) + 1, end, frequent, tree)
 
 
-SCORED = "row long, doc_id long, n_tokens long, n_known long, log_sum double, score double, n_bytes long, rare array<struct<word:string,n:long>>"
+SCORED = "row long, doc_id long, n_tokens long, n_known long, log_sum double, score double, n_bytes long, rare array<struct<word:string,n:long>>, grams array<struct<code:long,n:long>>"
+
+
+def _grouped(row: np.ndarray, code: np.ndarray, n: int) -> pa.Array:
+    """For each of ``n`` rows its distinct codes and their counts."""
+    order = np.lexsort((code, row))
+    row, code = row[order], code[order]
+    first = np.flatnonzero((np.diff(row, prepend=-1) != 0) | (np.diff(code, prepend=-1) != 0))
+    times = np.diff(np.append(first, len(row)))
+    begin = np.searchsorted(row[first], np.arange(n + 1)).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(begin), pa.StructArray.from_arrays([pa.array(code[first]), pa.array(times.astype(np.int64))], ["code", "n"]))
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
@@ -267,18 +299,24 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
     names = [x.split(" ")[0] for x in SCORED.split(", ")]
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), pa.list_(pa.struct([("word", pa.string()), ("n", pa.int64())]))]
     spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast((model.heavy, model.tree))  # at most HEAVY words and NODES rows of 256 numbers
+    sent = spark.sparkContext.broadcast((model.heavy, model.tree.known))  # at most HEAVY words and CODES codes
     end = model.end
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        heavy, tree = sent.value
+        heavy, known_codes = sent.value
         logs = {w: math.log10(n + 0.5) for w, n in heavy.items()}
         end_log, row = math.log10(end + 0.5), TaskContext.get().partitionId() << 33
         for b in batches:
             data, offsets = utf8(b.column(1))
             ids = b.column(0).to_pylist()
             for i, j in slices(offsets):
-                scores, out = tree.score(data, offsets[i : j + 1]).tolist(), []
+                code, cut = _codes(data, offsets[i : j + 1]), offsets[i : j + 1] - offsets[i]
+                logs_of = known_codes.find(code)
+                missed = np.flatnonzero(np.isnan(logs_of))
+                logs_of[missed] = 0
+                total = np.concatenate([[0.0], np.cumsum(logs_of, dtype=np.float64)])
+                scores, out = (total[cut[1:]] - total[cut[:-1]]).tolist(), []
+                grams = _grouped(np.searchsorted(cut, missed, side="right") - 1, code[missed], j - i)
                 for k in range(i, j):
                     text = data[offsets[k] : offsets[k + 1]].tobytes()
                     words = text.lower().split()
@@ -286,7 +324,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
                     rare = Counter(w for w in words if w not in logs) if len(known) < len(words) else {}
                     out.append((row, ids[k], len(words) + 1, len(known) + (end > 0), math.fsum(known) + end_log, scores[k - i], len(text), [{"word": w.decode(), "n": n} for w, n in rare.items()]))
                     row += 1
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names)
+                yield pa.RecordBatch.from_arrays([*(pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)), grams], names)
 
     rows = stage(docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, SCORED), "scored")
     rare = rows.select("row", F.explode("rare").alias("r")).select("row", F.col("r.word").alias("word"), F.col("r.n").alias("times"))
@@ -294,8 +332,12 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
         F.sum(F.col("times") * F.log10(F.coalesce("n", F.lit(0)) + 0.5)).alias("rare_sum"),
         F.sum(F.when(F.col("n") > 0, F.col("times")).otherwise(0)).alias("rare_known"),
     )
+    codes = rows.select("row", F.explode("grams").alias("g")).select("row", F.col("g.code").alias("code"), F.col("g.n").alias("times"))
+    logs = model.tree.logs(codes.select("code").distinct())
+    summed = codes.join(logs, "code").groupBy("row").agg(F.sum(F.col("times") * F.col("log")).alias("gram_sum"))
     base = F.col("log_sum") + F.coalesce("rare_sum", F.lit(0.0)) - F.col("n_tokens") * math.log10(model.total + 0.5 * (model.distinct + 1))
-    return rows.drop("rare").join(met, "row", "left").select(
+    scored = rows.drop("rare", "grams").join(met, "row", "left").join(summed, "row", "left")
+    return scored.withColumn("score", F.col("score") + F.coalesce("gram_sum", F.lit(0.0))).select(
         "doc_id",
         "n_tokens",
         (F.col("n_known") + F.coalesce("rare_known", F.lit(0))).cast("long").alias("n_known"),
