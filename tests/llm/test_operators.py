@@ -214,6 +214,26 @@ def test_parity_join_of_many_near_copies(spark, monkeypatch):
     assert by_id(op6.near_duplicates(rows), "n_shingles", "component_id") == brute_components(texts)
 
 
+def test_all_links(spark, monkeypatch):
+    """Every document's links, inside components too; exact copies, null ids, no words."""
+    monkeypatch.setattr(op6, "CHUNK", 8)
+    r = random.Random(11)
+    texts = [near(BASE, r.randint(2, 8)) for _ in range(40)]
+    texts += [texts[3].upper(), texts[3], texts[7], "", "a b", "A b", "c d"]
+    sets = [{tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if (w := t.lower().split()) else set() for t in texts]
+    linked = lambda x, y: bool(x & y) and 100 * len(x & y) >= 75 * len(x | y)
+    want = {i: sum(i != j and linked(x, y) for j, y in enumerate(sets)) for i, x in enumerate(sets)}
+    rows = spark.createDataFrame([*enumerate(texts), (None, texts[3])], "doc_id long, text string").repartition(4)
+    join = op6.Join(rows)
+    got = join.documents().collect()
+    assert len(got) == len(texts) + 1
+    assert {x.doc_id: x.n_links for x in got} == want | {None: 0}
+    assert {x.doc_id: (x.n_shingles, x.component_id) for x in got if x.doc_id is not None} == brute_components(texts)
+    distinct = [x for i, x in enumerate(sets) if x not in sets[:i]]
+    assert join.all_links().count() == sum(linked(x, y) for i, x in enumerate(distinct) for y in distinct[:i]) > len(distinct)  # more than connect them
+    assert op6.Join(rows.where("false")).documents().count() == 0
+
+
 def test_parity_join_ids(spark):
     rows = spark.createDataFrame([(5, "a b"), (5, "a b"), (None, "a b"), (9, "A b"), (7, None)], "doc_id long, text string")
     got = sorted(((r.doc_id, r.component_id) for r in op6.near_duplicates(rows).collect()), key=str)

@@ -1,4 +1,9 @@
-"""N-gram Jaccard join by parity sketches: all links of similarity 3/4 and above, exactly.
+"""N-gram Jaccard join by parity sketches: links of similarity 3/4 and above, exactly.
+
+``op6_parity_join`` gives components: it finds links enough to connect them, no others.
+``op6_all_links`` gives every document's number of links too: it compares each pair of
+classes with a common key, in whatever component, so its work grows with the square of a
+group of near copies, as its links do.
 
 A parity sketch deals a document's shingles to M blocks and keeps the XOR of the hashes
 dealt to each: one shingle more or less changes one block, so the number of differing
@@ -11,7 +16,7 @@ bounded Misra-Gries summary, come last in the order, so boilerplate makes no key
 as a document has enough else.  Sets of fewer than ``SMALL`` shingles use the finest
 sketch, a block for every hash.
 
-Keys are not expanded into pairs.  Each member of a key's group is first compared with the
+For components, keys are not expanded into pairs.  Each member of a key's group is first compared with the
 group's smallest set; one parity bit per shingle gives a bit sketch whose Hamming distance
 must be within the bound before texts are fetched and compared exactly.  This settles
 groups of two.  Documents emit ``slack(n)`` more keys than needed, so linked documents share
@@ -26,7 +31,8 @@ shingles has fewer than D+1 non-empty blocks with a probability below 1e-9; the
 checks it and raises.
 
 Defined results: null text is empty; documents without words have no shingles and are their
-own component; rows with one doc_id are one node; null doc_ids are linked with nothing and
+own component; rows with one doc_id are one node (if their texts differ, each row counts the
+links of its own text); null doc_ids are linked with nothing and
 have a null component; an empty table gives an empty result; other columns are not read.
 """
 
@@ -275,8 +281,8 @@ class Join:
         self.heavy = np.sort(frequent["key"].to_numpy(np.int64).view(np.uint64))
         # Equal sets are one class, named by the smallest doc_id.
         sized = self.rows.where("n > 0 and doc_id is not null")
-        first = sized.groupBy("digest").agg(F.min("doc_id").alias("rep"))
-        self.member = stage(sized.select("doc_id", "n", "digest").join(first, "digest").select("doc_id", "rep", "n"), "member")
+        self.classes = sized.groupBy("digest").agg(F.min("doc_id").alias("rep"))
+        self.member = stage(sized.select("doc_id", "n", "digest").join(self.classes, "digest").select("doc_id", "rep", "n"), "member")
         reps = self.member.where("doc_id = rep").select("rep").distinct()
         self.sketch = self.rows.join(reps, self.rows.doc_id == reps.rep, "left_semi").select(F.col("doc_id").alias("rep"), "n", "sketch")
 
@@ -361,7 +367,20 @@ class Join:
             pairs = pairs.select(F.least("rep", "lead.rep").alias("a"), F.greatest("rep", "lead.rep").alias("b")).distinct()
             found = found.unionByName(self.verified(pairs, near=True))
             label = components(found)
-        left = self._open(rows, label).join(self.sketch.select("rep", "sketch"), "rep")
+        return found.unionByName(self._compared(self._open(rows, label)))
+
+    def all_links(self) -> DataFrame:
+        """Every link of two classes, once: (a, b), a < b."""
+        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), "key long, doc long, n int").select("key", "doc")
+        rows = rows.join(self.member.select(F.col("doc_id").alias("doc"), "rep", "n"), "doc").select("key", "rep", "n").distinct()
+        by = Window.partitionBy("key")
+        rows = rows.withColumn("l", F.min("rep").over(by)).withColumn("h", F.max("rep").over(by)).where("l < h").drop("l", "h")
+        # Each class is its own label, so that none of its pairs is left out.
+        return self._compared(stage(rows.withColumn("label", F.col("rep")), "shared"))
+
+    def _compared(self, left: DataFrame) -> DataFrame:
+        """Links between the rows (key, rep, n, label) of a key whose labels differ."""
+        left = left.join(self.sketch.select("rep", "sketch"), "rep")
         by = Window.partitionBy("key")
         # Keys of one cluster mostly have the same least member: their runs meet in one task,
         # which then gives each pair once.  A document's place in a large group is its own.
@@ -371,7 +390,28 @@ class Join:
         left = left.select("*", F.explode(F.sequence(F.lit(0), parts - 1)).alias("other"))
         left = left.select("home", "key", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"), "chunk", "rep", "n", "label", "sketch")
         runs = left.repartition("home", "low", "high").sortWithinPartitions("home", "low", "high", "key").drop("home")
-        return found.unionByName(self.verified(runs.mapInArrow(_cross, "a long, b long"), near=False))
+        return self.verified(runs.mapInArrow(_cross, "a long, b long"), near=False)
+
+    def documents(self) -> DataFrame:
+        """doc_id, n_shingles, component_id, class_id, n_links of every row."""
+        links = self.all_links()
+        size = stage(self.member.select("doc_id", "rep").distinct().groupBy("rep").agg(F.count(F.lit(1)).alias("size")), "size")
+        both = links.select(F.col("a").alias("own"), F.col("b").alias("rep")).unionByName(links.select(F.col("b").alias("own"), F.col("a").alias("rep")))
+        others = both.join(size, "rep").groupBy(F.col("own").alias("rep")).agg(F.sum("size").alias("others"))
+        found = size.join(others, "rep", "left").join(components(links).withColumnRenamed("node", "rep"), "rep", "left")
+        found = found.select("rep", (F.col("size") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("label", "rep").alias("label"))
+        # A doc_id with several texts is one node of the smallest class's component.
+        named = self.member.groupBy("doc_id").agg(F.min("rep").alias("rep")).join(found.select("rep", "label"), "rep").select("doc_id", F.col("label").alias("component_id"))
+        rows = self.rows.where("doc_id is not null").join(self.classes, "digest", "left").select("doc_id", "n", "rep")
+        rows = rows.unionByName(self.rows.where("doc_id is null").select("doc_id", "n", F.lit(None).cast("long").alias("rep")))
+        rows = rows.join(found.select("rep", "n_links"), "rep", "left").join(named, "doc_id", "left")
+        return rows.select(
+            "doc_id",
+            F.col("n").cast("long").alias("n_shingles"),
+            F.coalesce("component_id", "doc_id").alias("component_id"),
+            F.coalesce("rep", "doc_id").alias("class_id"),
+            F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
+        )
 
     def components(self) -> DataFrame:
         """doc_id, n_shingles, component_id of every row."""
@@ -395,3 +435,7 @@ def kept_documents(docs: DataFrame) -> DataFrame:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+def all_links_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return Join(table(spark, sf_dir, "documents")).documents()

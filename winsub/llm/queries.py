@@ -11,6 +11,7 @@ QUERIES = {
     "op4_packing": op04_packing.query,
     "op5_transport_stream": op05_transport_stream.query,
     "op6_parity_join": op06_parity_join.query,
+    "op6_all_links": op06_parity_join.all_links_query,
     "op7_quality_attention": op07_quality.query,
     "op8_token_counts": op08_token_counts.query,
     "op9_context_tree": op09_context_tree.query,
