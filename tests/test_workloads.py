@@ -46,6 +46,15 @@ def test_query_gives_rows(spark, sf_dir, name):
     assert QUERIES[name](spark, sf_dir).count() > 0
 
 
+def test_range_join_of_a_long_stream(spark, tmp_path):
+    """Hits beyond the first 200 segments."""
+    kind = "if(id in (7, 8, 9) or id > 209996, 'click', 'error')"
+    rows = spark.range(210_000).selectExpr("id event_id", "cast(0 as long) user_id", "timestamp_micros(id) ts", f"{kind} event_type")
+    rows.write.parquet(f"{tmp_path}/events.parquet")
+    found = QUERIES["rel_range_join"](spark, str(tmp_path))
+    assert sorted(map(tuple, found.collect())) == [(0, 7), (205, 209_997)]
+
+
 def test_entry(spark):
     import __spark_entry__
 
