@@ -129,6 +129,14 @@ def test_language_id(spark, docs, none):
     assert set(op3.predict(two, model).first()["languages"]) == {"de", "es"}
 
 
+def test_rare_language_is_learned(spark):
+    """A bounded sample keeps all rows of a language with few."""
+    rows = [(i, f"the common words {i}", "en") for i in range(3000)] + [(9000 + i, "zeldzame qwx woorden", "xx") for i in range(3)]
+    model = op3.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"), train_docs=30)
+    assert model.languages == ["en", "xx"] and np.ptp(model.logp[:, 1]) > 0
+    assert op3.share([3, 3000, 5000], 1003) == 500 and op3.share([3, 40], 1000) == 40 and op3.share([3, 3000], 30) == op3.LEAST_DOCS
+
+
 def test_packing(docs, none):
     from tokenizers import Tokenizer
 

@@ -6,7 +6,8 @@ the language set is the prefix of the languages, in order of their proportions,
 best penalised likelihood (half a logarithm of the word count for each language more).
 
 Fitting reads at most ``TRAIN_DOCS`` documents (expected number; chosen by a hash) of those
-with a language and of the training folds; every document is scored over its whole text.
+with a language and of the training folds, all documents of a language below its share and
+so many of each larger one as fill the rest, ``LEAST_DOCS`` of a language in any case; every document is scored over its whole text.
 
 Defined results: null text, or text without a letter, is ``und`` with score 0; ties go to
 the first language in order; an empty table gives an empty result; without any training
@@ -26,6 +27,8 @@ from winsub.llm.common import SLICE_BYTES, fold, slices, table, utf8
 
 #: Expected number of documents that fitting reads, hash buckets, EM rounds.
 TRAIN_DOCS, BUCKETS, ROUNDS = 20_000, 1 << 16, 12
+#: Documents (expected number) that a language has in fitting, if there are as many.
+LEAST_DOCS = 100
 #: Trigrams of a word overlap: their log-likelihoods are scaled down by this.
 TEMPER = 1 / 3
 
@@ -145,6 +148,17 @@ class Model:
         return names, scores, sets
 
 
+def share(sizes: list[int], most: int) -> float:
+    """The bound of each size at which the bounded sizes sum to ``most``, ``LEAST_DOCS`` at least."""
+    left = float(most)
+    for k, n in enumerate(sorted(sizes)):
+        even = left / (len(sizes) - k)
+        if n > even:
+            return max(even, LEAST_DOCS)
+        left -= n
+    return float(max(sizes))
+
+
 def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> Model:
     """Trigram counts of each language over a hash-chosen sample of the rows with a language."""
     rows = docs.where("lang is not null and text is not null")
@@ -152,8 +166,9 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> Model:
     languages, total = sorted(by), sum(by.values())
     if not total:
         return Model([], np.zeros((0, BUCKETS)))
-    part = min(1.0, train_docs / total)
-    some = rows.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 20)) < int(part * (1 << 20)) + 1)
+    most = share(list(by.values()), train_docs)
+    parts = F.create_map(*[F.lit(x) for lang, n in by.items() for x in (lang, int(min(1.0, most / n) * (1 << 20)) + 1)])
+    some = rows.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 20)) < parts[F.col("lang")])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros((len(languages), BUCKETS), np.int64)
