@@ -8,9 +8,12 @@ lost executor costs a re-read and Spark knows the staged size when it picks join
 from __future__ import annotations
 
 import atexit
+import ctypes
+import re
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -18,26 +21,61 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text expanded into numpy arrays at one time by a worker.
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 18
+#: Rows of a batch that the JVM hands to a worker where texts are read.
+BATCH_ROWS = 1024
 
 _STAGED: list[tuple[SparkSession, str]] = []
+#: What workers remember between tasks, by operator; see ``lean``.
+CACHES: dict[str, dict] = {}
+
+Batches = Iterator[pa.RecordBatch]
+
+
+def _lean(run: Callable[[Batches], Batches], cache: str | None, batches: Batches) -> Batches:
+    for name in CACHES.keys() - {cache}:
+        CACHES[name].clear()
+    try:
+        yield from run(batches)
+    finally:
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+
+def lean(run: Callable[[Batches], Batches], cache: str | None = None) -> Callable[[Batches], Batches]:
+    """``run`` for a reused worker: caches of other operators go first, freed memory goes back at the end."""
+    return partial(_lean, run, cache)
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's shared folder; a temporary one only where none is set (tests)."""
+    """The session's shared folder; a temporary one only on a single machine where none is set (tests)."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="winsub-")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
 
 
+def staged_path(spark: SparkSession, tag: str) -> str:
+    """A new folder's path below the shared folder; ``drop_staged`` deletes it."""
+    path = f"{shared_folder(spark)}/winsub-{uuid.uuid4().hex}"
+    _STAGED.append((spark, path))
+    return f"{path}/{tag}"
+
+
 def stage(df: DataFrame, tag: str, parts: int | None = None) -> DataFrame:
     """Write ``df`` once to the shared folder and return a scan of what was written."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/winsub-{uuid.uuid4().hex}/{tag}"
-    (df.coalesce(parts) if parts else df).write.parquet(path)
-    _STAGED.append((spark, path))
+    spark, key = df.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    path, rows = staged_path(spark, tag), spark.conf.get(key)
+    spark.conf.set(key, str(min(int(rows), BATCH_ROWS)) if int(rows) > 0 else str(BATCH_ROWS))
+    try:
+        (df.coalesce(parts) if parts else df).write.parquet(path)
+    finally:
+        spark.conf.set(key, rows)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from winsub.llm.common import stage
@@ -16,21 +16,22 @@ def components(edges: DataFrame) -> DataFrame:
     """(a, b) edges -> (node, label): label is the smallest node of node's component.
 
     Every round first hangs each node's larger neighbours, then its smaller ones, below the
-    smallest neighbour; it ends when a round changes nothing.  Nodes are never gathered:
-    minima are window aggregates that spill.
+    smallest neighbour; it ends when a round changes nothing.  Neighbours are never gathered:
+    minima are summed up before they are shuffled and meet their edges in a join, whose large
+    partitions Spark splits, so a hub costs no task more than others.
     """
     now = edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
     now = stage(now, "edges")
     seen = _digest(now)
     if not seen[0]:
         return now.select(F.col("a").alias("node"), F.col("b").alias("label"))
-    by = Window.partitionBy("a")
     while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.withColumn("m", F.least("a", F.min("b").over(by)))
-        large = low.where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        low = large.withColumn("m", F.min("b").over(by))
-        small = low.where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low.select("a", F.col("m").alias("b")))
+        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+        large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = stage(large, "hung")
+        least = large.groupBy("a").agg(F.min("b").alias("m"))
+        small = large.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b")))
         now = stage(small.distinct(), "edges")
         done, seen = seen, _digest(now)
         if done == seen:

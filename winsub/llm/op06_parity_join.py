@@ -8,16 +8,19 @@ group of near copies, as its links do.
 A parity sketch deals a document's shingles to M blocks and keeps the XOR of the hashes
 dealt to each: one shingle more or less changes one block, so the number of differing
 blocks is at most the symmetric difference, and two sets with Jaccard similarity of 3/4
-differ in at most (|A|+|B|)/7 shingles.  Per size band (M is the power of two above the
-larger set) the pigeonhole principle therefore leaves common non-empty blocks: in any one
-order of blocks, documents that link share one among their first D+1 (D: the differences
-allowed).  Those blocks are the join keys.  Blocks of frequent shingles only, found by a
-bounded Misra-Gries summary, come last in the order, so boilerplate makes no keys as long
-as a document has enough else.  Sets of fewer than ``SMALL`` shingles use the finest
-sketch, a block for every hash.
-
-For components, keys are not expanded into pairs.  Each member of a key's group is first compared with the
-group's smallest set; one parity bit per shingle gives a bit sketch whose Hamming distance
+differ in at most (|A|+|B|)/7 shingles.  Per size band (``RATIO`` wide, M is 16 times the
+band's largest size) the pigeonhole principle therefore leaves common non-empty blocks: in
+any one order of blocks, documents that link share one among their first D+1 (D: the
+differences allowed).  Those blocks are the join keys.  Blocks of frequent shingles only,
+found by a bounded Misra-Gries summary, come last in the order, so boilerplate makes no keys
+as long as a document has enough else.  Sets of fewer than ``SMALL`` shingles use the finest
+sketch, a block for every hash; so do, beside their own band, documents with so few
+non-empty blocks that they, or a partner, could have too few for the bound.
+
+For components, keys are not expanded into pairs.  Each member of a key's group is first
+compared with the group's smallest set.  Workers do that for the documents they hold before
+anything is shuffled, so a key that very many documents have sends one row a buffer, not one
+a document.  One parity bit per shingle gives a bit sketch whose Hamming distance
 must be within the bound before texts are fetched and compared exactly.  This settles
 groups of two.  Documents emit ``slack(n)`` more keys than needed, so linked documents share
 that many more: one with no more keys in groups of three and above than its partners have
@@ -26,9 +29,7 @@ ones are contracted, further leaders of the groups are tried for ``ROUNDS`` roun
 members of different components that still share a key are compared, in blocks of
 ``CHUNK`` members, again by Hamming distance first.
 
-Equality of shingles and blocks is that of 64-bit hashes.  A document with n >= 64
-shingles has fewer than D+1 non-empty blocks with a probability below 1e-9; the writer
-checks it and raises.
+Equality of shingles and blocks is that of 64-bit hashes.
 
 Defined results: null text is empty; documents without words have no shingles and are their
 own component; rows with one doc_id are one node (if their texts differ, each row counts the
@@ -46,12 +47,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from winsub.llm.common import mix64, shingle_sets, slices, stage, table, utf8
+from winsub.llm.common import lean, mix64, shingle_sets, slices, stage, table, utf8
 from winsub.llm.components import components
 
-SMALL, CHUNK, HEAVY, ROUNDS = 64, 1024, 4096, 2
-#: Digests a worker remembers to skip copies inside its partition; bits of the text filter.
-REMEMBERED, FILTER_BITS = 200_000, 1 << 22
+SMALL, RATIO, CHUNK, HEAVY, ROUNDS = 64, 16, 2048, 4096, 2
+#: Digests a worker remembers to skip copies inside its partition; bits of the text filter;
+#: keys a worker holds to settle their groups; rows of one cluster that a task compares.
+REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS = 50_000, 1 << 22, 1_000_000, 8192
 
 
 def bound(a, b):
@@ -87,7 +89,7 @@ def _first(element: np.ndarray, heavy: np.ndarray, k: int) -> np.ndarray:
     """The k first elements: those not heavy before heavy ones, then by hash."""
     if k >= len(element):
         return element
-    return element[np.lexsort((element, heavy))[:k]]
+    return element[np.argpartition(element >> np.uint64(1) | heavy.astype(np.uint64) << np.uint64(63), k - 1)[:k]]
 
 
 def _is_heavy(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
@@ -98,24 +100,32 @@ def _is_heavy(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
     return heavy[at] == hashes
 
 
+def bands(n: int) -> list[tuple[int, int]]:
+    """(blocks, differences allowed) of the size bands in which a set of n >= SMALL can link."""
+    top = SMALL
+    while top < n:
+        top *= RATIO
+    found = [(16 * top, bound(n, min(top, 4 * n // 3)))]
+    return found + [(16 * top * RATIO, n // 3)] if 4 * n >= 3 * (top + 1) else found
+
+
 def keys(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
     """Join keys of one document: first blocks of its sketches in the bands it can link in."""
     n, out = len(hashes), []
     hot = _is_heavy(hashes, heavy)
-    if 3 * n < 4 * SMALL:  # a partner, or the document, may be small
-        out.append(_first(mix64(hashes), hot, n // 4 + 1 + slack(n)))
+    finest = 3 * n < 4 * SMALL  # a partner, or the document, may be small
     if n >= SMALL:
-        m = 1 << (n - 1).bit_length()
-        bands = [(m, bound(n, m))] + ([(2 * m, n // 3)] if 4 * n >= 3 * (m + 1) else [])
-        for blocks, most in bands:
+        for blocks, most in bands(n):
             block = (hashes >> np.uint64(24)).astype(np.int64) & (blocks - 1)
-            order = np.argsort(block, kind="stable")
+            order = np.argsort(block)
             begin = np.flatnonzero(np.diff(block[order], prepend=-1))
             word = np.bitwise_xor.reduceat(hashes[order], begin)
             element = mix64(word ^ mix64((block[order[begin]] + blocks).astype(np.uint64)))
-            if len(element) <= most + slack(n):
-                raise ValueError(f"{len(element)} blocks for {n} shingles")
             out.append(_first(element, np.logical_and.reduceat(hot[order], begin), most + 1 + slack(n)))
+            # A set with too few blocks for its bound (n/3 + n/16) has partners with at most 0.87 of their size.
+            finest |= 8 * len(element) <= 7 * n
+    if finest:
+        out.append(_first(mix64(hashes), hot, n // 4 + 1 + slack(n)))
     return np.concatenate(out) if out else np.empty(0, np.uint64)
 
 
@@ -156,14 +166,49 @@ def _profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip([none, none, none, none, frequent.key.view(np.int64), frequent.count], kinds, strict=True)], names)
 
 
+EMITTED = "place long, key long, doc long, n int, leader long, times long"
+
+
+def _settle(key: np.ndarray, doc: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+    """Rows of ``EMITTED``: of three and more documents with one key the smallest set leads.
+
+    A leader (or a document of a smaller group) has its key as its place and stands for
+    ``times`` documents; the others have places of their own and name their leader.
+    """
+    order = np.lexsort((doc, n, key))
+    key, doc, n = key[order], doc[order], n[order]
+    first = np.flatnonzero(np.diff(key, prepend=key[0] ^ 1))
+    size = np.diff(np.append(first, len(key)))
+    many = np.repeat(size > 2, size)
+    led = many.copy()
+    led[first] = False
+    times = np.where(many, 0, 1)
+    times[first[size > 2]] = size[size > 2]
+    own = mix64(key.view(np.uint64) ^ mix64(doc.view(np.uint64))).view(np.int64)
+    leader = pa.array(np.repeat(doc[first], size), pa.int64(), mask=~led)
+    return pa.RecordBatch.from_arrays([pa.array(np.where(led, own, key)), pa.array(key), pa.array(doc), pa.array(n), leader, pa.array(times.astype(np.int64))], [x.split(" ")[0] for x in EMITTED.split(", ")])
+
+
 def _emit(heavy: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
+        out, docs, sizes, held = [], [], [], 0
+
+        def settled() -> Iterator[pa.RecordBatch]:
+            nonlocal held
+            if out:
+                each = [len(k) for k in out]
+                rows = _settle(np.concatenate(out).view(np.int64), np.repeat(np.array(docs, np.int64), each), np.repeat(np.array(sizes, np.int32), each))
+                for x in (out, docs, sizes):
+                    x.clear()
+                held = 0
+                for k in range(0, rows.num_rows, 1 << 16):
+                    yield rows.slice(k, 1 << 16)
+
         for b in batches:
             data, offsets = utf8(b.column(1))
             ids = b.column(0).to_numpy()
             for i, j in slices(offsets):
-                out, docs, sizes = [], [], []
                 for doc, s in zip(ids[i:j], shingle_sets(data, offsets[i : j + 1]), strict=True):
                     digest = hashlib.blake2b(s.tobytes(), digest_size=16).digest()
                     if not len(s) or digest in seen:
@@ -174,14 +219,12 @@ def _emit(heavy: np.ndarray):
                     out.append(keys(s, heavy))
                     docs.append(doc)
                     sizes.append(len(s))
-                if out:
-                    each = [len(k) for k in out]
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.concatenate(out).view(np.int64)), pa.array(np.repeat(np.array(docs, np.int64), each)), pa.array(np.repeat(np.array(sizes, np.int32), each))],
-                        ["key", "doc", "n"],
-                    )
+                    held += len(out[-1])
+                if held > HELD:
+                    yield from settled()
+        yield from settled()
 
-    return run
+    return lean(run)
 
 
 def _near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -207,12 +250,12 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
-def _block(group: dict[str, np.ndarray], sketches: list[bytes]) -> list[tuple[int, int]]:
+def _block(group: dict[str, np.ndarray], sketches: list[bytes]) -> tuple[list[np.ndarray], list[np.ndarray]]:
     """Pairs of different components in one block of a key's members, by Hamming distance."""
     n, label, rep, chunk = (group[x] for x in ("n", "label", "rep", "chunk"))
     low, same = group["low"][0], group["low"][0] == group["high"][0]
     words = np.array([len(s) // 8 for s in sketches])
-    found = []
+    one, other = [], []
     for w in np.unique(words):
         wide = np.flatnonzero((words == w) | (words == 2 * w))
         m = np.stack([halve(np.frombuffer(sketches[i], np.uint64), w) for i in wide])
@@ -227,8 +270,9 @@ def _block(group: dict[str, np.ndarray], sketches: list[bytes]) -> list[tuple[in
             if len(at):
                 far = np.bitwise_count(m[at] ^ m[k]).sum(axis=1)
                 hit = wide[at[far <= bound(n[wide[at]], n[i])]]
-                found += [(min(rep[i], rep[j]), max(rep[i], rep[j])) for j in hit]
-    return found
+                one.append(np.minimum(rep[i], rep[hit]))
+                other.append(np.maximum(rep[i], rep[hit]))
+    return one, other
 
 
 _BLOCK = ["key", "low", "high", "chunk", "rep", "n", "label"]
@@ -236,23 +280,21 @@ _BLOCK = ["key", "low", "high", "chunk", "rep", "n", "label"]
 
 def _cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """``_block`` of each run of equal (key, low, high); a run has about 2 * CHUNK rows."""
-    held, seen = None, set()
+    held = None
 
-    def pairs(rows: pa.Table) -> Iterator[tuple[int, int]]:
+    def out(rows: pa.Table) -> pa.RecordBatch:
         columns = {x: rows[x].to_numpy() for x in _BLOCK}
-        sketches = rows["sketch"].to_pylist()
+        sketches = rows["sketch"]
         new = np.flatnonzero((np.diff(columns["key"], prepend=0) != 0) | (np.diff(columns["low"], prepend=-1) != 0) | (np.diff(columns["high"], prepend=-1) != 0))
+        a, b = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
         for i, j in zip(new, np.append(new[1:], rows.num_rows), strict=True):
             if columns["label"][i:j].min() < columns["label"][i:j].max():
-                yield from _block({x: c[i:j] for x, c in columns.items()}, sketches[i:j])
-
-    def out(rows: pa.Table) -> pa.RecordBatch:
-        found = set(pairs(rows)) - seen
-        if len(seen) > 1_000_000:
-            seen.clear()
-        seen.update(found)
-        a, b = zip(*found, strict=True) if found else ((), ())
-        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+                one, other = _block({x: c[i:j] for x, c in columns.items()}, sketches[i:j].to_pylist())
+                a += one
+                b += other
+        # A cluster's keys give the same pairs again and again.
+        found = np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
 
     for b in batches:
         rows = pa.Table.from_batches([b])
@@ -274,7 +316,7 @@ class Join:
 
     def __init__(self, docs: DataFrame):
         self.texts = docs.selectExpr("cast(doc_id as long) doc_id", "text")
-        made = stage(self.texts.mapInArrow(_profile, PROFILE), "profile")
+        made = stage(self.texts.mapInArrow(lean(_profile), PROFILE), "profile")
         self.rows = made.where("n is not null").select("doc_id", "n", "digest", "sketch")
         summed = made.where("key is not null").groupBy("key").agg(F.sum("times").alias("times"))
         frequent = summed.where("times >= 64").orderBy(F.desc("times"), "key").limit(HEAVY).select("key").toPandas()
@@ -291,11 +333,11 @@ class Join:
 
         ``key`` is null where the group has no third member: its one pair says it all.
         """
-        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), "key long, doc long, n int")
-        by = Window.partitionBy("key")
-        lead = rows.withColumn("lead", F.min(F.struct("n", "doc")).over(by)).withColumn("size", F.count(F.lit(1)).over(by))
-        lead = lead.where("doc <> lead.doc")
-        return stage(lead.select(F.when(F.col("size") > 2, F.col("key")).alias("key"), "doc", F.col("lead.doc").alias("leader")).distinct(), "keyed")
+        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), EMITTED)
+        by = Window.partitionBy("place")  # one row a worker's buffer and key at most, but for groups of two
+        lead = rows.withColumn("lead", F.min(F.struct("n", "doc")).over(by)["doc"]).withColumn("size", F.sum("times").over(by))
+        lead = lead.select("doc", F.coalesce("leader", "lead").alias("leader"), F.when(F.col("leader").isNotNull() | (F.col("size") > 2), F.col("key")).alias("key"))
+        return stage(lead.where("doc <> leader").select("key", "doc", "leader").distinct(), "keyed")
 
     def verified(self, pairs: DataFrame, near: bool) -> DataFrame:
         """(a, b) of classes -> those that link: sizes, then sketches, then texts."""
@@ -304,13 +346,13 @@ class Join:
             pairs = pairs.join(s.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sketch").alias("sa")), "a")
             pairs = pairs.join(s.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sketch").alias("sb")), "b")
             pairs = pairs.where("100 * least(na, nb) >= 75 * greatest(na, nb)")
-            pairs = pairs.select("a", "b", "na", "sa", "nb", "sb").mapInArrow(_near, "a long, b long")
+            pairs = pairs.select("a", "b", "na", "sa", "nb", "sb").mapInArrow(lean(_near), "a long, b long")
         pairs = stage(pairs.distinct(), "pairs")
         ends = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
         texts = stage(self._some(ends).select("doc_id", "text"), "texts")
         full = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a")
         full = full.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
-        return stage(full.select("a", "b", "ta", "tb").mapInArrow(_verify, "a long, b long").distinct(), "links")
+        return stage(full.select("a", "b", "ta", "tb").mapInArrow(lean(_verify), "a long, b long").distinct(), "links")
 
     def _some(self, ends: DataFrame) -> DataFrame:
         """Texts of the given documents; a filter of fixed size spares others the shuffle."""
@@ -351,46 +393,48 @@ class Join:
     def _open(rows: DataFrame, label: DataFrame) -> DataFrame:
         """Rows with their components' labels, of keys that more than one component has."""
         rows = rows.join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("label", "rep").alias("label"))
-        by = Window.partitionBy("key")
-        return rows.withColumn("l", F.min("label").over(by)).withColumn("h", F.max("label").over(by)).where("l < h").drop("l", "h")
+        shared = rows.groupBy("key").agg((F.min("label") < F.max("label")).alias("open")).where("open").select("key")
+        return stage(rows.join(shared, "key", "left_semi"), "open")
 
     def links(self) -> DataFrame:
         """Links of classes that connect all components: (a, b)."""
         keyed = self.keyed()
         found = self.verified(self._classes(keyed.select("doc", "leader").distinct()), near=True)
         label = components(found)
-        rows = self._unsettled(keyed)
+        rows = self._open(self._unsettled(keyed), label)
         for k in range(ROUNDS):
-            left = self._open(rows, label)
-            lead = F.min(F.struct(F.xxhash64("rep", F.lit(k)).alias("h"), "rep", "label")).over(Window.partitionBy("key"))
-            pairs = left.withColumn("lead", lead).where("label <> lead.label")
-            pairs = pairs.select(F.least("rep", "lead.rep").alias("a"), F.greatest("rep", "lead.rep").alias("b")).distinct()
+            place = F.xxhash64("rep", F.lit(k))
+            lead = rows.groupBy("key").agg(F.min_by("rep", place).alias("leader"), F.min_by("label", place).alias("own"))
+            pairs = rows.join(lead, "key").where("label <> own")
+            pairs = pairs.select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")).distinct()
             found = found.unionByName(self.verified(pairs, near=True))
             label = components(found)
-        return found.unionByName(self._compared(self._open(rows, label)))
+            rows = self._open(rows.select("key", "rep", "n"), label)
+        return found.unionByName(self._compared(rows))
 
     def all_links(self) -> DataFrame:
         """Every link of two classes, once: (a, b), a < b."""
-        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), "key long, doc long, n int").select("key", "doc")
+        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), EMITTED).select("key", "doc")
         rows = rows.join(self.member.select(F.col("doc_id").alias("doc"), "rep", "n"), "doc").select("key", "rep", "n").distinct()
-        by = Window.partitionBy("key")
-        rows = rows.withColumn("l", F.min("rep").over(by)).withColumn("h", F.max("rep").over(by)).where("l < h").drop("l", "h")
         # Each class is its own label, so that none of its pairs is left out.
-        return self._compared(stage(rows.withColumn("label", F.col("rep")), "shared"))
+        nobody = rows.sparkSession.createDataFrame([], "node long, label long")
+        return self._compared(self._open(stage(rows, "all"), nobody))
 
     def _compared(self, left: DataFrame) -> DataFrame:
         """Links between the rows (key, rep, n, label) of a key whose labels differ."""
-        left = left.join(self.sketch.select("rep", "sketch"), "rep")
-        by = Window.partitionBy("key")
-        # Keys of one cluster mostly have the same least member: their runs meet in one task,
-        # which then gives each pair once.  A document's place in a large group is its own.
+        # Keys of one cluster mostly have the same least member: their runs meet in one task, which
+        # then gives each pair once; a large cluster's keys are dealt to tasks of about CLUSTER_ROWS
+        # rows.  A document's place in a large group is its own.
+        sizes = stage(left.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min(F.xxhash64("rep")).alias("home")), "sizes")
+        homes = sizes.groupBy("home").agg(F.ceil(F.sum("size") / CLUSTER_ROWS).alias("spread"))
+        sizes = sizes.join(homes, "home").select("key", "size", "home", F.expr("pmod(xxhash64(key), spread)").alias("share"))
         parts = F.expr(f"cast(power(2, greatest(0, ceil(log2(size / {CHUNK})))) as int)")
-        left = left.withColumn("size", F.count(F.lit(1)).over(by)).withColumn("home", F.min(F.xxhash64("rep")).over(by))
-        left = left.withColumn("chunk", F.pmod(F.xxhash64("rep"), parts).cast("int"))
+        left = left.join(sizes, "key").withColumn("chunk", F.pmod(F.xxhash64("rep"), parts).cast("int"))
+        left = left.join(self.sketch.select("rep", "sketch"), "rep")
         left = left.select("*", F.explode(F.sequence(F.lit(0), parts - 1)).alias("other"))
-        left = left.select("home", "key", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"), "chunk", "rep", "n", "label", "sketch")
-        runs = left.repartition("home", "low", "high").sortWithinPartitions("home", "low", "high", "key").drop("home")
-        return self.verified(runs.mapInArrow(_cross, "a long, b long"), near=False)
+        left = left.select("home", "share", "key", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"), "chunk", "rep", "n", "label", "sketch")
+        runs = left.repartition("home", "share", "low", "high").sortWithinPartitions("home", "share", "low", "high", "key").drop("home", "share")
+        return self.verified(runs.mapInArrow(lean(_cross), "a long, b long"), near=False)
 
     def documents(self) -> DataFrame:
         """doc_id, n_shingles, component_id, class_id, n_links of every row."""
