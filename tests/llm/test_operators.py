@@ -329,7 +329,7 @@ def test_context_tree_by_definition(spark, docs, none):
     d, grams = op9.DEPTH, Counter()
     for i, t in enumerate(TEXTS):
         if i not in (10, 11, 12):
-            s = bytes(d) + (t or "").encode()
+            s = bytes(d) + (t or "").encode() + bytes([op9.END])
             grams.update(s[k - d : k + 1] for k in range(d, len(s)))
     count = {}
     for g, c in grams.items():
@@ -382,8 +382,8 @@ def test_context_tree_by_definition(spark, docs, none):
             if history[len(history) - k :] not in count:
                 return p + left * (rest[1] + 0.5) / (rest[0] + rest[1] + 1)
 
-    for i in (3, 5, 7, 9, 92, 93, 94):
-        s, total = bytes(d) + (TEXTS[i] or "").encode(), 0.0
+    for i in (0, 1, 3, 5, 7, 9, 92, 93, 94):
+        s, total = bytes(d) + (TEXTS[i] or "").encode() + bytes([op9.END]), 0.0
         for k in range(d, len(s)):
             for m in range(8):
                 p = one(s[k - d : k], f"{s[k]:08b}"[:m])
@@ -392,7 +392,7 @@ def test_context_tree_by_definition(spark, docs, none):
     assert op9.score(none, model).count() == 0
     blank = op9.fit(none)
     assert (blank.total, blank.distinct) == (0, 1) and op9.score(docs, blank).count() == len(TEXTS)
-    assert math.isclose({r.doc_id: r.score for r in op9.score(docs, blank).collect()}[3], -8 * math.log10(2), rel_tol=1e-5)
+    assert math.isclose({r.doc_id: r.score for r in op9.score(docs, blank).collect()}[3], -16 * math.log10(2), rel_tol=1e-5)
 
 
 def test_every_counted_context_is_in_the_tree(spark):
@@ -401,12 +401,12 @@ def test_every_counted_context_is_in_the_tree(spark):
     texts = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(1000)) for _ in range(30)]
     rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     model = op9.fit(rows)
-    contexts = {bytes(op9.DEPTH - k) + t[:k].encode() if k < op9.DEPTH else t[k - op9.DEPTH : k].encode() for t in texts for k in range(len(t))}
-    nodes = model.tree.levels[op9.DEPTH].selectExpr("count(distinct shiftright(node, 8)) n").first().n
+    contexts = {bytes(op9.DEPTH - k) + t[:k].encode() if k < op9.DEPTH else t[k - op9.DEPTH : k].encode() for t in texts for k in range(len(t) + 1)}
+    nodes = model.tree.grams.selectExpr("count(distinct shiftright(path, 8)) n").first().n
     assert nodes == len(contexts) > 16_384
     # Sent to the workers or met in a join, the codes count the same.
     few = op9.fit(rows, codes=100)
-    assert 0 < len(few.tree.known.codes) <= 100 < len(model.tree.known.codes)
+    assert 0 < len(few.known.path) <= 100 < len(model.known.path)
     some = rows.where("doc_id < 3").unionByName(spark.createDataFrame([(100, "zzzz unseen \u00e9"), (101, ""), (102, None)], "doc_id long, text string"))
     a, b = ({r.doc_id: r.score for r in op9.score(some, m).collect()} for m in (model, few))
     assert len(a) == 6 and a.keys() == b.keys() and all(math.isclose(a[i], b[i], rel_tol=1e-5, abs_tol=1e-9) for i in a)
@@ -414,9 +414,37 @@ def test_every_counted_context_is_in_the_tree(spark):
 
 def test_rare_words_meet_their_counts_in_a_join(docs):
     few = op9.fit(docs, heavy=2)
-    assert len(few.heavy) <= 2
-    a, b = by_id(op9.score(docs, few), "n_known"), by_id(op9.score(docs, op9.fit(docs)), "n_known")
-    assert a == b
+    assert len(few.heavy.word) <= 2
+    a, b = by_id(op9.score(docs, few), "n_known", "base_score"), by_id(op9.score(docs, op9.fit(docs)), "n_known", "base_score")
+    assert a.keys() == b.keys() and all(a[i][0] == b[i][0] and math.isclose(a[i][1], b[i][1], rel_tol=1e-9) for i in a)
+
+
+def test_probabilities_of_texts_sum_to_one_at_most(spark):
+    """All texts over one letter, each with its end: the end makes it a distribution over texts."""
+    rows = spark.createDataFrame([(i, "a" * (i % 4)) for i in range(40)] + [(40, "a"), (40, "a"), (None, None)], "doc_id long, text string")
+    found = op9.score(spark.createDataFrame([(i, "a" * i) for i in range(30)], "doc_id long, text string"), op9.fit(rows)).collect()
+    assert 0.5 < sum(10**r.score for r in found) <= 1 + 1e-9
+    assert len(op9.score(rows, op9.fit(rows)).collect()) == 43
+
+
+def test_blocks_and_runs_change_nothing(monkeypatch):
+    """Texts longer than a block have the same paths; subtrees weighed a few at a time give the same sums."""
+    import pyarrow as pa
+
+    monkeypatch.setattr(op9, "WEIGHED", 3)
+    texts = [t.encode() for t in TEXTS[3:10]]
+    data, offsets = np.frombuffer(b"".join(texts), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    text, _, begin = op9._ended(data, offsets)
+    whole = op9.paths(text, begin, 0, len(text))
+    assert np.concatenate([op9.paths(text, begin, at, min(len(text), at + 7)) for at in range(0, len(text), 7)]).tolist() == whole.tolist()
+    path, n = np.unique(whole, return_counts=True)
+    batches = (pa.RecordBatch.from_arrays([pa.array(x[k : k + 5]) for x in (path >> 24, path, n)], ["two", "path", "n"]) for k in range(0, len(path), 5))
+    sums = {}
+    for b in op9._up(batches):
+        for key, *v in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            sums[key] = np.add(sums.get(key, 0), v)
+    key, *want = op9.subtrees(path, n)[0].shorter()
+    assert sorted(sums) == key.tolist() and np.allclose([sums[k] for k in key.tolist()], np.array(want).T)
 
 
 def test_warc(spark, tmp_path):

@@ -1,31 +1,36 @@
 """LM scoring by context-tree weighting, beside a word-frequency base score.
 
-Bytes are coded as eight binary decisions.  For every decision the contexts of 0 to
-``DEPTH`` preceding bytes form a tree; each node has a Krichevsky-Trofimov estimate from the training
-counts, and the weighting mixes the node's own estimate with its children's, bottom up, by
-their exact evidence.  The score is log10 of the text's probability; code length per byte
+A text is its UTF-8 bytes and one end symbol (255, which UTF-8 does not use), each coded as
+eight binary decisions.  For every decision the contexts of 0 to ``DEPTH`` preceding bytes form
+a tree; each node has a Krichevsky-Trofimov estimate from the training counts, and the
+weighting mixes the node's own estimate with its children's, bottom up, by their exact
+evidence.  The score is log10 of the probability of the text and its end; code length per byte
 follows from it.
 
-Counts of (context, byte) cover the whole training text and are summed by Spark, and the tree
-has every context counted: its evidences are summed depth by depth in Spark and its mixture
-is folded from the root down, both as tables with a row for each context and decision.  Log
-probabilities of (context, byte) codes above a count chosen so that at most ``CODES`` exceed
-it are sent to the workers, where scoring is one lookup per byte; all other codes of a text
-meet the tree in a join, where what was never counted takes the mixture of its longest
-counted suffix.  Word counts grow with the input and stay distributed; only words above a count chosen so that at most
-``HEAVY`` exceed it are sent to the workers, all others meet their counts in a shuffle.
-
-Defined results: null text is empty: one token (the end), code length 0; without training
-rows N is 0, V is 1 (the end) and nothing is known; an empty table gives an empty result;
-columns other than doc_id and text are not read.
+Counts cover the whole training text, and the tree has every context counted.  A *path* is a
+symbol below its context, the latest byte highest, so paths in order are the tree's leaves in
+depth-first order.  Paths are dealt out by their two latest bytes and sorted; a task weighs
+the subtrees of three bytes one after the other and hands the two-byte nodes on, whose
+evidences Spark sums.  Nodes of one byte and none (65,536 at most) are weighed on the driver.
+The mixture comes down the same way: a task meets its two-byte nodes before their paths.
+
+Log probabilities of the paths above a count chosen so that at most ``CODES`` exceed it are
+sent to the workers, where scoring is one lookup a byte; all other paths of a text are asked of
+the tree in one more pass, in which what was never counted has no counts and so takes the
+mixture of its longest counted suffix.  Words are counted by 64-bit hashes; their counts grow
+with the input and stay distributed; only words above a count chosen so that at most ``HEAVY``
+exceed it are sent to the workers, all others meet their counts in a join.
+
+Defined results: null text is empty: one token and one symbol (the end); without training
+rows N is 0, V is 1 (the end), nothing is known and every decision is even; ``held_out`` of a
+null doc_id is false; rows with one doc_id are scored each; an empty table gives an empty
+result; columns other than doc_id and text are not read.
 """
 
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
-from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -33,204 +38,352 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winsub.llm.common import fold, slices, stage, table, utf8
+from winsub.llm.common import blocks, fold, lean, slices, spaced, stage, table, utf8, word_hashes
 
-#: Words at most that workers hold; distinct words a worker gathers before it hands them on.
-HEAVY, GATHER = 1 << 17, 150_000
-#: Bytes of context (6 at most: codes are longs), codes at most that workers hold, codes a
-#: worker gathers.
-DEPTH, CODES, GRAMS = 4, 1 << 20, 1_000_000
+#: Bytes of context (3 to 6: paths are longs); the end of a text.
+DEPTH, END = 4, 255
+#: Words and paths at most that workers hold; distinct ones a worker gathers before it hands them on.
+HEAVY, CODES, GATHER = 1 << 20, 1 << 20, 1 << 20
+#: Symbols handled at one time; paths weighed at one time (and those of one three-byte context).
+BLOCK, WEIGHED = 1 << 17, 1 << 15
+LN2 = math.log(2)
 
 
-def _contexts(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
-    """The byte 1, 2, ... ``DEPTH`` places before each byte; before a text stand zeros."""
-    d = data[offsets[0] : offsets[-1]]
-    begin = offsets[:-1] - offsets[0]
-    out = []
+def paths(text: np.ndarray, begin: np.ndarray, at: int, to: int) -> np.ndarray:
+    """The path of each symbol of text[at:to]; rows start at ``begin``, before them stand zeros."""
+    out = text[at:to].astype(np.int64)
+    near = begin[np.searchsorted(begin, at - DEPTH) : np.searchsorted(begin, to)] - at
     for k in range(1, DEPTH + 1):
-        back = np.zeros_like(d)
-        back[k:] = d[:-k]
+        back = np.zeros(to - at, np.int64)
+        lead = max(0, k - at)
+        back[lead:] = text[at + lead - k : to - k]
         for j in range(k):
-            at = begin + j
-            back[at[at < np.append(begin[1:], len(d))]] = 0
-        out.append(back)
+            cut = near + j
+            back[cut[(cut >= 0) & (cut < to - at)]] = 0
+        out |= back << 8 * (DEPTH + 1 - k)
     return out
 
 
-def _codes(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    """Each byte below the ``DEPTH`` bytes before it, the latest lowest."""
-    code = data[offsets[0] : offsets[-1]].astype(np.int64)
-    for k, back in enumerate(_contexts(data, offsets), 1):
-        code |= back.astype(np.int64) << 8 * k
-    return code
-
-
 def _log_kt(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Log evidence of a zeros and b ones under the Krichevsky-Trofimov estimate."""
-    out, half = np.empty(a.shape), 2 * math.lgamma(0.5)
-    for i in range(0, len(a), 1024):  # a part at a time: the series needs many temporaries
-        x, y = a[i : i + 1024], b[i : i + 1024]
-        out[i : i + 1024] = _lgamma(x + 0.5) + _lgamma(y + 0.5) - half - _lgamma(x + y + 1.0)
-    return out
+    return _lgamma(a + 0.5) + _lgamma(b + 0.5) - 2 * math.lgamma(0.5) - _lgamma(a + b + 1.0)
 
 
 def _lgamma(x: np.ndarray) -> np.ndarray:
     """Stirling's series after shifting small arguments."""
-    x = np.asarray(x, np.float64)
-    shift = np.zeros_like(x)
-    y = x.copy()
+    y = np.array(x, np.float64)
+    shift = np.zeros_like(y)
     for _ in range(8):
         small = y < 8
+        if not small.any():
+            break
         shift[small] += np.log(y[small])
         y[small] += 1
     z = 1 / (y * y)
     return (y - 0.5) * np.log(y) - y + 0.5 * math.log(2 * math.pi) + (1 / 12 - z * (1 / 360 - z * (1 / 1260 - z / 1680))) / y - shift
 
 
-def _weigh(batches: Iterator[pa.RecordBatch], leaf: bool) -> Iterator[pa.RecordBatch]:
-    """(node, zeros, ones, below) -> whole, the mixed evidence, and stop, the node's own share of it."""
-    for b in batches:
-        zeros, ones, below = (b.column(k).to_numpy().astype(float) for k in (1, 2, 3))
+def above(key):
+    """The node of the same decision one context byte shorter; works on arrays and columns."""
+    if isinstance(key, Column):
+        return F.shiftleft(F.shiftright(key, 16), 8) + key.bitwiseAND(F.lit(255))
+    return key >> 16 << 8 | key & 255
+
+
+class Level:
+    """Nodes of one depth, sorted by key (context << 8 | decision), weighed."""
+
+    def __init__(self, key: np.ndarray, zeros: np.ndarray, ones: np.ndarray, below: np.ndarray | None = None):
+        self.key, self.zeros, self.ones = key, zeros, ones
         evidence = _log_kt(zeros, ones)
-        whole = evidence if leaf else np.logaddexp(evidence, below) - math.log(2)
-        stop = np.ones(len(whole)) if leaf else np.exp(evidence - math.log(2) - whole)
-        yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(whole), pa.array(stop)], ["node", "zeros", "ones", "whole", "stop"])
+        self.own = (ones + 0.5) / (zeros + ones + 1)
+        if below is None:
+            self.whole, self.stop = evidence, np.ones(len(key))
+        else:
+            self.whole = np.logaddexp(evidence, below) - LN2
+            self.stop = np.exp(evidence - LN2 - self.whole)
+
+    def shorter(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Keys one byte shorter, and sums of zeros, ones and evidence over their longer contexts."""
+        key, where = np.unique(above(self.key), return_inverse=True)
+        return key, *(np.bincount(where, weights=x, minlength=len(key)) for x in (self.zeros, self.ones, self.whole))
+
+    def come_down(self, gone: np.ndarray, left: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """What contexts down to these nodes give to a one, and the weight left, from the parents' ones."""
+        return gone + left * self.stop * self.own, left * (1 - self.stop)
+
+
+def leaves(path: np.ndarray, n: np.ndarray) -> Level:
+    """The longest contexts' nodes of sorted distinct paths with counts."""
+    keys, zeros, ones = [np.empty(0, np.int64)], [np.empty(0)], [np.empty(0)]
+    for k in range(8 if len(path) else 0):
+        place = path >> 8 - k
+        first = np.flatnonzero(np.diff(place, prepend=place[0] - 1))
+        bit = path >> 7 - k & 1
+        one = np.add.reduceat(n * bit, first).astype(float)
+        keys.append(path[first] >> 8 << 8 | 1 << k | (path[first] & 255) >> 8 - k)
+        ones.append(one)
+        zeros.append(np.add.reduceat(n, first) - one)
+    key = np.concatenate(keys)
+    order = np.argsort(key)
+    return Level(key[order], np.concatenate(zeros)[order], np.concatenate(ones)[order])
+
+
+def subtrees(path: np.ndarray, n: np.ndarray) -> list[Level]:
+    """Levels of three bytes to ``DEPTH`` of whole three-byte contexts."""
+    levels = [leaves(path, n)]
+    for _ in range(DEPTH - 3):
+        levels.insert(0, Level(*levels[0].shorter()))
+    return levels
+
+
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
+    """Columns of sorted rows (two, path, ...) in runs of about ``WEIGHED`` that end with a three-byte context."""
+    held: list[np.ndarray] | None = None
+    for b in batches:
+        new = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+        held = new if held is None else [np.concatenate(x) for x in zip(held, new, strict=True)]
+        if len(held[0]) >= WEIGHED:
+            three = np.where(held[1] < 0, held[0] << 8, held[1] >> 8 * (DEPTH - 2))
+            cut = int(np.searchsorted(three, three[-1]))
+            if cut:
+                yield [x[:cut] for x in held]
+                held = [x[cut:] for x in held]
+    if held is not None and len(held[0]):
+        yield held
+
+
+TWO = "key long, zeros double, ones double, below double"
+
+
+def _up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Sorted (two, path, n) -> the part that whole three-byte contexts give to two-byte nodes."""
+    for _, path, n in _runs(batches):
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in subtrees(path, n)[0].shorter()], ["key", "zeros", "ones", "below"])
+
+
+def _weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        x = Level(*(c.to_numpy() for c in b.columns))
+        yield pa.RecordBatch.from_arrays([*b.columns[:3], *(pa.array(y) for y in (x.whole, x.stop, x.own))], ["key", "zeros", "ones", "whole", "stop", "own"])
+
+
+def _down(gone: np.ndarray, left: np.ndarray):
+    """``gone``, ``left``: of every one-byte node, by key."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = (np.empty(0, np.int64), np.empty(0), np.empty(0))
+        for two, path, n, asked, stop, own in _runs(batches):
+            node = path < 0
+            key = two[node] << 8 | path[node] + 256
+            up, s = above(key), stop[node]
+            rows = (key, gone[up] + left[up] * s * own[node], left[up] * (1 - s))
+            nodes = [np.concatenate(x) for x in zip(held, rows, strict=True)]
+            last = nodes[0] >> 8 == two[-1]
+            held = tuple(x[last] for x in nodes)
+            path, n, asked = path[~node], n[~node], asked[~node]
+            if not len(path):
+                continue
+            first = np.flatnonzero(np.diff(path, prepend=path[0] - 1))
+            path, n, asked = path[first], np.add.reduceat(n, first), np.maximum.reduceat(asked, first)
+            if not asked.any():
+                continue
+            levels = subtrees(path, n)
+            # Of a two-byte node that was never counted the estimate is even and half the weight stays.
+            up = above(levels[0].key)
+            at = np.minimum(np.searchsorted(nodes[0], up), max(0, len(nodes[0]) - 1))
+            there = nodes[0][at] == up if len(nodes[0]) else np.zeros(len(up), bool)
+            g, w = gone[above(up)] + left[above(up)] / 4, left[above(up)] / 2
+            g[there], w[there] = nodes[1][at[there]], nodes[2][at[there]]
+            for k, level in enumerate(levels):
+                if k:
+                    at = np.searchsorted(levels[k - 1].key, above(level.key))
+                    g, w = g[at], w[at]
+                g, w = level.come_down(g, w)
+            some = asked > 0
+            path, log = path[some], np.zeros(int(some.sum()))
+            for k in range(8):
+                p = g[np.searchsorted(levels[-1].key, path >> 8 << 8 | 1 << k | (path & 255) >> 8 - k)]
+                log += np.log10(np.where(path >> 7 - k & 1 == 1, p, 1 - p))
+            yield pa.RecordBatch.from_arrays([pa.array(path), pa.array(n[some]), pa.array(log)], ["path", "n", "log"])
+
+    return lean(run)
 
 
-def _decisions(codes: DataFrame) -> DataFrame:
-    """The rows of ``codes`` for each of a byte's eight decisions.
+class ContextTree:
+    """Frozen mixture over all counted contexts: counted paths, two-byte nodes, what comes from above."""
 
-    ``node``: context << 8 | decision (the bits before it below a leading one); ``bit``: its outcome.
-    """
-    byte = F.col("code").bitwiseAND(F.lit(255))
-    steps = [F.struct((F.shiftright(byte, 8 - k) + (1 << k)).alias("decision"), F.shiftright(byte, 7 - k).bitwiseAND(F.lit(1)).alias("bit")) for k in range(8)]
-    found = codes.withColumn("step", F.explode(F.array(*steps)))
-    return found.select("*", (F.shiftleft(F.shiftright("code", 8), 8) + F.col("step.decision")).alias("node"), F.col("step.bit").alias("bit")).drop("step")
+    def __init__(self, grams: DataFrame):
+        self.grams = grams
+        two = self._dealt(grams.select(_two(), "path", "n")).mapInArrow(lean(_up), TWO)
+        two = two.groupBy("key").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("below").alias("below"))
+        self.two = stage(two.mapInArrow(lean(_weigh), "key long, zeros double, ones double, whole double, stop double, own double"), "two")
+        one = self.two.groupBy(above(F.col("key")).alias("key")).agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("whole").alias("below")).toPandas()  # at most 65,536 rows
+        dense = np.zeros((3, 1 << 16))
+        dense[:, one["key"].to_numpy(np.int64)] = one[["zeros", "ones", "below"]].to_numpy(float).T
+        level = Level(np.arange(1 << 16), *dense)
+        _, zeros, ones, whole = level.shorter()
+        gone, left = Level(np.arange(256), zeros, ones, whole).come_down(np.zeros(256), np.ones(256))
+        self.gone, self.left = level.come_down(np.tile(gone, 256), np.tile(left, 256))
 
+    @staticmethod
+    def _dealt(rows: DataFrame) -> DataFrame:
+        return rows.repartition("two").sortWithinPartitions("two", "path")
 
-def _up(depth: int) -> Column:
-    """The node of the same decision at the context's last ``depth`` bytes."""
-    return F.col("node").bitwiseAND(F.lit((1 << 8 * (depth + 1)) - 1))
+    def logs(self, rows: DataFrame) -> DataFrame:
+        """(path, n, asked: 0 or 1), counted paths all among them -> (path, n, log10) of the asked ones."""
+        rows = rows.select(_two(), "path", "n", F.col("asked").cast("long").alias("asked"), F.lit(0.0).alias("stop"), F.lit(0.0).alias("own"))
+        nodes = self.two.select(F.shiftright("key", 8).alias("two"), (F.col("key").bitwiseAND(F.lit(255)) - 256).alias("path"), F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("asked"), "stop", "own")
+        return self._dealt(rows.unionByName(nodes)).mapInArrow(_down(self.gone, self.left), "path long, n long, log double")
 
 
-def _log_sums(decided: DataFrame, p: DataFrame) -> DataFrame:
-    """(code, log): log10 probability of each code's byte."""
-    return decided.join(p, "node").groupBy("code").agg(F.sum(F.log10(F.when(F.col("bit") == 1, F.col("p")).otherwise(1 - F.col("p")))).alias("log"))
+def _two() -> Column:
+    return F.shiftright("path", 8 * (DEPTH - 1)).alias("two")
 
 
 class Known:
-    """Codes and their log10 probabilities in a hash table; what collides is searched for."""
-
-    def __init__(self, codes: np.ndarray, logs: np.ndarray):
-        order = np.argsort(codes)
-        self.codes, self.logs = codes[order], logs[order].astype(np.float32)
-        self.shift = np.uint64(64 - max(4, (4 * len(codes)).bit_length()))
-        self.code = np.full(1 << 64 - int(self.shift), -1, np.int64)
-        self.log = np.full(len(self.code), np.nan, np.float32)
-        at = self._slot(self.codes)
-        self.code[at], self.log[at] = self.codes, self.logs
-
-    def _slot(self, codes: np.ndarray) -> np.ndarray:
-        return ((codes.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
-
-    def find(self, codes: np.ndarray) -> np.ndarray:
-        """Logs of the codes, NaN for those not held."""
-        at = self._slot(codes)
-        out = self.log[at]
-        other = np.flatnonzero(self.code[at] != codes)
+    """Paths and their log10 probabilities: one table of a tag and a float each; what collides is searched for."""
+
+    def __init__(self, path: np.ndarray, n: np.ndarray, log: np.ndarray):
+        order = np.argsort(path)
+        self.path, self.n, self.log = path[order], n[order].astype(np.float32), log[order].astype(np.float32)
+        self._fill()
+
+    def _fill(self) -> None:
+        self.bits = 8 * (DEPTH + 1)
+        self.rest = max(0, min(31, self.bits - 4, self.bits - (2 * len(self.path)).bit_length()))
+        self.table = np.zeros(1 << self.bits - self.rest, np.uint64)
+        order = np.argsort(self.n, kind="stable")  # of paths that collide the most frequent stays
+        slot, tag = self._place(self.path[order])
+        self.table[slot] = tag | self.log[order].view(np.uint32)
+
+    def __getstate__(self):
+        return self.path, self.n, self.log
+
+    def __setstate__(self, state):
+        self.path, self.n, self.log = state
+        self._fill()
+
+    def _place(self, path: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Slot, and a tag that with the slot determines the path: an odd factor is one-to-one."""
+        mixed = path.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) & np.uint64((1 << self.bits) - 1)
+        return (mixed >> np.uint64(self.rest)).astype(np.int64), ((mixed & np.uint64((1 << self.rest) - 1)) + np.uint64(1)) << np.uint64(32)
+
+    def find(self, path: np.ndarray) -> np.ndarray:
+        """Logs of the paths, NaN for those not held."""
+        slot, tag = self._place(path)
+        held = self.table[slot]
+        out = held.astype(np.uint32).view(np.float32)
+        other = np.flatnonzero(held >> np.uint64(32) << np.uint64(32) != tag)
         out[other] = np.nan
-        if len(self.codes):
-            left = codes[other]
-            at = np.minimum(np.searchsorted(self.codes, left), len(self.codes) - 1)
-            held = self.codes[at] == left
-            out[other[held]] = self.logs[at[held]]
+        if len(self.path) and len(other):
+            left = path[other]
+            at = np.minimum(np.searchsorted(self.path, left), len(self.path) - 1)
+            there = self.path[at] == left
+            out[other[there]] = self.log[at[there]]
         return out
 
 
-class ContextTree:
-    """Frozen mixture over all counted contexts.
+class Words:
+    """Counts of word hashes in an open table; what collides is searched for."""
+
+    def __init__(self, word: np.ndarray, n: np.ndarray):
+        order = np.argsort(word)
+        self.word, self.n = word[order], n[order]
+        self._fill()
+
+    def _fill(self) -> None:
+        self.shift = np.uint64(64 - max(4, (2 * len(self.word)).bit_length()))
+        self.table = np.zeros(1 << 64 - int(self.shift), np.int32)
+        order = np.argsort(self.n, kind="stable")
+        self.table[(self.word[order].view(np.uint64) >> self.shift).astype(np.int64)] = order
+        self.log = np.log10(self.n + 0.5)
 
-    ``levels``: for each depth (node, gone, left), what the contexts down to the node give to
-    a one and the weight left below it; what is not counted below a node is even.
-    """
+    def __getstate__(self):
+        return self.word, self.n
 
-    def __init__(self, levels: list[DataFrame], known: Known):
-        self.levels, self.known = levels, known
+    def __setstate__(self, state):
+        self.word, self.n = state
+        self._fill()
 
-    def logs(self, codes: DataFrame) -> DataFrame:
-        """(code, log) of distinct codes, counted or not."""
-        decided = stage(_decisions(codes), "decided")
-        asked = stage(decided.select("node").distinct(), "asked")
-        p = None
-        for d, level in enumerate(self.levels):
-            here = asked.select(_up(d).alias("node")).distinct() if d < DEPTH else asked
-            here = here.join(level, "node", "left").withColumn("p", F.col("gone") + F.col("left") / 2)
-            if d:
-                here = here.withColumn("up", _up(d - 1)).join(p.select(F.col("node").alias("up"), F.col("p").alias("shorter")), "up")
-            p = here.select("node", F.coalesce("p", "shorter" if d else F.lit(0.5)).alias("p"))
-        return stage(_log_sums(decided, p), "logs")
+    def find(self, word: np.ndarray) -> np.ndarray:
+        """Places of the words, -1 for those not held."""
+        if not len(self.word):
+            return np.full(len(word), -1)
+        at = self.table[(word.view(np.uint64) >> self.shift).astype(np.int64)].astype(np.int64)
+        other = np.flatnonzero(self.word[at] != word)
+        left = np.minimum(np.searchsorted(self.word, word[other]), len(self.word) - 1)
+        at[other] = np.where(self.word[left] == word[other], left, -1)
+        return at
 
 
-class Grams:
-    """Counts of codes, merged now and then so that memory follows the distinct codes."""
+class Gathered:
+    """Counts of longs, merged now and then so that memory follows the distinct ones."""
 
     def __init__(self):
         self.parts: list[tuple[np.ndarray, np.ndarray]] = []
-        self.size = 0
+        self.size = self.merged = 0
 
-    def add(self, codes: np.ndarray) -> None:
-        self.parts.append(np.unique(codes, return_counts=True))
+    def add(self, values: np.ndarray) -> bool:
+        """True when there are so many that they should be handed on."""
+        self.parts.append(np.unique(values, return_counts=True))
         self.size += len(self.parts[-1][0])
-        if self.size > GRAMS and len(self.parts) > 1:
+        if self.size > self.merged + GATHER // 2:
             self.merge()
+        return self.merged > GATHER
 
     def merge(self) -> tuple[np.ndarray, np.ndarray]:
-        codes = np.concatenate([c for c, _ in self.parts] or [np.empty(0, np.int64)])
-        found, where = np.unique(codes, return_inverse=True)
+        values = np.concatenate([c for c, _ in self.parts] or [np.empty(0, np.int64)])
+        found, where = np.unique(values, return_inverse=True)
         total = np.bincount(where, weights=np.concatenate([n for _, n in self.parts] or [np.empty(0)]), minlength=len(found)).astype(np.int64)
-        self.parts, self.size = [(found, total)], len(found)
+        self.parts, self.size, self.merged = [(found, total)], len(found), len(found)
         return found, total
 
 
-def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(word, code, n): counts of words, of (context, byte) codes, and of texts (both null)."""
-    grams, words, texts = Grams(), Counter(), 0
+def _ended(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The rows' bytes each with an end, the same with blanks for ends, and where rows begin."""
+    words, begin = spaced(data, offsets)
+    text = words.copy()
+    text[begin[1:] - 1] = END
+    return text, words, begin
+
 
-    def out(word: list, code: list, n: list) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(word, pa.string()), pa.array(code, pa.int64()), pa.array(n, pa.int64())], ["word", "code", "n"])
+COUNTED = "word long, path long, n long"
 
-    def handed() -> pa.RecordBatch:
-        keys = [w.decode() for w in words]
-        return out(keys, [None] * len(keys), list(words.values()))
 
-    def given(code: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
-        for k in range(0, len(code), 1 << 16):
-            yield out([None] * len(code[k : k + (1 << 16)]), code[k : k + (1 << 16)], n[k : k + (1 << 16)])
+def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Counts of words, of paths, and of texts (word and path null)."""
+    words, grams, texts = Gathered(), Gathered(), 0
+
+    def given(found: Gathered, column: int) -> Iterator[pa.RecordBatch]:
+        values, n = found.merge()
+        found.__init__()
+        for k in range(0, len(values), 1 << 16):
+            part = [pa.nulls(len(values[k : k + (1 << 16)]), pa.int64())] * 2 + [pa.array(n[k : k + (1 << 16)])]
+            part[column] = pa.array(values[k : k + (1 << 16)])
+            yield pa.RecordBatch.from_arrays(part, ["word", "path", "n"])
 
     for b in batches:
         data, offsets = utf8(b.column(0))
         texts += b.num_rows
         for i, j in slices(offsets):
-            grams.add(_codes(data, offsets[i : j + 1]))
-            if grams.size > 4 * GRAMS:  # mostly distinct: hand them on
-                yield from given(*grams.merge())
-                grams = Grams()
-            # A blank between texts keeps their words apart.
-            words.update(b" ".join(data[offsets[k] : offsets[k + 1]].tobytes() for k in range(i, j)).lower().split())
-            if len(words) > GATHER:
-                yield handed()
-                words.clear()
-    if words:
-        yield handed()
-    yield from given(*grams.merge())
-    yield out([None], [None], [texts])
+            text, plain, begin = _ended(data, offsets[i : j + 1])
+            for at in range(0, len(text), BLOCK):
+                if grams.add(paths(text, begin, at, min(len(text), at + BLOCK))):
+                    yield from given(grams, 1)
+            for at, to in blocks(plain):
+                if words.add(word_hashes(plain[at:to])[2].view(np.int64)):
+                    yield from given(words, 0)
+    yield from given(words, 0)
+    yield from given(grams, 1)
+    yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.array([texts], pa.int64())], ["word", "path", "n"])
 
 
 class Model:
-    """Word counts (distributed), their totals, the heavy words and the context tree."""
+    """Word counts (distributed), their totals, the frequent words, the context tree and its frequent paths."""
 
-    def __init__(self, words: DataFrame, total: int, distinct: int, end: int, heavy: dict[bytes, int], tree: ContextTree):
-        self.words, self.total, self.distinct, self.end, self.heavy, self.tree = words, total, distinct, end, heavy, tree
+    def __init__(self, words: DataFrame, total: int, distinct: int, end: int, heavy: Words, tree: ContextTree, known: Known):
+        self.words, self.total, self.distinct, self.end, self.heavy, self.tree, self.known = words, total, distinct, end, heavy, tree, known
 
 
 def least_count(rows: DataFrame, most: int) -> tuple[int | None, list[tuple[int, int, int]]]:
@@ -245,114 +398,98 @@ def least_count(rows: DataFrame, most: int) -> tuple[int | None, list[tuple[int,
     return least, by
 
 
-def grow(grams: DataFrame, codes: int = CODES) -> ContextTree:
-    """The tree of all contexts; workers get at most ``codes`` of the most frequent codes."""
-    grams = stage(grams, "grams")
-    rows = _decisions(grams).groupBy("node").agg(F.sum(F.col("n") * (1 - F.col("bit"))).alias("zeros"), F.sum(F.col("n") * F.col("bit")).alias("ones")).withColumn("below", F.lit(0.0))
-    weighed = []
-    for d in range(DEPTH, -1, -1):
-        run = partial(_weigh, leaf=d == DEPTH)
-        weighed.insert(0, stage(rows.mapInArrow(run, "node long, zeros long, ones long, whole double, stop double"), "weighed"))
-        # All text of a longer context is text of the shorter one too.
-        rows = weighed[0].groupBy(_up(d - 1).alias("node")).agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("whole").alias("below"))
-    levels = []
-    for d, rows in enumerate(weighed):
-        own = (F.col("ones") + 0.5) / (F.col("zeros") + F.col("ones") + 1)
-        rows = rows.select("node", "stop", own.alias("own"), _up(d - 1).alias("up"))
-        if d:
-            rows = rows.join(levels[-1].select(F.col("node").alias("up"), "gone", "left"), "up")
-        else:
-            rows = rows.withColumns({"gone": F.lit(0.0), "left": F.lit(1.0)})
-        levels.append(stage(rows.select("node", (F.col("gone") + F.col("left") * F.col("stop") * F.col("own")).alias("gone"), (F.col("left") * (1 - F.col("stop"))).alias("left")), "level"))
-    least, _ = least_count(grams, codes)
-    often = _decisions(grams.where(F.col("n") >= (least or (1 << 62))).select("code"))
-    found = _log_sums(often, levels[-1].select("node", (F.col("gone") + F.col("left") / 2).alias("p"))).toArrow()
-    return ContextTree(levels, Known(found["code"].to_numpy(), found["log"].to_numpy()))
-
-
 def fit(docs: DataFrame, heavy: int = HEAVY, codes: int = CODES) -> Model:
-    """Counts over every training row."""
-    found = stage(docs.select("text").mapInArrow(_counts, "word string, code long, n long"), "counts")
+    """Counts over every training row; workers get at most ``heavy`` words and ``codes`` paths."""
+    found = stage(docs.select("text").mapInArrow(lean(_counts), COUNTED), "counts")
+    end = found.where("word is null and path is null").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
     words = stage(found.where("word is not null").groupBy("word").agg(F.sum("n").alias("n")), "words")
-    end = found.where("word is null and code is null").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
     least, by = least_count(words, heavy)
-    frequent = {} if least is None else {r["word"].encode(): r["n"] for r in words.where(F.col("n") >= least).toLocalIterator()}
-    tree = grow(found.where("code is not null").groupBy("code").agg(F.sum("n").alias("n")), codes)
-    return Model(words, sum(t for _, _, t in by) + end, sum(w for _, w, _ in by) + 1, end, frequent, tree)
-
+    often = words.where(F.col("n") >= (least or 1 << 62)).toArrow()
+    grams = stage(found.where("path is not null").groupBy("path").agg(F.sum("n").alias("n")), "grams")
+    tree = ContextTree(grams)
+    least_path, _ = least_count(grams, codes)
+    known = tree.logs(grams.select("path", "n", (F.col("n") >= (least_path or 1 << 62)).alias("asked"))).toArrow()
+    column = lambda t, name: t[name].to_numpy()
+    return Model(words, sum(t for _, _, t in by) + end, sum(w for _, w, _ in by) + 1, end, Words(column(often, "word"), column(often, "n")), tree, Known(*(column(known, x) for x in ("path", "n", "log"))))
 
-SCORED = "row long, doc_id long, n_tokens long, n_known long, log_sum double, score double, n_bytes long, rare array<struct<word:string,n:long>>, grams array<struct<code:long,n:long>>"
 
+SCORED = "row long, doc_id long, n_tokens long, n_known long, log_sum double, score double, n_bytes long, word long, path long"
+_NAMES = [x.split(" ")[0] for x in SCORED.split(", ")]
 
-def _grouped(row: np.ndarray, code: np.ndarray, n: int) -> pa.Array:
-    """For each of ``n`` rows its distinct codes and their counts."""
-    order = np.lexsort((code, row))
-    row, code = row[order], code[order]
-    first = np.flatnonzero((np.diff(row, prepend=-1) != 0) | (np.diff(code, prepend=-1) != 0))
-    times = np.diff(np.append(first, len(row)))
-    begin = np.searchsorted(row[first], np.arange(n + 1)).astype(np.int32)
-    return pa.ListArray.from_arrays(pa.array(begin), pa.StructArray.from_arrays([pa.array(code[first]), pa.array(times.astype(np.int64))], ["code", "n"]))
 
+def _rows(row: np.ndarray, **columns: np.ndarray | pa.Array) -> Iterator[pa.RecordBatch]:
+    kinds = {"log_sum": pa.float64(), "score": pa.float64()}
+    for k in range(0, len(row), 1 << 16):
+        part = {x: pa.array(c[k : k + (1 << 16)]) if isinstance(c, np.ndarray) else c[k : k + (1 << 16)] for x, c in ({"row": row} | columns).items()}
+        yield pa.RecordBatch.from_arrays([part[x] if x in part else pa.nulls(len(part["row"]), kinds.get(x, pa.int64())) for x in _NAMES], _NAMES)
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """doc_id, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of every row."""
-    names = [x.split(" ")[0] for x in SCORED.split(", ")]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), pa.list_(pa.struct([("word", pa.string()), ("n", pa.int64())]))]
-    spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast((model.heavy, model.tree.known))  # at most HEAVY words and CODES codes
-    end = model.end
 
+def _score(sent, end: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        heavy, known_codes = sent.value
-        logs = {w: math.log10(n + 0.5) for w, n in heavy.items()}
-        end_log, row = math.log10(end + 0.5), TaskContext.get().partitionId() << 33
+        heavy, known = sent.value
+        end_log, at_row = math.log10(end + 0.5), TaskContext.get().partitionId() << 33
         for b in batches:
             data, offsets = utf8(b.column(1))
-            ids = b.column(0).to_pylist()
             for i, j in slices(offsets):
-                code, cut = _codes(data, offsets[i : j + 1]), offsets[i : j + 1] - offsets[i]
-                logs_of = known_codes.find(code)
-                missed = np.flatnonzero(np.isnan(logs_of))
-                logs_of[missed] = 0
-                total = np.concatenate([[0.0], np.cumsum(logs_of, dtype=np.float64)])
-                scores, out = (total[cut[1:]] - total[cut[:-1]]).tolist(), []
-                grams = _grouped(np.searchsorted(cut, missed, side="right") - 1, code[missed], j - i)
-                for k in range(i, j):
-                    text = data[offsets[k] : offsets[k + 1]].tobytes()
-                    words = text.lower().split()
-                    known = [x for x in map(logs.get, words) if x is not None]
-                    rare = Counter(w for w in words if w not in logs) if len(known) < len(words) else {}
-                    out.append((row, ids[k], len(words) + 1, len(known) + (end > 0), math.fsum(known) + end_log, scores[k - i], len(text), [{"word": w.decode(), "n": n} for w, n in rare.items()]))
-                    row += 1
-                yield pa.RecordBatch.from_arrays([*(pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)), grams], names)
-
-    rows = stage(docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, SCORED), "scored")
-    rare = rows.select("row", F.explode("rare").alias("r")).select("row", F.col("r.word").alias("word"), F.col("r.n").alias("times"))
-    met = rare.join(model.words, "word", "left").groupBy("row").agg(
-        F.sum(F.col("times") * F.log10(F.coalesce("n", F.lit(0)) + 0.5)).alias("rare_sum"),
-        F.sum(F.when(F.col("n") > 0, F.col("times")).otherwise(0)).alias("rare_known"),
-    )
-    codes = rows.select("row", F.explode("grams").alias("g")).select("row", F.col("g.code").alias("code"), F.col("g.n").alias("times"))
-    logs = model.tree.logs(codes.select("code").distinct())
-    summed = codes.join(logs, "code").groupBy("row").agg(F.sum(F.col("times") * F.col("log")).alias("gram_sum"))
-    base = F.col("log_sum") + F.coalesce("rare_sum", F.lit(0.0)) - F.col("n_tokens") * math.log10(model.total + 0.5 * (model.distinct + 1))
-    scored = rows.drop("rare", "grams").join(met, "row", "left").join(summed, "row", "left")
-    return scored.withColumn("score", F.col("score") + F.coalesce("gram_sum", F.lit(0.0))).select(
+                n, row = j - i, at_row + np.arange(j - i)
+                text, plain, begin = _ended(data, offsets[i : j + 1])
+                score, log_sum, tokens, held = np.zeros(n), np.full(n, end_log), np.ones(n, np.int64), np.full(n, int(end > 0))
+                for at in range(0, len(text), BLOCK):
+                    to = min(len(text), at + BLOCK)
+                    path = paths(text, begin, at, to)
+                    log = known.find(path)
+                    missed = np.flatnonzero(np.isnan(log))
+                    log[missed] = 0
+                    edge = np.clip(begin, at, to) - at
+                    total = np.concatenate([[0.0], np.cumsum(log, dtype=np.float64)])
+                    score += total[edge[1:]] - total[edge[:-1]]
+                    yield from _rows(row[np.searchsorted(begin, at + missed, side="right") - 1], path=path[missed])
+                for at, to in blocks(plain):
+                    starts, _, word = word_hashes(plain[at:to])
+                    owner, word = np.searchsorted(begin, starts + at, side="right") - 1, word.view(np.int64)
+                    place = heavy.find(word)
+                    hit = place >= 0
+                    tokens += np.bincount(owner, minlength=n)
+                    held += np.bincount(owner[hit], minlength=n)
+                    log_sum += np.bincount(owner[hit], weights=heavy.log[place[hit]], minlength=n)
+                    yield from _rows(row[owner[~hit]], word=word[~hit])
+                yield from _rows(row, doc_id=b.column(0)[i:j], n_tokens=tokens, n_known=held, log_sum=log_sum, score=score, n_bytes=np.diff(offsets[i : j + 1]))
+                at_row += n
+
+    return lean(run)
+
+
+def score(docs: DataFrame, model: Model) -> DataFrame:
+    """doc_id, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of every row."""
+    sent = docs.sparkSession.sparkContext.broadcast((model.heavy, model.known))  # at most HEAVY words and CODES paths
+    rows = stage(docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(_score(sent, model.end), SCORED), "scored")
+    zero = F.lit(0).cast("long")
+    met = rows.where("word is not null").select("row", "word").join(model.words, "word", "left")
+    met = met.select("row", F.log10(F.coalesce("n", zero) + 0.5).alias("log_sum"), (F.col("n") > 0).cast("long").alias("n_known"), F.lit(0.0).alias("score"))
+    missed = rows.where("path is not null").select("row", "path")
+    asked = missed.select("path").distinct().select("path", zero.alias("n"), F.lit(1).alias("asked"))
+    logs = model.tree.logs(model.tree.grams.select("path", "n", F.lit(0).alias("asked")).unionByName(asked)).select("path", "log")
+    missed = missed.join(logs, "path").select("row", F.lit(0.0).alias("log_sum"), zero.alias("n_known"), F.col("log").alias("score"))
+    main = rows.where("word is null and path is null")
+    extra = met.unionByName(missed).groupBy("row").agg(*(F.sum(x).alias(f"more_{x}") for x in ("log_sum", "n_known", "score")))
+    whole = {x: F.col(x) + F.coalesce(f"more_{x}", zero) for x in ("log_sum", "n_known", "score")}
+    scored = main.join(extra, "row", "left").withColumns(whole)
+    return scored.select(
         "doc_id",
         "n_tokens",
-        (F.col("n_known") + F.coalesce("rare_known", F.lit(0))).cast("long").alias("n_known"),
+        "n_known",
         F.lit(model.total).cast("long").alias("train_tokens"),
-        base.alias("base_score"),
+        (F.col("log_sum") - F.col("n_tokens") * math.log10(model.total + 0.5 * (model.distinct + 1))).alias("base_score"),
         "score",
-        _bits_per_byte().alias("bits_per_byte"),
+        (-F.col("score") * math.log2(10) / F.greatest("n_bytes", F.lit(1))).alias("bits_per_byte"),
     )
 
 
-def _bits_per_byte() -> Column:
-    return F.when(F.col("n_bytes") > 0, -F.col("score") * math.log2(10) / F.col("n_bytes")).otherwise(0.0)
+def held_out() -> Column:
+    return F.coalesce(fold("doc_id", 5) == 1, F.lit(False))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    found = score(docs, fit(docs.where(fold("doc_id", 5) != 1)))
-    return found.select("doc_id", (fold("doc_id", 5) == 1).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte")
+    found = score(docs, fit(docs.where(~held_out())))
+    return found.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte")
