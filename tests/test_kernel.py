@@ -5,7 +5,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from winsub.kernel.automaton import ManyPatterns, OnePattern
-from winsub.kernel.link_tree import LinkTree
+from winsub.kernel.link_tree import LinkTree, OrderList
 from winsub.kernel.scan import kmp_find, native_find, skip_find
 from winsub.kernel.static_index import BackwardSearch, SuffixArray
 from winsub.kernel.window_index import ANCESTORS, RULES, Steps, WindowIndex
@@ -172,16 +172,60 @@ def test_query_steps_do_not_grow_with_the_window():
         worst = 0
         for m in (1, 3, 6, 12):
             work = Steps()
-            occ = len(x.locate(text[-m:], work=work))
+            occ = len(x.locate(text[-m:], work=work, ordered=False))
             worst = max(worst, work.total() / (m + occ + 1))
         ratios.append(worst)
     assert max(ratios) <= 6
 
 
-@pytest.mark.parametrize("text", ["abcde" * 2000, "a" * 8000, "".join(random.Random(6).choice("ab") for _ in range(8000))])
+def fibonacci_word(n):
+    a, b = "a", "ab"
+    while len(b) < n:
+        a, b = b, b + a
+    return b[:n]
+
+
+@pytest.mark.parametrize("text", ["abcde" * 2000, "a" * 8000, "".join(random.Random(6).choice("ab") for _ in range(8000)), ("a" * 500 + "b" + "a" * 500 + "c") * 12, fibonacci_word(12_000)])
 def test_push_steps_are_amortised_constant(text):
+    """All upkeep counts, that of the order list too."""
     for capacity in (64, 512, 4096):
-        assert WindowIndex(capacity).extend(text).steps.total() <= 16 * len(text)
+        assert WindowIndex(capacity).extend(text).steps.total() <= 20 * len(text)
+
+
+def test_order_list_moves_are_amortised_constant():
+    for n in (500, 5_000, 50_000):
+        front, middle, r, spread = OrderList(), OrderList(), random.Random(n), OrderList()
+        marks = [0]
+        for k in range(n):
+            front.after(0)
+            middle.after(min(k, 7))
+            marks.append(spread.after(r.choice(marks[-50:])))
+        assert max(front.moves, middle.moves, spread.moves) <= 4 * n
+        assert front.words() <= 5 * (n + 1)
+    order = []
+    x = middle.next[0]
+    while x:
+        order.append(middle.key(x))
+        x = middle.next[x]
+    assert order == sorted(order) and len(set(order)) == len(order) == 50_000
+    gone = [x for x in range(1, 50_001) if x % 3]
+    for x in gone:
+        middle.remove(x)
+    assert sum(middle.size.values()) == 50_001 - len(gone)
+
+
+def test_fingerprints_follow_the_window():
+    r = random.Random(8)
+    for capacity in (5, 40):
+        x, text = WindowIndex(capacity, ancestor="fingerprint"), ""
+        for _ in range(400):
+            text += r.choice("ab")
+            x.push(text[-1])
+            w = text[-capacity:]
+            for p in ("a", "ab", "ba", "aab", w[-3:]):
+                want = [len(text) - len(w) + i for i in range(len(w)) if w.startswith(p, i)]
+                assert x.locate(p) == want == sorted(x.locate(p, ancestor="jump", ordered=False))
+    assert WindowIndex.restore(x.snapshot()).locate("ab") == x.locate("ab")
 
 
 def test_link_tree_tests_agree_under_updates():
@@ -194,12 +238,13 @@ def test_link_tree_tests_agree_under_updates():
             leaf = r.choice([v for v in depth if v and not tree.fan_in[v]])
             tree.detach(leaf)
             del depth[leaf]
-        tags = [tree.order.tag[tree.open[v]] for v in depth]
+        tags = [tree.order.key(tree.open[v]) for v in depth]
         assert len(set(tags)) == len(tags)
         for _ in range(4):
             a, b = r.choice(list(depth)), r.choice(list(depth))
             want = a in tree.chain(b)
-            assert all(tree.is_ancestor(a, b, kind) == want for kind in ("order_list", "interval", "lca", "chain"))
+            assert all(tree.is_ancestor(a, b, kind) == want for kind in ("order_list", "interval", "lca", "jump", "chain"))
+            assert tree.common(a, b) == tree.lca(a, b)
 
 
 def test_crowded_order_list():

@@ -60,18 +60,20 @@ class BackwardSearch:
         self.step = step
         self.marks = {c: np.concatenate([[0], np.cumsum(self.last == c)[step - 1 :: step]]) for c in self.before}
 
-    def _rank(self, c: int, i: int) -> int:
+    def _rank(self, c: int, i: int) -> tuple[int, int]:
+        """(steps, how often c stands before place i): a mark and a scan behind it."""
         block = i // self.step
-        return int(self.marks[c][block] + (self.last[block * self.step : i] == c).sum())
+        return 1 + i - block * self.step, int(self.marks[c][block] + (self.last[block * self.step : i] == c).sum())
 
     def find(self, pattern: str) -> tuple[list[int], int]:
         lo, hi, work = 0, len(self.order), 0
         for ch in reversed(pattern):
             c = ord(ch)
-            work += 2
+            work += 1
             if c not in self.before:
                 return [], work
-            lo, hi = self.before[c] + self._rank(c, lo), self.before[c] + self._rank(c, hi)
+            (one, low), (two, high) = self._rank(c, lo), self._rank(c, hi)
+            lo, hi, work = self.before[c] + low, self.before[c] + high, work + one + two
             if lo >= hi:
                 return [], work
         return sorted(self.order[lo:hi].tolist()), work + hi - lo

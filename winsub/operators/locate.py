@@ -42,8 +42,8 @@ def finder(text: str, start: int, method: str, rule: str, ancestor: str, childre
         index.start = index.n_seen = index._base = start
         index.extend(text)
         if method == "finalise":
-            return lambda p: index.finalised().locate(p, rule=rule)  # closed anew for every query
-        return lambda p: index.locate(p, rule=rule)
+            return lambda p: index.finalised().locate(p, rule=rule, ordered=False)  # closed anew for every query
+        return lambda p: index.locate(p, rule=rule, ordered=False)
     if method in ("suffix_array", "static_bwt"):
         static = SuffixArray(text) if method == "suffix_array" else BackwardSearch(text)
         return lambda p: [start + i for i in static.find(p)[0]]

@@ -17,7 +17,7 @@ from winsub.model import names
 from winsub.operators.tail import occ_split, tail_table
 
 QUERY_WORK = "stream_id string, query_id string, m bigint, occ bigint, compares bigint, nodes bigint, ancestor_tests bigint, progressions bigint, steps bigint, ratio double"
-UPDATE_WORK = "stream_id string, pushes bigint, grows bigint, leaves_made bigint, splits bigint, link_walks bigint, skip_walks bigint, drops bigint, splices bigint, recycles bigint, steps bigint, max_push_steps bigint"
+UPDATE_WORK = "stream_id string, pushes bigint, grows bigint, leaves_made bigint, splits bigint, link_walks bigint, skip_walks bigint, drops bigint, splices bigint, recycles bigint, order_moves bigint, steps bigint, max_push_steps bigint"
 FOOTPRINT = "stream_id string, w bigint, tree_nodes bigint, link_nodes bigint, ancestor_words bigint, snapshot_bytes bigint, per_symbol double"
 
 
@@ -31,7 +31,7 @@ def query_work(windows: DataFrame, patterns: list[str], rule: str = "project") -
                 index = WindowIndex(max(1, len(text))).extend(text)
                 for p in patterns:
                     work = Steps()
-                    occ, m = len(index.locate(p, rule, work=work)), len(p)
+                    occ, m = len(index.locate(p, rule, work=work, ordered=False)), len(p)
                     out.append((sid, p, m, occ, work["compares"], work["nodes"], work["ancestor_tests"], work["progressions"], work.total(), work.total() / (m + occ + 1)))
             yield pd.DataFrame(out, columns=names(QUERY_WORK))
 
@@ -47,7 +47,7 @@ def update_work(rows: DataFrame, capacity: int) -> DataFrame:
             for sid, text in zip(b.stream_id, b.text, strict=True):
                 index = WindowIndex(capacity).extend(text)
                 s = index.steps
-                out.append((sid, s["pushes"], s["pushes"] - s["leaves_made"], s["leaves_made"], s["splits"], s["link_walks"], s["skip_walks"], s["drops"], s["splices"], s["recycles"], s.total(), index.max_push))
+                out.append((sid, s["pushes"], s["pushes"] - s["leaves_made"], s["leaves_made"], s["splits"], s["link_walks"], s["skip_walks"], s["drops"], s["splices"], s["recycles"], s["order_moves"], s.total(), index.max_push))
             yield pd.DataFrame(out, columns=names(UPDATE_WORK))
 
     return rows.select("stream_id", "text").mapInPandas(run, UPDATE_WORK)
@@ -117,17 +117,22 @@ def work_vs_baseline(text: str, pattern: str, sizes: list[int]) -> list[tuple[st
         window = text[-w:]
         work = Steps()
         index = WindowIndex(w).extend(window)
-        index.locate(pattern, work=work)
+        index.locate(pattern, work=work, ordered=False)
         base = max(1, work.total())
         before = index.steps.total()
         end = index.finalised().steps.total() - before
+        # Building: a sort of w suffixes, and for backward search the marks.
+        sort = w * max(1, w.bit_length())
+        array, backward = SuffixArray(window).find(pattern)[1], BackwardSearch(window).find(pattern)[1]
         for name, steps in (
             ("index", base),
             ("kmp", kmp_find(window, pattern)[1]),
             ("boyer_moore", skip_find(window, pattern)[1]),
             ("finalise", base + end),
-            ("suffix_array", SuffixArray(window).find(pattern)[1]),
-            ("static_bwt", BackwardSearch(window).find(pattern)[1]),
+            ("suffix_array", array),
+            ("suffix_array_built", array + sort),
+            ("static_bwt", backward),
+            ("static_bwt_built", backward + sort + w),
         ):
             out.append((name, w, steps, steps / base))
     return out

@@ -123,7 +123,7 @@ for _m in ("kmp", "boyer_moore", "finalise", "static_bwt", "suffix_array", "nati
 for _r in ("tail_kmp", "linked_and_period", "period_scan", "period_project"):
     _c = base("li_part", 32, values(["A", "RN", "NNN", "ARN"])) + hits("l_partkey")
     workload("baseline_tail_kmp" if _r == "tail_kmp" else f"rule_{_r}", _c)(_locate("li_part", 32, ["A", "RN", "NNN", "ARN"], "index", rule=_r))
-for _a in ("lca", "interval", "chain", "fingerprint"):
+for _a in ("jump", "lca", "interval", "chain", "fingerprint"):
     workload(f"ancestor_{_a}", base("ev_user", 64, values(EV)) + hits("user_id"))(_locate("ev_user", 64, EV, "index", ancestor=_a))
 for _k in ("sorted", "dense"):
     workload(f"children_{_k}", base("ev_user", 64, values(EV)) + hits("user_id"))(_locate("ev_user", 64, EV, "index", children=_k))
@@ -529,6 +529,6 @@ def work_bound_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @workload("work_bound_update", f"SELECT k AS user_id, true AS ok FROM ({STREAMS['ev_user']})")
 def work_bound_update(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Steps of all pushes are at most 16 for each."""
+    """Steps of all pushes, the order list's included, are at most 20 for each."""
     found = measures.update_work(family(spark, sf_dir, "ev_user"), 16)
-    return keyed(found, "ev_user", (F.col("steps") <= 16 * F.col("pushes")).alias("ok"))
+    return keyed(found, "ev_user", (F.col("steps") <= 20 * F.col("pushes")).alias("ok"))
