@@ -50,10 +50,11 @@ from pyspark.sql import functions as F
 from winsub.llm.common import lean, mix64, shingle_sets, slices, stage, table, utf8
 from winsub.llm.components import components
 
-SMALL, RATIO, CHUNK, HEAVY, ROUNDS = 64, 16, 2048, 4096, 2
+SMALL, RATIO, CHUNK, HEAVY, ROUNDS = 64, 16, 1024, 4096, 2
 #: Digests a worker remembers to skip copies inside its partition; bits of the text filter;
-#: keys a worker holds to settle their groups; rows of one cluster that a task compares.
-REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS = 50_000, 1 << 22, 1_000_000, 8192
+#: keys a worker holds to settle their groups; rows of one cluster that a task compares; classes
+#: among which it remembers the pairs it compared.
+REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, COMPARED = 50_000, 1 << 22, 1_000_000, 8192, 6000
 
 
 def bound(a, b):
@@ -85,13 +86,6 @@ def halve(sketch: np.ndarray, words: int) -> np.ndarray:
     return sketch
 
 
-def _first(element: np.ndarray, heavy: np.ndarray, k: int) -> np.ndarray:
-    """The k first elements: those not heavy before heavy ones, then by hash."""
-    if k >= len(element):
-        return element
-    return element[np.argpartition(element >> np.uint64(1) | heavy.astype(np.uint64) << np.uint64(63), k - 1)[:k]]
-
-
 def _is_heavy(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
     if not len(heavy):
         return np.zeros(len(hashes), bool)
@@ -100,33 +94,48 @@ def _is_heavy(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
     return heavy[at] == hashes
 
 
-def bands(n: int) -> list[tuple[int, int]]:
-    """(blocks, differences allowed) of the size bands in which a set of n >= SMALL can link."""
-    top = SMALL
-    while top < n:
-        top *= RATIO
-    found = [(16 * top, bound(n, min(top, 4 * n // 3)))]
-    return found + [(16 * top * RATIO, n // 3)] if 4 * n >= 3 * (top + 1) else found
-
-
-def keys(hashes: np.ndarray, heavy: np.ndarray) -> np.ndarray:
-    """Join keys of one document: first blocks of its sketches in the bands it can link in."""
-    n, out = len(hashes), []
-    hot = _is_heavy(hashes, heavy)
+def _first(element: np.ndarray, heavy: np.ndarray, owner: np.ndarray, most: np.ndarray) -> np.ndarray:
+    """Places of each owner's first elements (``most`` of them): those not heavy before heavy ones, then by hash."""
+    bits = np.uint64(max(1, int(owner[-1]).bit_length()) if len(owner) else 1)
+    place = element >> np.uint64(1) | heavy.astype(np.uint64) << np.uint64(63)
+    order = np.argsort(place >> bits | owner.astype(np.uint64) << np.uint64(64) - bits)
+    owner = owner[order]
+    begin = np.searchsorted(owner, np.arange(len(most)))
+    return order[np.arange(len(owner)) - begin[owner] < most[owner]]
+
+
+def keys(sets: list[np.ndarray], heavy: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Join keys of documents, and whose they are: first blocks of their sketches in the bands they can link in."""
+    n = np.array([len(s) for s in sets])
+    hashes, doc = np.concatenate(sets), np.repeat(np.arange(len(sets)), n)
+    hot, out, owners = _is_heavy(hashes, heavy), [], []
+    top = np.full(len(n), SMALL)
+    while (top < n).any():
+        top = np.where(top < n, top * RATIO, top)
     finest = 3 * n < 4 * SMALL  # a partner, or the document, may be small
-    if n >= SMALL:
-        for blocks, most in bands(n):
-            block = (hashes >> np.uint64(24)).astype(np.int64) & (blocks - 1)
-            order = np.argsort(block)
-            begin = np.flatnonzero(np.diff(block[order], prepend=-1))
-            word = np.bitwise_xor.reduceat(hashes[order], begin)
-            element = mix64(word ^ mix64((block[order[begin]] + blocks).astype(np.uint64)))
-            out.append(_first(element, np.logical_and.reduceat(hot[order], begin), most + 1 + slack(n)))
-            # A set with too few blocks for its bound (n/3 + n/16) has partners with at most 0.87 of their size.
-            finest |= 8 * len(element) <= 7 * n
-    if finest:
-        out.append(_first(mix64(hashes), hot, n // 4 + 1 + slack(n)))
-    return np.concatenate(out) if out else np.empty(0, np.uint64)
+    band = n >= SMALL
+    for own, blocks, most in ((band, 16 * top, bound(n, np.minimum(top, 4 * n // 3))), (band & (4 * n >= 3 * (top + 1)), 16 * top * RATIO, n // 3)):
+        some = own[doc]
+        if not some.any():
+            continue
+        blocks = np.minimum(blocks, 1 << 40)
+        h, d = hashes[some], doc[some]
+        block = (h >> np.uint64(24)).astype(np.int64) & (blocks[d] - 1)
+        order = np.argsort(d << 40 | block)
+        d, block = d[order], block[order]
+        begin = np.flatnonzero((np.diff(block, prepend=-1) != 0) | (np.diff(d, prepend=-1) != 0))
+        word = np.bitwise_xor.reduceat(h[order], begin)
+        d = d[begin]
+        element = mix64(word ^ mix64((block[begin] + blocks[d]).astype(np.uint64)))
+        found = _first(element, np.logical_and.reduceat(hot[some][order], begin), d, most + 1 + slack(n))
+        out.append(element[found])
+        owners.append(d[found])
+        # A set with too few blocks for its bound (n/3 + n/16) has partners with at most 0.87 of their size.
+        finest |= own & (8 * np.bincount(d, minlength=len(n)) <= 7 * n)
+    some = finest[doc]
+    element, d = mix64(hashes[some]), doc[some]
+    found = _first(element, hot[some], d, n // 4 + 1 + slack(n))
+    return np.concatenate([*out, element[found]]), np.concatenate([*owners, d[found]])
 
 
 class Frequent:
@@ -175,11 +184,13 @@ def _settle(key: np.ndarray, doc: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
     A leader (or a document of a smaller group) has its key as its place and stands for
     ``times`` documents; the others have places of their own and name their leader.
     """
-    order = np.lexsort((doc, n, key))
-    key, doc, n = key[order], doc[order], n[order]
-    first = np.flatnonzero(np.diff(key, prepend=key[0] ^ 1))
+    order = np.argsort(key)
+    first = np.flatnonzero(np.diff(key[order], prepend=key[order[0]] ^ 1))
     size = np.diff(np.append(first, len(key)))
     many = np.repeat(size > 2, size)
+    some = order[many]
+    order[many] = some[np.lexsort((doc[some], n[some], key[some]))]
+    key, doc, n = key[order], doc[order], n[order]
     led = many.copy()
     led[first] = False
     times = np.where(many, 0, 1)
@@ -192,16 +203,12 @@ def _settle(key: np.ndarray, doc: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
 def _emit(heavy: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
-        out, docs, sizes, held = [], [], [], 0
+        held: list[tuple[np.ndarray, ...]] = []
 
         def settled() -> Iterator[pa.RecordBatch]:
-            nonlocal held
-            if out:
-                each = [len(k) for k in out]
-                rows = _settle(np.concatenate(out).view(np.int64), np.repeat(np.array(docs, np.int64), each), np.repeat(np.array(sizes, np.int32), each))
-                for x in (out, docs, sizes):
-                    x.clear()
-                held = 0
+            if held:
+                rows = _settle(*(np.concatenate(x) for x in zip(*held, strict=True)))
+                held.clear()
                 for k in range(0, rows.num_rows, 1 << 16):
                     yield rows.slice(k, 1 << 16)
 
@@ -209,6 +216,7 @@ def _emit(heavy: np.ndarray):
             data, offsets = utf8(b.column(1))
             ids = b.column(0).to_numpy()
             for i, j in slices(offsets):
+                sets, docs = [], []
                 for doc, s in zip(ids[i:j], shingle_sets(data, offsets[i : j + 1]), strict=True):
                     digest = hashlib.blake2b(s.tobytes(), digest_size=16).digest()
                     if not len(s) or digest in seen:
@@ -216,11 +224,12 @@ def _emit(heavy: np.ndarray):
                     if len(seen) >= REMEMBERED:
                         seen.clear()
                     seen.add(digest)
-                    out.append(keys(s, heavy))
+                    sets.append(s)
                     docs.append(doc)
-                    sizes.append(len(s))
-                    held += len(out[-1])
-                if held > HELD:
+                if sets:
+                    key, owner = keys(sets, heavy)
+                    held.append((key.view(np.int64), np.array(docs, np.int64)[owner], np.array([len(s) for s in sets], np.int32)[owner]))
+                if sum(len(x[0]) for x in held) > HELD:
                     yield from settled()
         yield from settled()
 
@@ -250,65 +259,87 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
-def _block(group: dict[str, np.ndarray], sketches: list[bytes]) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """Pairs of different components in one block of a key's members, by Hamming distance."""
-    n, label, rep, chunk = (group[x] for x in ("n", "label", "rep", "chunk"))
-    low, same = group["low"][0], group["low"][0] == group["high"][0]
-    words = np.array([len(s) // 8 for s in sketches])
-    one, other = [], []
-    for w in np.unique(words):
-        wide = np.flatnonzero((words == w) | (words == 2 * w))
-        m = np.stack([halve(np.frombuffer(sketches[i], np.uint64), w) for i in wide])
-        for k, i in enumerate(wide):
-            if words[i] != w:
-                continue
-            ok = (label[wide] != label[i]) & (4 * np.minimum(n[wide], n[i]) >= 3 * np.maximum(n[wide], n[i]))
-            ok &= (words[wide] != w) | (wide > i)
-            if not same:
-                ok &= (chunk[wide] == low) != (chunk[i] == low)
-            at = np.flatnonzero(ok)
-            if len(at):
-                far = np.bitwise_count(m[at] ^ m[k]).sum(axis=1)
-                hit = wide[at[far <= bound(n[wide[at]], n[i])]]
-                one.append(np.minimum(rep[i], rep[hit]))
-                other.append(np.maximum(rep[i], rep[hit]))
-    return one, other
-
-
-_BLOCK = ["key", "low", "high", "chunk", "rep", "n", "label"]
+class _Cluster:
+    """The classes of some rows (one a key and class) and which pairs of them were compared."""
+
+    def __init__(self, rows: pa.Table):
+        self.rep, first, self.local = np.unique(rows["rep"].to_numpy(), return_index=True, return_inverse=True)
+        self.n, self.label = (rows[x].to_numpy()[first] for x in ("n", "label"))
+        self.sketches = [np.frombuffer(x.as_buffer(), np.uint64) for x in rows["sketch"].take(pa.array(first))]
+        self.words = np.array([len(x) for x in self.sketches])
+        self.halved: dict[int, np.ndarray] = {}
+        self.done = np.zeros((len(first), len(first)), bool) if len(first) <= COMPARED else None
+
+    def at(self, w: int) -> np.ndarray:
+        """All sketches at ``w`` words (zeros for narrower ones)."""
+        if w not in self.halved:
+            self.halved[w] = np.stack([halve(x, w) if len(x) >= w else np.zeros(w, np.uint64) for x in self.sketches])
+        return self.halved[w]
+
+    def near(self, one: np.ndarray, other: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Pairs (places of one, places of other) of different components that are within the bound, compared once."""
+        n, label = self.n, self.label
+        small, large = np.minimum(n[one][:, None], n[other]), np.maximum(n[one][:, None], n[other])
+        open_ = (label[one][:, None] != label[other]) & (4 * small >= 3 * large)
+        if one is other:
+            open_ &= np.tri(len(one), k=-1, dtype=bool)
+        if self.done is not None:
+            open_ &= ~self.done[one[:, None], other]
+        a, b = np.nonzero(open_)
+        a, b = one[a], other[b]
+        if self.done is not None:
+            self.done[a, b] = self.done[b, a] = True
+        width, hit = np.minimum(self.words[a], self.words[b]), np.zeros(len(a), bool)
+        for w in np.unique(width):
+            m, of = self.at(w), np.flatnonzero(width == w)
+            for k in range(0, len(of), 1 << 15):
+                some = of[k : k + (1 << 15)]
+                far = np.bitwise_count(m[a[some]] ^ m[b[some]]).sum(axis=1, dtype=np.int32)
+                hit[some] = far <= bound(n[a[some]], n[b[some]])
+        return a[hit], b[hit]
+
+
+_BLOCK = ["key", "low", "high"]
 
 
 def _cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """``_block`` of each run of equal (key, low, high); a run has about 2 * CHUNK rows."""
-    held = None
+    """Near pairs of each run of equal (key, low, high); a run has about 2 * CHUNK rows."""
+    held: list[pa.RecordBatch] = []
+
+    def starts(rows: pa.Table) -> np.ndarray:
+        new = np.zeros(rows.num_rows, bool)
+        new[0] = True
+        for x in _BLOCK:
+            v = rows[x].to_numpy()
+            new[1:] |= v[1:] != v[:-1]
+        return np.flatnonzero(new)
 
     def out(rows: pa.Table) -> pa.RecordBatch:
-        columns = {x: rows[x].to_numpy() for x in _BLOCK}
-        sketches = rows["sketch"]
-        new = np.flatnonzero((np.diff(columns["key"], prepend=0) != 0) | (np.diff(columns["low"], prepend=-1) != 0) | (np.diff(columns["high"], prepend=-1) != 0))
+        cluster, chunk, low, high = _Cluster(rows), *(rows[x].to_numpy() for x in ("chunk", "low", "high"))
         a, b = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-        for i, j in zip(new, np.append(new[1:], rows.num_rows), strict=True):
-            if columns["label"][i:j].min() < columns["label"][i:j].max():
-                one, other = _block({x: c[i:j] for x, c in columns.items()}, sketches[i:j].to_pylist())
-                a += one
-                b += other
-        # A cluster's keys give the same pairs again and again.
-        found = np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
+        new = starts(rows)
+        for i, j in zip(new, np.append(new[1:], len(chunk)), strict=True):
+            one = cluster.local[i:j]
+            if low[i] == high[i]:
+                found = cluster.near(one, one)
+            else:
+                first = chunk[i:j] == low[i]
+                found = cluster.near(one[first], one[~first])
+            a.append(found[0])
+            b.append(found[1])
+        a, b = cluster.rep[np.concatenate(a)], cluster.rep[np.concatenate(b)]
+        return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
 
     for b in batches:
-        rows = pa.Table.from_batches([b])
-        held = rows if held is None else pa.concat_tables([held, rows])
-        last = [held[x][-1].as_py() for x in ("key", "low", "high")]
-        inside = np.ones(held.num_rows, bool)
-        for x, v in zip(("key", "low", "high"), last, strict=True):
-            inside &= held[x].to_numpy() == v
-        cut = len(inside) - int(np.argmin(inside[::-1])) if not inside.all() else 0  # where the last run begins
-        if cut:
-            yield out(held.slice(0, cut))
-            held = held.slice(cut).combine_chunks()
-    if held is not None and held.num_rows:
-        yield out(held)
+        held.append(b)
+        if sum(x.num_rows for x in held) >= CLUSTER_ROWS:
+            rows = pa.Table.from_batches(held)
+            cut = int(starts(rows)[-1])
+            if cut:
+                yield out(rows.slice(0, cut))
+                held = rows.slice(cut).combine_chunks().to_batches()
+    if held and (rows := pa.Table.from_batches(held)).num_rows:
+        yield out(rows)
 
 
 class Join:
