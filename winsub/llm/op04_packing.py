@@ -7,8 +7,9 @@
    input) reaches the driver.  The longest remaining length opens a window; a bitset
    dynamic programme over the remaining-length multiset finds the sum closest to the room
    left; backtracking gives how many of each length; the pattern is repeated as often as
-   the counts allow.  Where the slack exceeds ``tolerance`` half of the opening class is cut
-   into its power-of-two parts, which fill later windows.
+   the counts allow.  Where the slack exceeds ``tolerance`` half of the largest class that is
+   no power of two is cut into its power-of-two parts, which fill later windows; what is left
+   in the end, less than a window, goes into a sequence for each bit of its sum.
 3. Assign: a remainder's rank inside its length class (a running number inside its input
    partition and a prefix sum over partitions) selects pattern, repetition and offset.
 
@@ -32,7 +33,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from winsub.llm.common import stage, table
+from winsub.llm.common import lean, stage, table
 
 CAPACITY, END_ID, TOLERANCE = 4096, 2, 4
 #: Words whose ids a worker remembers before it starts afresh.
@@ -138,7 +139,7 @@ def cuts(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END
                     seen[rem] = rank + 1
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
-    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, CUT_SCHEMA)
+    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(lean(run), CUT_SCHEMA)
 
 
 def best_fill(counts: dict[int, int], room: int) -> dict[int, int]:
@@ -163,6 +164,28 @@ def best_fill(counts: dict[int, int], room: int) -> dict[int, int]:
     return fill
 
 
+def _dealt(counts: dict[int, int], capacity: int) -> list[tuple[int, list[tuple[int, int]]]]:
+    """Powers of two into as few sequences as their sum has bits: in falling order they fill one after the other."""
+    most, out = 1 << capacity.bit_length() - 1, []
+    left = sorted(counts.items(), reverse=True)
+    while left:
+        size, n = left[0]
+        if full := size * n // most:  # so many sequences of the largest power alone
+            out.append((full, [(size, most // size)]))
+            left[0] = (size, n - full * (most // size))
+        else:
+            room, fill = 1 << sum(x * k for x, k in left).bit_length() - 1, []
+            room = min(room, most)
+            for k, (x, have) in enumerate(left):
+                take = min(have, room // x)
+                if take:
+                    fill.append((x, take))
+                    left[k], room = (x, have - take), room - x * take
+            out.append((1, fill))
+        left = [(x, n) for x, n in left if n]
+    return out
+
+
 def plan(histogram: dict[int, int], capacity: int = CAPACITY, tolerance: int = TOLERANCE) -> tuple[list[tuple[int, list[tuple[int, int]]]], dict[int, int]]:
     """Patterns (repetitions, [(length, used), ...]) and how many of each length are cut."""
     counts, cut, patterns = {x: n for x, n in histogram.items() if n and x}, {}, []
@@ -172,15 +195,16 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY, tolerance: int = T
         fill = best_fill(counts, capacity - seed)
         counts[seed] += 1
         slack = capacity - seed - sum(x * n for x, n in fill.items())
-        if slack > tolerance and len(bits(seed)) > 1:
-            some = -(-counts[seed] // 2)
-            cut[seed] = cut.get(seed, 0) + some
-            for p in bits(seed):
+        if slack > tolerance:
+            odd = max((x for x in counts if len(bits(x)) > 1), default=None)
+            if odd is None:  # powers of two alone, too few for a window
+                return patterns + _dealt(counts, capacity), cut
+            some = -(-counts[odd] // 2)
+            cut[odd] = cut.get(odd, 0) + some
+            for p in bits(odd):
                 counts[p] = counts.get(p, 0) + some
-            counts[seed] -= some
+            counts[odd] -= some
         else:
-            if slack > tolerance:
-                fill = {}
             fill[seed] = fill.get(seed, 0) + 1
             times = min(counts[x] // n for x, n in fill.items())
             patterns.append((times, sorted(fill.items(), reverse=True)))
@@ -269,12 +293,13 @@ def pack(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END
     before = classes.select("part", "class", before.alias("before"))
     rest = before.where(F.col("class") < capacity).select("part", F.col("class").alias("rem"), F.col("before").alias("rem_before"))
     whole = before.where(F.col("class") == capacity).select("part", F.col("before").alias("full_before"))
-    placed = made.join(whole, "part", "left").join(rest, ["part", "rem"], "left")
+    # The classes of all parts grow with the input: they are merged, never broadcast.
+    placed = made.join(whole, "part", "left").join(rest.hint("merge"), ["part", "rem"], "left")
     return placed.select(
         "doc_id", "doc_tokens", "full_crc", "rem", "rem_crc", "part_crc",
         (F.col("full_rank") + F.coalesce("full_before", F.lit(0))).alias("full_rank"),
         (F.col("rank") + F.coalesce("rem_before", F.lit(0))).alias("rank"),
-    ).mapInArrow(_pieces(places, capacity), PIECE_SCHEMA)
+    ).mapInArrow(lean(_pieces(places, capacity)), PIECE_SCHEMA)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
