@@ -11,7 +11,7 @@ so many of each larger one as fill the rest, ``LEAST_DOCS`` of a language in any
 
 Defined results: null text, or text without a letter, is ``und`` with score 0; ties go to
 the first language in order; an empty table gives an empty result; without any training
-row every text is ``und``; columns other than doc_id, text and lang are not read.
+row every text is ``und``; ``held_out`` of a null doc_id is false; columns other than doc_id, text and lang are not read.
 """
 
 from __future__ import annotations
@@ -23,12 +23,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winsub.llm.common import SLICE_BYTES, fold, slices, table, utf8
+from winsub.llm.common import SLICE_BYTES, fold, lean, slices, spaced, table, utf8
 
 #: Expected number of documents that fitting reads, hash buckets, EM rounds.
 TRAIN_DOCS, BUCKETS, ROUNDS = 20_000, 1 << 16, 12
 #: Documents (expected number) that a language has in fitting, if there are as many.
 LEAST_DOCS = 100
+#: Words that are handled at one time; words a text has at least before its letters can be those of
+#: no language; how far its trigrams are then from usual text (0) towards trigrams never seen (1).
+WORDS, STRANGE_WORDS, STRANGE = 1 << 16, 8, 0.75
 #: Trigrams of a word overlap: their log-likelihoods are scaled down by this.
 TEMPER = 1 / 3
 
@@ -63,58 +66,69 @@ def _blocks(data: np.ndarray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, i
         at = to
 
 
-def _joined(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The rows' bytes with a blank after each row, and where rows begin."""
-    sizes = np.diff(offsets)
-    begin = np.concatenate([[0], np.cumsum(sizes + 1)])
-    out = np.full(begin[-1], 32, np.uint8)
-    keep = np.ones(begin[-1], bool)
-    keep[begin[1:] - 1] = False
-    out[keep] = data[offsets[0] : offsets[-1]]
-    return out, begin
-
-
 class Model:
     def __init__(self, languages: list[str], counts: np.ndarray):
         self.languages = languages
         smooth = counts + 0.05
-        self.logp = (TEMPER * np.log(smooth / smooth.sum(axis=1, keepdims=True))).T.astype(np.float32).copy()
+        log = np.log(smooth / smooth.sum(axis=1, keepdims=True))
+        self.logp = (TEMPER * log).T.astype(np.float32).copy()
+        if len(languages):
+            usual, never = (counts * log).sum() / max(1, counts.sum()), np.log(0.05 / smooth.sum(axis=1)).max()
+            self.strange = usual + STRANGE * (never - usual)
 
     def _likelihoods(self, data: np.ndarray, begin: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Words x languages log-likelihoods and each word's row."""
-        parts, where = [np.empty((0, len(self.languages)), np.float32)], [np.empty(0, np.int64)]
+        parts, where = [np.empty((0, len(self.languages)), np.float32)], [np.empty(0, np.int32)]
         for at, to in _blocks(data):
             gram, first, place = _words(data[at:to])
             if len(first):
                 parts.append(np.add.reduceat(self.logp[gram], first, axis=0))
-                where.append(place + at)
-        return np.concatenate(parts), np.searchsorted(begin, np.concatenate(where), side="right") - 1
+                where.append((np.searchsorted(begin, place + at, side="right") - 1).astype(np.int32))
+        return np.concatenate(parts), np.concatenate(where)
 
     @staticmethod
     def mix(like: np.ndarray, row: np.ndarray, n: int, allowed: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Proportions by EM and the log-likelihood of each row's words; ``allowed``: rows x languages."""
+        """Proportions by EM and the log-likelihood of each row's words; ``allowed``: rows x languages.
+
+        ``row`` is sorted; words are weighed ``WORDS`` at a time, so memory follows the likelihoods alone.
+        """
         share = allowed / allowed.sum(axis=1, keepdims=True)
         count = np.bincount(row, minlength=n)
-        first = np.flatnonzero(np.diff(row, prepend=-1))
         for _ in range(ROUNDS):
-            r = share[row] * like
-            r /= r.sum(axis=1, keepdims=True)
-            share = np.zeros_like(share)
-            share[row[first]] = np.add.reduceat(r, first, axis=0)
-            share /= np.maximum(count, 1)[:, None]
-        total = np.log((share[row] * like).sum(axis=1))
-        return share, np.bincount(row, weights=total, minlength=n)
-
-    def predict(self, data: np.ndarray, offsets: np.ndarray) -> tuple[list[str], list[float], list[list[str]]]:
+            found = np.zeros_like(share)
+            for at in range(0, len(row), WORDS):
+                own = row[at : at + WORDS]
+                r = share[own] * like[at : at + WORDS]
+                r /= r.sum(axis=1, keepdims=True)
+                first = np.flatnonzero(np.diff(own, prepend=-1))
+                found[own[first]] += np.add.reduceat(r, first, axis=0)
+            share = found / np.maximum(count, 1)[:, None]
+        total = np.zeros(n)
+        for at in range(0, len(row), WORDS):
+            own = row[at : at + WORDS]
+            total += np.bincount(own, weights=np.log((share[own] * like[at : at + WORDS]).sum(axis=1)), minlength=n)
+        return share, total
+
+    def predict(self, data: np.ndarray, offsets: np.ndarray) -> tuple[list[str], list[float], list[list[str]], np.ndarray]:
+        """Language, score and language set of every row, and whether its letters are those of no language."""
         n, k = len(offsets) - 1, len(self.languages)
-        names, scores, sets = ["und"] * n, [0.0] * n, [[] for _ in range(n)]
+        names, scores, sets, strange = ["und"] * n, [0.0] * n, [[] for _ in range(n)], np.zeros(n, bool)
         if not n or not k:
-            return names, scores, sets
-        text, begin = _joined(data, offsets)
-        log, row = self._likelihoods(text, begin)
+            return names, scores, sets, strange
+        text, begin = spaced(data, offsets)
+        like, row = self._likelihoods(text, begin)
         if not len(row):
-            return names, scores, sets
-        like = np.exp(np.maximum(log - log.max(axis=1, keepdims=True), -30)).astype(np.float64)
+            return names, scores, sets, strange
+        one, peak = np.zeros((n, k)), np.empty(len(row), np.float32)
+        for at in range(0, len(row), WORDS):
+            part = like[at : at + WORDS]
+            top = part.max(axis=1)
+            peak[at : at + WORDS] = top
+            np.maximum(part - top[:, None], -30, out=part)
+            own = row[at : at + WORDS]
+            for j in range(k):
+                one[:, j] += np.bincount(own, weights=part[:, j], minlength=n)
+            np.exp(part, out=part)
         words = np.bincount(row, minlength=n)
         share, full = self.mix(like, row, n, np.ones((n, k)))
         order = np.argsort(-share, axis=1, kind="stable")
@@ -126,7 +140,8 @@ class Model:
             at = np.searchsorted(todo, row)
             at[at == len(todo)] = 0
             sel = todo[at] == row
-            found, total = self.mix(like[sel], at[sel], len(todo), (rank[todo] < m).astype(float))
+            whole = bool(sel.all())
+            found, total = self.mix(like if whole else like[sel], at if whole else at[sel], len(todo), (rank[todo] < m).astype(float))
             value = total - penalty[todo] * (m - 1)
             better = value > best[todo]
             best[todo[better]], chosen[todo[better]], size[todo[better]] = value[better], found[better], m
@@ -135,17 +150,27 @@ class Model:
             if not len(todo):
                 break
         top = chosen.argmax(axis=1)
-        one = np.zeros((n, k))
-        np.add.at(one, row, np.log(like))
         gap = one[np.arange(n), top] - np.where(np.arange(k) == top[:, None], -np.inf, one).max(axis=1, initial=-np.inf)
         sure = 1 / (1 + np.exp(-np.clip(gap, -30, 30)))
+        # The mixture's log-likelihood of all trigrams.
+        mixed = (full + np.bincount(row, weights=peak, minlength=n)) / TEMPER
+        strange = (words >= STRANGE_WORDS) & (mixed < self.strange * self._trigrams(text, begin))
         for i in np.flatnonzero(words):
             piece = data[offsets[i] : offsets[i + 1]]
             if not _ASCII_LETTER[piece].any() and not any(ch.isalpha() for ch in piece.tobytes().decode()):
                 continue
             names[i], scores[i] = self.languages[top[i]], float(chosen[i, top[i]] * max(0.5, sure[i]))
             sets[i] = [self.languages[j] for j in order[i] if chosen[i, j] > 0.005]
-        return names, scores, sets
+        return names, scores, sets, strange
+
+    @staticmethod
+    def _trigrams(data: np.ndarray, begin: np.ndarray) -> np.ndarray:
+        """Number of each row's trigrams, one for each byte of a word."""
+        total = np.zeros(len(begin) - 1)
+        for at, to in _blocks(data):
+            place = np.flatnonzero(_CLASS[data[at:to]] != 32) + at
+            total += np.bincount(np.searchsorted(begin, place, side="right") - 1, minlength=len(total))
+        return total
 
 
 def share(sizes: list[int], most: int) -> float:
@@ -176,7 +201,7 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> Model:
             lang = np.array([languages.index(x) for x in b.column(1).to_pylist()])
             data, offsets = utf8(b.column(0))
             for i, j in slices(offsets):
-                text, begin = _joined(data, offsets[i : j + 1])
+                text, begin = spaced(data, offsets[i : j + 1])
                 for at, to in _blocks(text):
                     gram, first, place = _words(text[at:to])
                     if not len(first):
@@ -187,7 +212,7 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> Model:
         k, bucket = np.nonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(k, pa.int64()), pa.array(bucket, pa.int64()), pa.array(counts[k, bucket], pa.int64())], ["k", "bucket", "n"])
 
-    found = some.select("text", "lang").mapInArrow(count, "k long, bucket long, n long").groupBy("k", "bucket").agg(F.sum("n").alias("n")).toPandas()
+    found = some.select("text", "lang").mapInArrow(lean(count), "k long, bucket long, n long").groupBy("k", "bucket").agg(F.sum("n").alias("n")).toPandas()
     counts = np.zeros((len(languages), BUCKETS))
     counts[found["k"].to_numpy(np.int64), found["bucket"].to_numpy(np.int64)] = found["n"].to_numpy(float)
     return Model(languages, counts)
@@ -203,10 +228,10 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
         for b in batches:
             data, offsets = utf8(b.column(1))
             for i, j in slices(offsets):
-                names, scores, sets = model.predict(data, offsets[i : j + 1])
+                names, scores, sets, _ = model.predict(data, offsets[i : j + 1])
                 yield pa.RecordBatch.from_arrays([b.column(0)[i:j], pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(sets, pa.list_(pa.string()))], ["doc_id", "lang_pred", "score", "languages"])
 
-    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, PREDICTED)
+    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(lean(run), PREDICTED)
 
 
 def training_rows(docs: DataFrame) -> DataFrame:
@@ -216,18 +241,26 @@ def training_rows(docs: DataFrame) -> DataFrame:
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     found = predict(docs, fit(training_rows(docs)))
-    return found.select("doc_id", (fold("doc_id", 4) == 2).alias("held_out"), "lang_pred", "score", "languages")
+    return found.select("doc_id", F.coalesce(fold("doc_id", 4) == 2, F.lit(False)).alias("held_out"), "lang_pred", "score", "languages")
 
 
 def kept_documents(docs: DataFrame, model: Model) -> DataFrame:
-    """The rows whose language can be told, all columns; texts without a letter go."""
+    """The rows whose language can be told, all columns.
+
+    Texts without a letter go, and texts of some words of which the mixture of all languages finds
+    most trigrams as unlikely as any never seen; without a model all with a letter stay.
+    """
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             data, offsets = utf8(b.column(at))
             for i, j in slices(offsets):
-                names, _, _ = model.predict(data, offsets[i : j + 1])
-                yield b.slice(i, j - i).filter(pa.array([x != "und" for x in names], pa.bool_()))
-
-    return docs.mapInArrow(run, docs.schema)
+                if model.languages:
+                    names, _, _, strange = model.predict(data, offsets[i : j + 1])
+                    keep = np.array([x != "und" for x in names], bool) & ~strange
+                else:
+                    keep = np.array([any(ch.isalpha() for ch in t or "") for t in b.column(at)[i:j].to_pylist()], bool)
+                yield b.slice(i, j - i).filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(lean(run), docs.schema)
