@@ -1,20 +1,25 @@
 """SentencePiece encoding and decoding: unigram Viterbi over a double-array trie.
 
-Pieces and log scores come from a ``.model`` file.  Text is marked (a leading marker, each
-space becomes the marker) and segmented to the piece sequence of the highest total score;
-characters that no piece covers fall back to byte pieces.  Where no piece has a marker
-after another character, the best path breaks before every marker run that follows a
-character, so segments are solved apart and remembered in a bounded table; otherwise the
-whole text is one segment.  Scores are summed as exact doubles.
+Pieces and log scores come from a ``.model`` file.  A file of merges has ranks for scores; the
+log score of rank r is then that of Zipf's law, -log(r + 1) less the logarithm of the law's
+sum, so few pieces beat many (``scores="ranks"`` sums the ranks as they stand).  Text is marked
+(a leading marker, each space becomes the marker) and segmented to the piece sequence of the
+highest total score; characters that no piece covers fall back to byte pieces.  Where no piece
+has a marker after another character, the best path breaks before every marker run that
+follows a character, so segments are solved apart and remembered in a bounded table; otherwise
+the whole text is one segment.  Scores are summed as exact doubles; of a segment only the
+scores a piece's length back and four bytes a byte of text are held.
 
 Defined results: null text is empty and gives no piece; ties go to the longest last piece;
 decoding restores the text exactly, except that a marker character inside a text becomes a
-space; an empty table gives an empty result; other columns are not read.
+space; repeated rows are coded each; an empty table gives an empty result; other columns are
+not read.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 import zlib
 from array import array
@@ -24,16 +29,19 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from winsub.llm.common import table
+from winsub.llm.common import CACHES, lean, table
 
 MARK = "▁"
-REMEMBERED = 1_000_000
+REMEMBERED = 400_000
 #: Added to the lowest score for a character without a piece.
 UNKNOWN_PENALTY = -10.0
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # fixed values: piece types
 
 
-def read_pieces(path: str) -> list[tuple[str, float, int]]:
+UNIGRAM, MERGES = 1, 2  # fixed values: kinds of model
+
+
+def read_pieces(path: str, scores: str = "log") -> list[tuple[str, float, int]]:
     """(piece, score, type) in order of ids, from the model file's wire format."""
     with open(path, "rb") as f:
         data = f.read()
@@ -61,9 +69,11 @@ def read_pieces(path: str) -> list[tuple[str, float, int]]:
                 value, at = data[at : at + (4 if kind == 5 else 8)], at + (4 if kind == 5 else 8)
             yield key >> 3, value
 
-    out = []
+    out, model = [], UNIGRAM
     for number, value in fields(0, len(data)):
-        if number == 1:
+        if number == 2:
+            model = next((v for n, v in fields(*value) if n == 3), UNIGRAM)
+        elif number == 1:
             piece, score, kind = "", 0.0, NORMAL
             for n, v in fields(*value):
                 if n == 1:
@@ -73,6 +83,15 @@ def read_pieces(path: str) -> list[tuple[str, float, int]]:
                 elif n == 3:
                     kind = v
             out.append((piece, score, kind))
+    return zipf(out) if model == MERGES and scores == "log" else out
+
+
+def zipf(pieces: list[tuple[str, float, int]]) -> list[tuple[str, float, int]]:
+    """Ranks, the best 0 and others below, to log scores; of every kind but normal pieces they stay."""
+    order = sorted((i for i, p in enumerate(pieces) if p[2] in (NORMAL, USER)), key=lambda i: -pieces[i][1])
+    total, out = math.log(math.fsum(1 / r for r in range(1, len(order) + 1))), list(pieces)
+    for r, i in enumerate(order, 1):
+        out[i] = (pieces[i][0], -math.log(r) - total, pieces[i][2])
     return out
 
 
@@ -125,12 +144,14 @@ class DoubleArray:
 
 
 class Pieces:
-    def __init__(self, path: str):
-        pieces = read_pieces(path)
+    def __init__(self, path: str, scores: str = "log"):
+        pieces = read_pieces(path, scores)
         usable = [i for i, (_, _, kind) in enumerate(pieces) if kind in (NORMAL, USER)]
         self.ids = usable
         self.score = [pieces[i][1] for i in usable]
-        self.trie = DoubleArray([pieces[i][0].encode() for i in usable])
+        keys = [pieces[i][0].encode() for i in usable]
+        self.trie, self.size = DoubleArray(keys), [len(k) for k in keys]
+        self.ring = 1 << max(4, *self.size).bit_length()
         self.unknown = min(self.score) + UNKNOWN_PENALTY
         self.bytes = {int(p[1:-1], 16): i for i, (p, _, kind) in enumerate(pieces) if kind == BYTE}
         self.unk = next((i for i, p in enumerate(pieces) if p[2] == UNKNOWN), 0)
@@ -138,19 +159,21 @@ class Pieces:
         self.breaks = not any(MARK in p.lstrip(MARK) for p, _, kind in pieces if kind in (NORMAL, USER))
         self.known = _Segments(self)
 
-    def segment(self, marked: str) -> list[int]:
+    def segment(self, marked: str) -> array:
         """Viterbi over the trie: ids of the best segmentation of marked text."""
         text = marked.encode()
         n = len(text)
-        best: list[float | None] = [None] * (n + 1)
+        # best: a ring of the scores that a piece from here can reach; come: the last piece, -1 a bare character.
+        mask, low = self.ring - 1, -math.inf
+        best, come = [low] * self.ring, array("i", [0]) * (n + 1)
         best[0] = 0.0
-        come = [(0, -1)] * (n + 1)
         base, check, value, score, unknown = self.trie.base, self.trie.check, self.trie.value, self.score, self.unknown
         at = 0
         while at < n:
             first = text[at]
             width = 1 if first < 128 else 2 if first < 224 else 3 if first < 240 else 4
-            here, node, single = best[at], 0, False
+            here, node, single = best[at & mask], 0, False
+            best[at & mask] = low
             for i in range(at, n):
                 child = base[node] + text[i] + 1
                 if check[child] != node:
@@ -158,26 +181,32 @@ class Pieces:
                 node = child
                 k = value[node]
                 if k >= 0:
-                    total = here + score[k]
-                    if best[i + 1] is None or total > best[i + 1]:
-                        best[i + 1], come[i + 1] = total, (at, k)
-                    single = single or i + 1 == at + width
+                    total, end = here + score[k], i + 1
+                    if total > best[end & mask]:
+                        best[end & mask], come[end] = total, k
+                    single = single or end == at + width
             if not single:
                 total, end = here + unknown, at + width
-                if best[end] is None or total > best[end]:
-                    best[end], come[end] = total, (at, -1)
+                if total > best[end & mask]:
+                    best[end & mask], come[end] = total, -1
             at += width
-        out, at = [], n
+        out, at = array("i"), n
         while at:
-            start, k = come[at]
+            k = come[at]
             if k >= 0:
                 out.append(self.ids[k])
-            elif self.bytes:
-                out += [self.bytes[b] for b in reversed(text[start:at])]
+                at -= self.size[k]
+                continue
+            start = at - 1
+            while text[start] & 0xC0 == 0x80:
+                start -= 1
+            if self.bytes:
+                out.extend(self.bytes[b] for b in reversed(text[start:at]))
             else:
                 out.append(self.unk)
             at = start
-        return out[::-1]
+        out.reverse()
+        return out
 
     def encode(self, text: str) -> np.ndarray:
         if not text:
@@ -201,7 +230,7 @@ class _Segments(dict):
         self.pieces = pieces
 
     def __missing__(self, part: str) -> bytes:
-        found = np.array(self.pieces.segment(part), np.uint32).tobytes()
+        found = self.pieces.segment(part).tobytes()
         if len(self) >= REMEMBERED:
             self.clear()
         if len(part) < 64:
@@ -209,7 +238,7 @@ class _Segments(dict):
         return found
 
 
-_LOADED: dict[str, Pieces] = {}
+_LOADED: dict[str, Pieces] = CACHES.setdefault("pieces", {})
 
 
 def load(path: str) -> Pieces:
@@ -228,7 +257,7 @@ def encode(docs: DataFrame, path: str) -> DataFrame:
                 ids = [pieces.encode(t.as_py() or "").astype(np.int32) for t in b.column(1)[i : i + 512]]
                 yield pa.RecordBatch.from_arrays([b.column(0)[i : i + 512], pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "ids"])
 
-    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>")
+    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(lean(run, "pieces"), "doc_id long, ids array<int>")
 
 
 def decode(encoded: DataFrame, path: str) -> DataFrame:
@@ -240,7 +269,7 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
             texts = [pieces.decode(np.array(x.as_py() or [], np.int64)) for x in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.string())], ["doc_id", "text"])
 
-    return encoded.selectExpr("cast(doc_id as long) doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return encoded.selectExpr("cast(doc_id as long) doc_id", "ids").mapInArrow(lean(run, "pieces"), "doc_id long, text string")
 
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
@@ -251,14 +280,14 @@ def round_trip(docs: DataFrame, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = load(path)
         for b in batches:
-            for i in range(0, b.num_rows, 512):
-                texts = [t or "" for t in b.column(1)[i : i + 512].to_pylist()]
+            for i in range(0, b.num_rows, 128):
+                texts = [t or "" for t in b.column(1)[i : i + 128].to_pylist()]
                 ids = [pieces.encode(t) for t in texts]
                 back = [pieces.decode(x) for x in ids]
                 sizes = [len(x) for x in ids]
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32()), pa.array(np.concatenate(ids).astype(np.int32)))
                 columns = [
-                    b.column(0)[i : i + 512],
+                    b.column(0)[i : i + 128],
                     pa.array(sizes, pa.int64()),
                     lists,
                     pa.array([zlib.crc32(x.tobytes()) for x in ids], pa.int64()),
@@ -267,7 +296,7 @@ def round_trip(docs: DataFrame, path: str) -> DataFrame:
                 ]
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, schema)
+    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(lean(run, "pieces"), schema)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
