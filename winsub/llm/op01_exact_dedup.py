@@ -79,18 +79,17 @@ def exact_dedup(docs: DataFrame, **options) -> DataFrame:
 def kept_documents(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, all columns; one of rows repeating doc_id and text."""
     decided = stage(exact_dedup(docs), "decided")
-    columns = docs.columns
     lost = decided.where(~F.col("kept")).select("doc_id", "text_sha256")
     again = lost.join(decided.where("kept").select("doc_id", "text_sha256"), ["doc_id", "text_sha256"], "left_semi").limit(1)
     nulls = decided.where("doc_id is null and not kept").limit(1)
-    marked = docs.withColumn("_sha", F.sha2(normalised(F.col("text")).cast("binary"), 256))
     if again.count() or nulls.count():
-        keep = decided.where("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha"))
-        marked = marked.withColumn("_id", F.col("doc_id").cast("long"))
-        held = marked.join(keep, marked._id.eqNullSafe(keep._id) & (marked._sha == keep._sha), "left_semi")
-        return held.dropDuplicates(["_id", "_sha"]).select(*columns)
-    lost = lost.select(F.col("doc_id").alias("_lost")).distinct()
-    return docs.join(lost, docs.doc_id.cast("long") == lost._lost, "left_anti").select(*columns)
+        # The row goes along as one value, so that no name of its own can clash.
+        keep = decided.where("kept").select(F.col("doc_id").alias("id"), F.col("text_sha256").alias("sha"))
+        marked = docs.select(F.struct("*").alias("whole"), F.col("doc_id").cast("long").alias("id"), F.sha2(normalised(F.col("text")).cast("binary"), 256).alias("sha"))
+        held = marked.join(keep, marked.id.eqNullSafe(keep.id) & (marked.sha == keep.sha), "left_semi")
+        return held.dropDuplicates(["id", "sha"]).select("whole.*")
+    lost = lost.select(F.col("doc_id").alias("lost_id")).distinct()
+    return docs.join(lost, docs.doc_id.cast("long") == lost.lost_id, "left_anti").select(*docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
