@@ -227,7 +227,8 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, words: int = 5) -> list[
     out = []
     for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
         if b - a >= words:
-            out.append(np.unique(h[a : b - words + 1]))
+            own = np.sort(h[a : b - words + 1])
+            out.append(own[np.concatenate([[True], own[1:] != own[:-1]])])
         elif b > a:
             short = np.full(1, b - a, np.uint64)
             for v in value[a:b]:

@@ -19,7 +19,6 @@ from __future__ import annotations
 
 import hashlib
 import struct
-import uuid
 from collections.abc import Iterator
 from pathlib import Path
 
@@ -29,7 +28,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winsub.llm.common import shared_folder, stage, table
+from winsub.llm.common import lean, stage, staged_path, table
 
 #: Raw bytes after which a frame, and a bundle, is closed.
 FRAME_BYTES, BUNDLE_BYTES = 1 << 17, 1 << 22
@@ -201,12 +200,12 @@ def write_bundles(pages: DataFrame, path: str, least: int = LEAST) -> None:
     revisits = decide(pages, least).withColumnsRenamed({"page_id": "_page", "digest": "_digest"})
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.sha2(F.coalesce("html", F.lit("")).cast("binary"), 256).alias("digest"))
     joined = rows.join(revisits, (rows.page_id == revisits._page) & (rows.digest == revisits._digest), "left")
-    joined.select("page_id", "url", "html", "digest", "refers_to").mapInArrow(_pack, BUNDLE_SCHEMA).write.option("compression", "none").parquet(path)
+    joined.select("page_id", "url", "html", "digest", "refers_to").mapInArrow(lean(_pack), BUNDLE_SCHEMA).write.option("compression", "none").parquet(path)
 
 
 def read_bundles(spark: SparkSession, path: str) -> DataFrame:
     """Every record of the bundles at ``path``, its payload checked against its digest."""
-    return spark.read.schema(BUNDLE_SCHEMA).parquet(path).mapInArrow(_unpack, RECORD_SCHEMA)
+    return spark.read.schema(BUNDLE_SCHEMA).parquet(path).mapInArrow(lean(_unpack), RECORD_SCHEMA)
 
 
 def export(spark: SparkSession, path: str, folder: str) -> list[str]:
@@ -220,7 +219,7 @@ def export(spark: SparkSession, path: str, folder: str) -> list[str]:
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = f"{shared_folder(spark)}/winsub-{uuid.uuid4().hex}/bundles"
+    path = staged_path(spark, "bundles")
     write_bundles(table(spark, sf_dir, "pages"), path)
     return read_bundles(spark, path).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
