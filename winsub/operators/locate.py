@@ -171,11 +171,18 @@ def _declared(windows: DataFrame, queries: DataFrame, method: str, sent: list |
     return pairs.select("stream_id", "query_id", "n_seen", "win_start", F.explode(at).alias("i")).select("stream_id", "query_id", "n_seen", (F.col("win_start") + F.col("i")).cast("long").alias("off"))
 
 
-def count_matches(windows: DataFrame, queries: DataFrame, **options) -> DataFrame:
-    """(stream_id, query_id, cnt), zero counts included (queries for all streams)."""
-    q = F.broadcast(queries.select("query_id", F.col("stream_id").alias("only"))) if sendable(queries) is not None else queries.select("query_id", F.col("stream_id").alias("only"))
-    every = windows.select("stream_id").join(q, F.expr("only is null or only = stream_id")).drop("only")
+def count_matches(windows: DataFrame, queries: DataFrame, zeros: bool = True, **options) -> DataFrame:
+    """(stream_id, query_id, cnt); with ``zeros`` a row for every window and query, for query sets that can be sent."""
     found = locate(windows, queries, **options).groupBy("stream_id", "query_id").agg(F.count(F.lit(1)).alias("cnt"))
+    if not zeros:
+        return found
+    if sendable(queries) is None:
+        own = queries.where("stream_id is not null").select("stream_id", "query_id")
+        if queries.where("stream_id is null").limit(1).count():
+            raise ValueError("too many queries for a row for every window and query: ask without zeros")
+        every = windows.select("stream_id").join(own, "stream_id")
+    else:
+        every = windows.select("stream_id").join(F.broadcast(queries.select("query_id")))
     return every.join(found, ["stream_id", "query_id"], "left").select("stream_id", "query_id", F.coalesce("cnt", F.lit(0)).alias("cnt"))
 
 

@@ -10,7 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from winsub.kernel.scan import kmp_find, skip_find
+from winsub.kernel.scan import kmp_find, native_find, skip_find
 from winsub.kernel.static_index import BackwardSearch, SuffixArray
 from winsub.kernel.window_index import Steps, WindowIndex
 from winsub.model import names
@@ -110,32 +110,67 @@ def exactness(found: DataFrame, truth: DataFrame, keys: list[str]) -> DataFrame:
     return met.agg(ratio("times").alias("precision"), ratio("true").alias("recall"), F.coalesce(F.sum(F.col("times") - 1), F.lit(0)).alias("duplicates"))
 
 
-def work_vs_baseline(text: str, pattern: str, sizes: list[int]) -> list[tuple[str, int, int, float]]:
-    """(method, w, steps, steps / index steps) over growing windows of one text."""
-    out = []
-    for w in sizes:
-        window = text[-w:]
-        work = Steps()
-        index = WindowIndex(w).extend(window)
-        index.locate(pattern, work=work, ordered=False)
-        base = max(1, work.total())
-        before = index.steps.total()
-        end = index.finalised().steps.total() - before
-        # Building: a sort of w suffixes, and for backward search the marks.
-        sort = w * max(1, w.bit_length())
-        array, backward = SuffixArray(window).find(pattern)[1], BackwardSearch(window).find(pattern)[1]
-        for name, steps in (
-            ("index", base),
-            ("kmp", kmp_find(window, pattern)[1]),
-            ("boyer_moore", skip_find(window, pattern)[1]),
-            ("finalise", base + end),
-            ("suffix_array", array),
-            ("suffix_array_built", array + sort),
-            ("static_bwt", backward),
-            ("static_bwt_built", backward + sort + w),
-        ):
-            out.append((name, w, steps, steps / base))
-    return out
+def steps_by_method(text: str, pattern: str, w: int) -> list[tuple[str, int]]:
+    """(method, steps) of one query over the last ``w`` symbols of a text."""
+    window, work = text[-w:], Steps()
+    index = WindowIndex(w).extend(window)
+    index.locate(pattern, work=work, ordered=False)
+    base, before = max(1, work.total()), index.steps.total()
+    end = index.finalised().steps.total() - before
+    # Building: a sort of w suffixes, and for backward search the marks.
+    sort = w * max(1, w.bit_length())
+    array, backward = SuffixArray(window).find(pattern)[1], BackwardSearch(window).find(pattern)[1]
+    return [
+        ("index", base),
+        ("kmp", kmp_find(window, pattern)[1]),
+        ("boyer_moore", skip_find(window, pattern)[1]),
+        ("finalise", base + end),
+        ("suffix_array", array),
+        ("suffix_array_built", array + sort),
+        ("static_bwt", backward),
+        ("static_bwt_built", backward + sort + w),
+    ]
+
+
+def work_vs_baseline(windows: DataFrame, patterns: list[str], sizes: list[int]) -> DataFrame:
+    """(pattern, method, w, steps, ratio): steps of every method over growing windows, summed over
+    the streams that have so many symbols, and as a multiple of the index's."""
+    schema = "pattern string, method string, w bigint, steps bigint, base bigint"
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            out = []
+            for text in b.win_text:
+                for p in patterns:
+                    for w in (w for w in sizes if w <= len(text)):
+                        found = steps_by_method(text, p, w)
+                        out += [(p, method, w, steps, found[0][1]) for method, steps in found]
+            yield pd.DataFrame(out, columns=names(schema))
+
+    summed = windows.select("win_text").mapInPandas(run, schema).groupBy("pattern", "method", "w").agg(F.sum("steps").alias("steps"), F.sum("base").alias("base"))
+    return summed.select("pattern", "method", "w", "steps", (F.col("steps") / F.col("base")).alias("ratio"))
+
+
+CLOCK = "stream_id string, w bigint, pushes_per_sec double, batch_sec double, native_sec double, text_bytes bigint, tree_bytes bigint"
+
+
+def wall_clock(windows: DataFrame, patterns: list[str], repeats: int = 3) -> DataFrame:
+    """Of each window: pushes a second, median seconds of all patterns by the index and by a native
+    scan, and bytes of state as a text and as a tree."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            out = []
+            for sid, text in zip(b.stream_id, b.win_text, strict=True):
+                began = time.perf_counter()
+                index = WindowIndex(max(1, len(text))).extend(text)
+                rate = len(text) / max(1e-9, time.perf_counter() - began)
+                _, indexed, _, _ = timing("index", lambda i=index: sum(len(i.locate(p, ordered=False)) for p in patterns), repeats)
+                _, scanned, _, _ = timing("native", lambda t=text: sum(len(native_find(t, p)[0]) for p in patterns), repeats)
+                out.append((sid, len(text), rate, indexed, scanned, len(text.encode()), len(index.snapshot())))
+            yield pd.DataFrame(out, columns=names(CLOCK))
+
+    return windows.select("stream_id", "win_text").mapInPandas(run, CLOCK)
 
 
 def timing(label: str, run: Callable[[], int], repeats: int = 3) -> tuple[str, float, float, int]:
@@ -148,4 +183,4 @@ def timing(label: str, run: Callable[[], int], repeats: int = 3) -> tuple[str, f
     return label, statistics.median(took), min(took), rows
 
 
-__all__ = ["alphabet_factor", "exactness", "footprint", "missing_leaves", "occ_split", "query_work", "tail_stats", "timing", "update_work", "work_vs_baseline"]
+__all__ = ["alphabet_factor", "exactness", "footprint", "missing_leaves", "occ_split", "query_work", "tail_stats", "timing", "steps_by_method", "update_work", "wall_clock", "work_vs_baseline"]

@@ -11,7 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from winsub.kernel.scan import native_find
@@ -22,8 +22,11 @@ from winsub.plans.planner import gram_signature, may_contain, sendable
 
 def seal_segments(chunks: DataFrame, max_pattern: int, hot: bool = False) -> DataFrame:
     """CHUNKS (all of a stream's of one size >= max_pattern - 1) -> SEGMENTS; ``hot`` ones get a suffix array."""
-    after = F.lead("text").over(Window.partitionBy("stream_id").orderBy("chunk_no"))
-    rows = chunks.select("stream_id", F.col("chunk_no").alias("seg_no"), "base_off", "text", F.coalesce(F.left(after, F.lit(max_pattern - 1)), F.lit("")).alias("overlap"))
+    # A chunk sends its first symbols to the one before it; nothing else of a stream meets.
+    own = F.struct("chunk_no", "base_off", "text", F.lit(None).cast("string").alias("overlap"))
+    head = F.struct((F.col("chunk_no") - 1).alias("chunk_no"), F.lit(None).cast("long").alias("base_off"), F.lit(None).cast("string").alias("text"), F.left("text", F.lit(max_pattern - 1)).alias("overlap"))
+    rows = chunks.select("stream_id", F.explode(F.array(own, head)).alias("c")).select("stream_id", "c.*").groupBy("stream_id", F.col("chunk_no").alias("seg_no"))
+    rows = rows.agg(F.max("base_off").alias("base_off"), F.max("text").alias("text"), F.coalesce(F.max("overlap"), F.lit("")).alias("overlap")).where("text is not null")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -35,9 +38,29 @@ def seal_segments(chunks: DataFrame, max_pattern: int, hot: bool = False) -> Dat
     return rows.mapInPandas(run, SEGMENTS)
 
 
-def expire_segments(segments: DataFrame, n_seen: int, capacity: int) -> DataFrame:
-    """Segments that reach into the window; only metadata decides."""
-    return segments.where(F.col("base_off") + F.length("text") > n_seen - capacity)
+def expire_segments(segments: DataFrame, capacity: int) -> DataFrame:
+    """Segments (or chunks) that reach into their stream's last ``capacity`` symbols; only metadata decides."""
+    end = F.col("base_off") + F.length("text")
+    seen = segments.groupBy("stream_id").agg(F.max(end).alias("n_seen"))
+    return segments.join(seen, "stream_id").where(end > F.col("n_seen") - capacity).drop("n_seen")
+
+
+BUCKETS = 64
+
+
+def write_index(segments: DataFrame, path: str, buckets: int = BUCKETS) -> None:
+    """SEGMENTS to Parquet, one folder for each bucket of streams; long streams spread over files."""
+    rows = segments.select(*names(SEGMENTS), F.pmod(F.xxhash64("stream_id"), F.lit(buckets)).cast("int").alias("bucket"))
+    rows.write.partitionBy("bucket").parquet(path)
+
+
+def read_index(spark: SparkSession, path: str, streams: list[str] | None = None, buckets: int = BUCKETS) -> DataFrame:
+    """SEGMENTS of a store; of ``streams`` only, whose folders alone are read."""
+    rows = spark.read.schema(SEGMENTS + ", bucket int").parquet(path)
+    if streams is not None:
+        kept = spark.createDataFrame([(x,) for x in streams], "stream_id string").select("stream_id", F.pmod(F.xxhash64("stream_id"), F.lit(buckets)).cast("int").alias("bucket"))
+        rows = rows.where(F.col("bucket").isin([r["bucket"] for r in kept.collect()]) & F.col("stream_id").isin(streams))
+    return rows.select(*names(SEGMENTS))
 
 
 def locate_segmented(segments: DataFrame, queries: DataFrame, max_pattern: int, capacity: int | None = None) -> DataFrame:

@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from winsub.operators.staging import staged
 
 
+#: Symbols that a window may have whose substrings are all formed.
+SMALL = 64
+
+
 def _symbols(windows: DataFrame) -> DataFrame:
     at = F.posexplode(F.expr("transform(sequence(1, length(win_text)), i -> substring(win_text, i, 1))")).alias("i", "sym")
     rows = windows.where("length(win_text) > 0").select("stream_id", "win_start", at)
@@ -58,9 +62,11 @@ def longest_repeat(windows: DataFrame) -> DataFrame:
 def tree_nodes(windows: DataFrame, tails: DataFrame) -> DataFrame:
     """(stream_id, node_str, depth, link_str, n_children) of internal nodes and the root.
 
-    All substrings that begin before the tail are formed, so windows must be small (64).
+    All substrings that begin before the tail are formed, so windows must be small: a window of
+    more than ``SMALL`` symbols ends the job.
     """
-    rows = windows.join(tails.select("stream_id", "tail_len"), "stream_id")
+    small = F.when(F.length("win_text") <= SMALL, F.col("win_text")).otherwise(F.raise_error(F.lit(f"tree_nodes takes windows of at most {SMALL} symbols")))
+    rows = windows.withColumn("win_text", small).join(tails.select("stream_id", "tail_len"), "stream_id")
     starts = rows.select("stream_id", "win_text", F.explode(F.expr("sequence(1, length(win_text) - cast(tail_len as int))")).alias("p"))
     strings = starts.select("stream_id", "win_text", "p", F.explode(F.expr("sequence(0, length(win_text) - p)")).alias("d"))
     strings = strings.select("stream_id", F.expr("substring(win_text, p, d)").alias("node_str"), F.expr("substring(win_text, p + d, 1)").alias("next"))

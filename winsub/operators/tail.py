@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from winsub.operators.locate import positions
+from winsub.plans.planner import gram_pairs, sendable
 
 #: Longest k so that the last k symbols occur earlier: bisection, as that is monotone in k.
 _LONGEST = """aggregate(sequence(1, 32), named_struct('lo', 0, 'hi', greatest(length(win_text) - 1, 0)),
@@ -43,8 +44,11 @@ def predict_next(windows: DataFrame) -> DataFrame:
 
 
 def _pairs(tails: DataFrame, queries: DataFrame) -> DataFrame:
-    q = F.broadcast(queries.where("stream_id is null").select("query_id", "pattern"))
-    return tails.join(q, F.expr("contains(win_text, pattern)"))
+    """Windows with the queries they contain: sent if their size allows it, else by a q-gram."""
+    queries = queries.where("stream_id is null")
+    if sendable(queries) is None:
+        return gram_pairs(tails, queries)
+    return tails.join(F.broadcast(queries.select("query_id", "pattern")), F.expr("contains(win_text, pattern)"))
 
 
 def leaf_hits(tails: DataFrame, queries: DataFrame) -> DataFrame:
@@ -74,7 +78,9 @@ def occ_split(windows: DataFrame, queries: DataFrame) -> DataFrame:
 
 
 def tail_case_split(windows: DataFrame, queries: DataFrame) -> DataFrame:
-    """(case, cnt): how often each way of finding tail matches is taken."""
+    """(case, cnt): how often each way of finding tail matches is taken (for queries that can be sent)."""
+    if sendable(queries.where("stream_id is null")) is None:
+        raise ValueError("too many queries: every window counts with each of them")
     q = F.broadcast(queries.where("stream_id is null").select("pattern"))
     rows = tail_table(windows).join(q, F.expr("length(pattern) <= length(win_text)"))
     case = F.expr("case when length(pattern) > tail_len then 'shorter' when length(pattern) = tail_len then 'equal' when kind = 'internal' then 'linked' when period <= length(pattern) then 'period_short' else 'period_long' end")

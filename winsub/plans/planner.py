@@ -48,11 +48,13 @@ def gram_pairs(windows: DataFrame, queries: DataFrame, q: int = 8) -> DataFrame:
     out = None
     for m in sorted(lengths):
         own = queries.where(F.col("m") == m).select("query_id", F.col("stream_id").alias("only"), "pattern", F.left("pattern", F.lit(m)).alias("gram"))
-        grams = windows.where(F.length("win_text") >= m).select("*", F.explode(F.array_distinct(F.expr(f"transform(sequence(1, length(win_text) - {m - 1}), i -> substring(win_text, i, {m}))"))).alias("gram"))
+        # Grams go without their windows: of a window only its key is repeated.
+        grams = windows.where(F.length("win_text") >= m).select("stream_id", "n_seen", F.explode(F.array_distinct(F.expr(f"transform(sequence(1, length(win_text) - {m - 1}), i -> substring(win_text, i, {m}))"))).alias("gram"))
         met = grams.join(own, "gram").where("only is null or only = stream_id").drop("gram", "only")
-        met = met.where(F.contains("win_text", "pattern"))
         out = met if out is None else out.unionByName(met)
-    return out
+    if out is None:
+        out = windows.select("stream_id", "n_seen").join(queries.select("query_id", "pattern"), F.lit(False))
+    return windows.join(out, ["stream_id", "n_seen"]).where(F.contains("win_text", "pattern"))
 
 
 def gram_signature(text: str, q: int = 3, bits: int = 4096) -> bytes:

@@ -96,11 +96,15 @@ def theta_join(spark, d):
     return w.join(F.broadcast(q), F.length("pattern") <= F.length("win_text")).select(F.col("stream_id").cast("long").alias("user_id"), "pattern")
 
 
-@rel("range_join", base("ev_all", 1 << 30, values(["ccc"]), f"h AS ({hits('stream')})", "g AS (SELECT unnest(range(0, 200)) AS seg)") + "SELECT CAST(seg AS BIGINT) AS seg, off FROM h JOIN g ON off >= seg * 1024 AND off < (seg + 1) * 1024")
+@rel("range_join", base("ev_all", 1 << 30, values(["ccc"]), f"h AS ({hits('stream')})", "g AS (SELECT unnest(range(0, max(n) // 1024 + 1)) AS seg FROM wn)") + "SELECT CAST(seg AS BIGINT) AS seg, off FROM h JOIN g ON off >= seg * 1024 AND off < (seg + 1) * 1024")
 def range_join(spark, d):
-    """Offsets to segments: each hit's segment follows from its offset, however long the stream."""
-    found = locate(window_at(family(spark, d, "ev_all"), 1 << 30), make_queries(spark, ["ccc"]), method="native")
-    return found.select(F.floor(F.col("off") / 1024).alias("seg"), "off")
+    """Offsets to the segments they lie in: ranges of the stream's whole length, met by the bins they cover."""
+    w = window_at(family(spark, d, "ev_all"), 1 << 30)
+    found = locate(w, make_queries(spark, ["ccc"]), method="native")
+    ranges = w.select(F.explode(F.expr("sequence(0L, n_seen div 1024)")).alias("seg")).select("seg", (F.col("seg") * 1024).alias("lo"), (F.col("seg") * 1024 + 1024).alias("hi"))
+    bins = ranges.withColumn("bin", F.explode(F.expr("sequence(lo div 1024, (hi - 1) div 1024)")))
+    met = found.withColumn("bin", F.expr("off div 1024")).join(bins, "bin").where("off >= lo and off < hi")
+    return met.select("seg", "off")
 
 
 _LAST = "SELECT p.event_id, e.event_id AS error_id FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'error') e ON p.user_id = e.user_id AND p.ts >= e.ts"

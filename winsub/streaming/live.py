@@ -3,8 +3,8 @@
 Input rows: (stream_id, seq, kind 'sym' | 'query', payload), ``seq`` ordering a stream's
 rows.  A query sees the window as of its place: updates and queries of a stream are taken
 one after the other, streams run in parallel.  State layouts: ``text`` keeps the window's
-text and builds the index when a batch has queries ('text+lazy'), ``tree`` keeps the index
-itself.
+text and scans it for every query, ``text+lazy`` keeps it and builds the index when a batch has
+queries, ``tree`` keeps the index itself.
 """
 
 from __future__ import annotations
@@ -19,10 +19,11 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from winsub.kernel.automaton import ManyPatterns
+from winsub.kernel.scan import native_find
 from winsub.kernel.window_index import WindowIndex
 from winsub.model import MATCHES, names
 
-LAYOUTS = ("text+lazy", "tree")
+LAYOUTS = ("text", "text+lazy", "tree")
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
@@ -55,7 +56,7 @@ class LiveWindow(StatefulProcessor):
         index, added, out = None, [], []
         if self.layout == "tree":
             index = WindowIndex.restore(bytes(tree)) if tree else WindowIndex(self.capacity)
-        elif asked:
+        elif asked and self.layout == "text+lazy":
             index = WindowIndex(self.capacity)
             index.start = index.n_seen = index._base = n - len(text)
             index.extend(text)
@@ -66,6 +67,9 @@ class LiveWindow(StatefulProcessor):
                     added.append(payload)
                 else:
                     index.push(payload)
+            elif index is None:
+                text, added = (text + "".join(added))[-self.capacity :], []
+                out += [(key[0], payload, n, n - len(text) + i) for i in native_find(text, payload)[0]]
             else:
                 out += [(key[0], payload, n, off) for off in index.locate(payload)]
         text = "".join(index.window()) if index is not None else (text + "".join(added))[-self.capacity :]

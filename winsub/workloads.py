@@ -12,12 +12,13 @@ from winsub.operators import measures
 from winsub.operators.features import qgram_features
 from winsub.operators.locate import count_matches, exists_match, first_last, locate, locate_at
 from winsub.operators.replay import evict_effect, replay_matches, replay_tails
-from winsub.operators.segments import expire_segments, locate_segmented, seal_segments
-from winsub.operators.staging import shared_folder
+from winsub.operators.codes import locate_codes
+from winsub.operators.segments import expire_segments, locate_segmented, read_index, seal_segments, write_index
+from winsub.operators.staging import staged_folder
 from winsub.operators.suffix import bwt_table, lcp_table, link_edges, link_intervals, longest_repeat, suffix_order, tree_nodes
 from winsub.operators.tail import leaf_hits, occ_split, period_table, predict_next, tail_case_split, tail_hits, tail_table
 from winsub.operators.windows import make_queries, queries_from, window_at
-from winsub.sources.adapters import FAMILIES, chunks, family
+from winsub.sources.adapters import FAMILIES, WHOLE, chunks, encode_symbols, family, family_symbols, family_window, symbol_chunks, symbols
 from winsub.sources.readers import load, stream_table
 from winsub.streaming.live import live_locate, standing_match, standing_match_batch, state_store, tagged
 
@@ -25,8 +26,6 @@ Run = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Run] = {}
 ORACLES: dict[str, str] = {}
 
-WHOLE = 1 << 30
-
 # -- SQL pieces -----------------------------------------------------------------------------
 
 STREAMS = {
@@ -85,7 +84,7 @@ def key_of(name: str) -> str:
 
 
 def windows(spark: SparkSession, sf_dir: str, name: str, capacity: int) -> DataFrame:
-    return window_at(family(spark, sf_dir, name), capacity)
+    return family_window(spark, sf_dir, name, capacity)
 
 
 def keyed(df: DataFrame, name: str, *columns) -> DataFrame:
@@ -128,6 +127,29 @@ for _a in ("jump", "lca", "interval", "chain", "fingerprint"):
 for _k in ("sorted", "dense"):
     workload(f"children_{_k}", base("ev_user", 64, values(EV)) + hits("user_id"))(_locate("ev_user", 64, EV, "index", children=_k))
 
+# Baselines over windows of text, not of events.
+DOC_PATTERNS = [" the ", "tion"]
+for _m in ("index", "kmp", "boyer_moore", "finalise", "static_bwt", "suffix_array", "native", "automaton", "sql", "catalyst"):
+    workload(f"baseline_doc_{_m}", base("doc", 1024, values(DOC_PATTERNS)) + hits("doc_id"))(_locate("doc", 1024, DOC_PATTERNS, _m))
+
+LINES = "SELECT l_partkey AS k, list(l_linenumber ORDER BY l_shipdate, l_orderkey, l_linenumber) AS t FROM lineitem GROUP BY 1"
+NUMBERS = [[1], [1, 2], [3, 1, 2], [9]]
+
+
+@workload(
+    "int_alphabet_lines",
+    f"WITH s AS ({LINES}), wn AS (SELECT k, len(t) AS n, t[greatest(len(t) - 31, 1) : len(t)] AS w FROM s), q(pattern) AS (VALUES {', '.join(f'({x})' for x in NUMBERS)}) "
+    "SELECT k AS l_partkey, array_to_string(pattern, ' ') AS pattern, CAST(n AS BIGINT) AS n_seen, CAST(n - len(w) + i AS BIGINT) AS off FROM (SELECT *, unnest(range(0, len(w) - len(pattern) + 1)) AS i FROM wn, q) WHERE w[i + 1 : i + len(pattern)] = pattern",
+)
+def int_alphabet_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Integers as symbols: a dictionary gives them codes, windows and patterns are lists of codes."""
+    rows = symbols(load(spark, sf_dir, "lineitem"), "l_partkey", ["l_shipdate", "l_orderkey", "l_linenumber"], "l_linenumber")
+    coded, codes = encode_symbols(rows)
+    patterns = [(" ".join(map(str, p)), p) for p in NUMBERS]
+    found = locate_codes(coded, codes, patterns, 32)
+    return found.select(F.col("stream_id").cast("long").alias("l_partkey"), F.col("query_id").alias("pattern"), "n_seen", "off")
+
+
 HISTORY = "WITH s AS ({s}), wn AS (SELECT k, i AS n, right(left(t, i), {c}) AS w FROM (SELECT k, t, unnest(range({e}, length(t) + 1, {e})) AS i FROM s))"
 
 
@@ -153,6 +175,7 @@ def locate_at_seq(spark: SparkSession, sf_dir: str) -> DataFrame:
     return keyed(locate_at(rows, queries, 16), "ev_user", F.col("query_id").alias("pattern"), "n_seen", "off")
 
 
+workload("locate_by_query", base("ev_user", 64, values(EV)) + hits("user_id"))(_locate("ev_user", 64, EV, "index", parallel="query"))
 workload("locate_by_segment", base("conv", 2048, values(["the", ". "])) + hits("conv_id"))(_locate("conv", 2048, ["the", ". "], "auto", parallel="segment"))
 
 
@@ -166,17 +189,44 @@ def locate_doc_bench(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("stream_id").cast("long").alias("doc_id"), F.col("query_id").cast("long").alias("item_id"), "off")
 
 
-@workload(
-    "locate_suffix_probe",
-    base("li_part", 32)
-    + "SELECT k AS l_partkey, m, CAST(n - length(w) + i AS BIGINT) AS off FROM (SELECT *, unnest(range(0, length(w) - m + 1)) AS i FROM (SELECT *, CAST(unnest(range(1, 5)) AS BIGINT) AS m FROM wn) WHERE length(w) >= m) WHERE substr(w, CAST(i + 1 AS INT), CAST(m AS INT)) = right(w, CAST(m AS INT))",
-)
-def locate_suffix_probe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Patterns of their own for each stream: the window's last symbols, so the tail answers."""
-    w = windows(spark, sf_dir, "li_part", 32)
-    own = w.select("stream_id", "win_text", F.explode(F.sequence(F.lit(1), F.lit(4))).alias("m")).where("length(win_text) >= m")
-    queries = own.select(F.col("m").cast("string").alias("query_id"), "stream_id", F.expr("right(win_text, m)").alias("pattern"), F.lit(None).cast("long").alias("at_seq"))
-    return keyed(locate(w, queries, method="index"), "li_part", F.col("query_id").cast("long").alias("m"), "off")
+#: Every family and its window.
+WINDOWS = {"ev_user": 64, "ev_all": 4096, "li_part": 32, "ord_cust": 16, "ord_prio": 16, "conv": 2048, "doc": 1024, "page": 4096, "bench": WHOLE, "part_name": WHOLE, "emb_code": WHOLE}
+
+
+def _own_queries(rows: DataFrame, pattern: str) -> DataFrame:
+    """A query of its own for each stream and length ``m``."""
+    return rows.select(F.col("m").cast("string").alias("query_id"), "stream_id", F.expr(pattern).alias("pattern"), F.lit(None).cast("long").alias("at_seq"))
+
+
+for _f, _c in WINDOWS.items():
+
+    def _suffix_probe(spark, sf_dir, f=_f, c=_c):
+        """Patterns of their own for each stream: the window's last symbols, so the tail answers."""
+        w = windows(spark, sf_dir, f, c)
+        own = w.select("stream_id", "win_text", F.explode(F.sequence(F.lit(1), F.lit(4))).alias("m")).where("length(win_text) >= m")
+        method = "index" if c <= 64 else "native"
+        return keyed(locate(w, _own_queries(own, "right(win_text, m)"), method=method), f, F.col("query_id").cast("long").alias("m"), "off")
+
+    workload(
+        "locate_suffix_probe" if _f == "li_part" else f"locate_suffix_probe_{_f}",
+        base(_f, _c)
+        + f"SELECT k AS {key_of(_f)}, m, CAST(n - length(w) + i AS BIGINT) AS off FROM (SELECT *, unnest(range(0, length(w) - m + 1)) AS i FROM (SELECT *, CAST(unnest(range(1, 5)) AS BIGINT) AS m FROM wn) WHERE length(w) >= m) WHERE substr(w, CAST(i + 1 AS INT), CAST(m AS INT)) = right(w, CAST(m AS INT))",
+    )(_suffix_probe)
+
+for _f in ("ev_user", "li_part", "ord_cust", "ord_prio", "part_name"):
+
+    def _tail_prefixes(spark, sf_dir, f=_f, c=WINDOWS[_f]):
+        """Every prefix of the tail as a pattern."""
+        t = tail_table(windows(spark, sf_dir, f, c))
+        own = t.where("tail_len > 0").select("stream_id", "win_text", "tail_len", F.explode(F.expr("sequence(1, cast(tail_len as int))")).alias("m"))
+        queries = _own_queries(own, "substring(right(win_text, cast(tail_len as int)), 1, m)")
+        return keyed(locate(t.select("stream_id", "n_seen", "win_start", "win_text"), queries, method="index"), f, F.col("query_id").cast("long").alias("m"), "off")
+
+    workload(
+        f"locate_tail_prefix_{_f}",
+        base(_f, WINDOWS[_f], TAIL)
+        + f"SELECT k AS {key_of(_f)}, m, CAST(n - length(w) + i AS BIGINT) AS off FROM (SELECT *, unnest(range(0, length(w) - m + 1)) AS i FROM (SELECT *, CAST(unnest(range(1, b + 1)) AS BIGINT) AS m FROM tl)) WHERE substr(w, CAST(i + 1 AS INT), CAST(m AS INT)) = left(right(w, CAST(b AS INT)), CAST(m AS INT))",
+    )(_tail_prefixes)
 
 
 PERIODIC = "SELECT item_id * 100 + p AS k, repeat(left(text, CAST(p AS INT)), CAST(200 // p AS INT)) AS t FROM benchmark, (VALUES (1), (2), (3), (7), (20)) v(p)"
@@ -221,8 +271,7 @@ def fresh_symbol_flush(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # -- tail -----------------------------------------------------------------------------------
 
-TAILS = {"ev_user": 64, "li_part": 32, "ord_cust": 16}
-for _f, _c in TAILS.items():
+for _f, _c in WINDOWS.items():
 
     def _state(spark, sf_dir, f=_f, c=_c):
         t = tail_table(windows(spark, sf_dir, f, c))
@@ -262,23 +311,27 @@ def tail_history_li_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 SHORT = ["A", "RN", "NNN", "NRA"]
 
 
-@workload(
-    "tail_case_split",
-    base("li_part", 32, TAIL, OCC, values(SHORT))
-    + 'SELECT CASE WHEN length(pattern) > b THEN \'shorter\' WHEN length(pattern) = b THEN \'equal\' WHEN len(o) <> 1 THEN \'linked\' WHEN length(w) - b - o[1] <= length(pattern) THEN \'period_short\' ELSE \'period_long\' END AS "case", CAST(count(*) AS BIGINT) AS cnt FROM oc, q WHERE length(pattern) <= length(w) GROUP BY 1',
-)
-def tail_case_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tail_case_split(windows(spark, sf_dir, "li_part", 32), make_queries(spark, SHORT))
+ASKED = {"li_part": SHORT, "ev_user": EV, "ord_cust": ["O", "FF", "OFO", "P"], "conv": ["the", ". "], "doc": DOC_PATTERNS}
+for _f, _p in ASKED.items():
 
+    def _cases(spark, sf_dir, f=_f, p=_p):
+        return tail_case_split(windows(spark, sf_dir, f, WINDOWS[f]), make_queries(spark, p))
 
-@workload(
-    "occ_split",
-    base("li_part", 32, TAIL, values(SHORT))
-    + "SELECT k AS l_partkey, pattern, CAST(count(*) FILTER (WHERE i < length(w) - b) AS BIGINT) AS occ_leaf, CAST(count(*) FILTER (WHERE i >= length(w) - b) AS BIGINT) AS occ_tail FROM (SELECT *, unnest(range(0, length(w) - length(pattern) + 1)) AS i FROM tl, q WHERE contains(w, pattern)) WHERE substr(w, i + 1, length(pattern)) = pattern GROUP BY 1, 2",
-)
-def occ_split_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = occ_split(windows(spark, sf_dir, "li_part", 32), make_queries(spark, SHORT))
-    return keyed(found, "li_part", F.col("query_id").alias("pattern"), "occ_leaf", "occ_tail")
+    workload(
+        "tail_case_split" if _f == "li_part" else f"tail_case_split_{_f}",
+        base(_f, WINDOWS[_f], TAIL, OCC, values(_p))
+        + 'SELECT CASE WHEN length(pattern) > b THEN \'shorter\' WHEN length(pattern) = b THEN \'equal\' WHEN len(o) <> 1 THEN \'linked\' WHEN length(w) - b - o[1] <= length(pattern) THEN \'period_short\' ELSE \'period_long\' END AS "case", CAST(count(*) AS BIGINT) AS cnt FROM oc, q WHERE length(pattern) <= length(w) GROUP BY 1',
+    )(_cases)
+
+    def _split(spark, sf_dir, f=_f, p=_p):
+        found = occ_split(windows(spark, sf_dir, f, WINDOWS[f]), make_queries(spark, p))
+        return keyed(found, f, F.col("query_id").alias("pattern"), "occ_leaf", "occ_tail")
+
+    workload(
+        "occ_split" if _f == "li_part" else f"occ_split_{_f}",
+        base(_f, WINDOWS[_f], TAIL, values(_p))
+        + f"SELECT k AS {key_of(_f)}, pattern, CAST(count(*) FILTER (WHERE i < length(w) - b) AS BIGINT) AS occ_leaf, CAST(count(*) FILTER (WHERE i >= length(w) - b) AS BIGINT) AS occ_tail FROM (SELECT *, unnest(range(0, length(w) - length(pattern) + 1)) AS i FROM tl, q WHERE contains(w, pattern)) WHERE substr(w, i + 1, length(pattern)) = pattern GROUP BY 1, 2",
+    )(_split)
 
 
 @workload("locate_relational", base("li_part", 32, values(SHORT)) + hits("l_partkey"))
@@ -306,12 +359,15 @@ for _f, _c in (("ev_user", 16), ("li_part", 32), ("ord_cust", 16)):
     workload(f"evict_effect_{_f}", base(_f, _c, TAIL, _AFTER) + f"SELECT k AS {key_of(_f)}, CAST(b AS BIGINT) AS before, CAST(coalesce(a, 0) AS BIGINT) AS after FROM tl LEFT JOIN af USING (k)")(_effect)
 
 
-@workload(
-    "evict_children",
-    base("ev_user", 32, TAIL, NODES) + "SELECT k AS user_id, CAST(arg_max(kids, length(node_str)) AS BIGINT) AS kids FROM nd JOIN wn USING (k) WHERE starts_with(w, node_str) AND node_str <> w GROUP BY 1",
-)
-def evict_children(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return keyed(evict_effect(windows(spark, sf_dir, "ev_user", 32)), "ev_user", "kids")
+for _f, _c in (("ev_user", 32), ("li_part", 32), ("ord_cust", 16)):
+
+    def _evicted(spark, sf_dir, f=_f, c=_c):
+        return keyed(evict_effect(windows(spark, sf_dir, f, c)), f, "kids")
+
+    workload(
+        "evict_children" if _f == "ev_user" else f"evict_children_{_f}",
+        base(_f, _c, TAIL, NODES) + f"SELECT k AS {key_of(_f)}, CAST(arg_max(kids, length(node_str)) AS BIGINT) AS kids FROM nd JOIN wn USING (k) WHERE starts_with(w, node_str) AND node_str <> w GROUP BY 1",
+    )(_evicted)
 
 
 def _nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -355,14 +411,18 @@ for _f in ("bench", "part_name"):
     workload(f"suffix_order_{_f}", base(_f, WHOLE, _ORDER) + f"SELECT k AS {key_of(_f)}, CAST(off AS BIGINT) AS off, CAST(rank AS BIGINT) AS rank FROM so")(_suffixes)
 
 
-@workload("lcp_table", base("part_name", WHOLE, _ORDER, _LCP) + "SELECT k AS p_partkey, CAST(rank AS BIGINT) AS rank, CAST(lcp AS BIGINT) AS lcp FROM lc")
-def lcps(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return keyed(lcp_table(windows(spark, sf_dir, "part_name", WHOLE)), "part_name", "rank", "lcp")
+for _f, _c in (("part_name", WHOLE), ("bench", WHOLE), ("ev_user", 64)):
+
+    def _lcps(spark, sf_dir, f=_f, c=_c):
+        return keyed(lcp_table(windows(spark, sf_dir, f, c)), f, "rank", "lcp")
 
+    def _repeats(spark, sf_dir, f=_f, c=_c):
+        return keyed(longest_repeat(windows(spark, sf_dir, f, c)), f, "len")
 
-@workload("longest_repeat", base("part_name", WHOLE, _ORDER, _LCP) + "SELECT k AS p_partkey, CAST(max(lcp) AS BIGINT) AS len FROM lc GROUP BY 1")
-def repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return keyed(longest_repeat(windows(spark, sf_dir, "part_name", WHOLE)), "part_name", "len")
+    _own = f"WITH s0 AS ({STREAMS[_f]}), s AS (SELECT k, right(t, {_c}) AS t FROM s0), {_ORDER}, {_LCP} "
+    _name = "" if _f == "part_name" else f"_{_f}"
+    workload(f"lcp_table{_name}", _own + f"SELECT k AS {key_of(_f)}, CAST(rank AS BIGINT) AS rank, CAST(lcp AS BIGINT) AS lcp FROM lc")(_lcps)
+    workload(f"longest_repeat{_name}", _own + f"SELECT k AS {key_of(_f)}, CAST(max(lcp) AS BIGINT) AS len FROM lc GROUP BY 1")(_repeats)
 
 
 @workload("bwt_table", base("part_name", WHOLE, _ORDER) + "SELECT k AS p_partkey, CAST(rank AS BIGINT) AS rank, CASE WHEN off > 0 THEN substr(t, CAST(off AS INT), 1) END AS last FROM so")
@@ -381,9 +441,9 @@ def count_occ(spark: SparkSession, sf_dir: str) -> DataFrame:
     return keyed(found, "ev_user", F.col("query_id").alias("pattern"), "cnt")
 
 
-@workload("exists_occ", base("doc", 1024, values(["tion", "zq"])) + _COUNT.format(key="doc_id", agg="c IS NOT NULL AS flag"))
+@workload("exists_occ", base("doc", WHOLE, values(["tion", "zq"])) + _COUNT.format(key="doc_id", agg="c IS NOT NULL AS flag"))
 def exists_occ(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = exists_match(windows(spark, sf_dir, "doc", 1024), make_queries(spark, ["tion", "zq"]))
+    found = exists_match(windows(spark, sf_dir, "doc", WHOLE), make_queries(spark, ["tion", "zq"]))
     return keyed(found, "doc", F.col("query_id").alias("pattern"), "flag")
 
 
@@ -412,10 +472,8 @@ def _event_symbols(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _drained(stream: DataFrame, tag: str) -> DataFrame:
     """Run a stream over all that there is into Parquet and scan that."""
-    import uuid
-
     spark = stream.sparkSession
-    path = f"{shared_folder(spark)}/winsub-{uuid.uuid4().hex}"
+    path = staged_folder(spark)
     with state_store(spark):
         query = stream.writeStream.format("parquet").option("path", f"{path}/{tag}").option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).start()
         query.awaitTermination()
@@ -429,14 +487,14 @@ def stream_standing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _LIVE = f"""WITH e AS (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS n FROM events), s AS ({STREAMS["ev_user"]}),
-wn AS (SELECT k, n, right(left(t, CAST(n AS INT)), 16) AS w FROM s JOIN e ON e.user_id = s.k WHERE event_id % 50 = 0), {values(["e", "cs", "vv"])} {hits("user_id")}"""
-for _layout in ("text+lazy", "tree"):
+wn AS (SELECT k, n, right(left(t, CAST(n AS INT)), 16) AS w FROM s JOIN e ON e.user_id = s.k), {values(["e", "cs", "vv"])} {hits("user_id")}"""
+for _layout in ("text+lazy", "text", "tree"):
 
     def _live(spark, sf_dir, layout=_layout):
-        asked = tagged(_event_symbols(spark, sf_dir).withColumn("seq", F.col("seq")), ["e", "cs", "vv"], "event_id % 50 = 0")
+        asked = tagged(_event_symbols(spark, sf_dir).withColumn("seq", F.col("seq")), ["e", "cs", "vv"], "true")
         return keyed(_drained(live_locate(asked, 16, layout), "matches"), "ev_user", F.col("query_id").alias("pattern"), "n_seen", "off")
 
-    workload("stream_locate" if _layout == "text+lazy" else "stream_locate_tree", _LIVE)(_live)
+    workload("stream_locate" if _layout == "text+lazy" else f"stream_locate_{_layout}", _LIVE)(_live)
 
 
 @workload("qgram_features", "SELECT doc_id, gram, CAST(count(*) AS BIGINT) AS cnt FROM (SELECT doc_id, substr(text, CAST(i AS INT), 4) AS gram FROM (SELECT doc_id, text, unnest(range(1, length(text) - 2)) AS i FROM documents)) GROUP BY 1, 2")
@@ -449,26 +507,39 @@ _SEG = ["e", "evs", "ccc", "cscvec"]
 
 @workload("segmented_locate", base("ev_all", WHOLE, values(_SEG)) + f"SELECT pattern, off FROM ({hits('stream')})")
 def segmented_locate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    segments = seal_segments(chunks(family(spark, sf_dir, "ev_all"), 1024), 4, hot=True)
+    """One stream of all events, cut from its symbols: it is never in one row or one task."""
+    segments = seal_segments(symbol_chunks(family_symbols(spark, sf_dir, "ev_all"), 1024), 4, hot=True)
     return locate_segmented(segments, make_queries(spark, _SEG), 4).select(F.col("query_id").alias("pattern"), "off")
 
 
 @workload("segmented_window", base("ev_all", 3000, values(_SEG)) + f"SELECT pattern, off FROM ({hits('stream')})")
 def segmented_window(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Only the segments that reach into the last 3,000 symbols are kept."""
-    cut = chunks(family(spark, sf_dir, "ev_all"), 1024)
-    n = cut.agg(F.max(F.col("base_off") + F.length("text"))).first()[0]
-    segments = expire_segments(seal_segments(cut, 4), n, 3000)
-    return locate_segmented(segments, make_queries(spark, _SEG), 4, capacity=3000).select(F.col("query_id").alias("pattern"), "off")
+    """Only the chunks that reach into the last 3,000 symbols are sealed."""
+    cut = expire_segments(symbol_chunks(family_symbols(spark, sf_dir, "ev_all"), 1024), 3000)
+    return locate_segmented(seal_segments(cut, 4), make_queries(spark, _SEG), 4, capacity=3000).select(F.col("query_id").alias("pattern"), "off")
+
+
+@workload("segmented_users", base("ev_user", WHOLE, values(_SEG)) + f"SELECT user_id, pattern, off FROM ({hits('user_id')})")
+def segmented_users(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Many streams of unlike lengths, short segments, patterns across seams."""
+    segments = seal_segments(symbol_chunks(family_symbols(spark, sf_dir, "ev_user"), 16), 4)
+    return keyed(locate_segmented(segments, make_queries(spark, _SEG), 4), "ev_user", F.col("query_id").alias("pattern"), "off")
+
+
+@workload("index_store", base("ev_all", WHOLE, values(_SEG)) + f"SELECT pattern, off FROM ({hits('stream')})")
+def index_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Segments written to a store and searched from there."""
+    path = f"{staged_folder(spark)}/index"
+    write_index(seal_segments(symbol_chunks(family_symbols(spark, sf_dir, "ev_all"), 1024), 4, hot=True), path)
+    return locate_segmented(read_index(spark, path), make_queries(spark, _SEG), 4).select(F.col("query_id").alias("pattern"), "off")
 
 
 _DOCSEG = ["tion", " the thing of the ", "\n"]
 
 
-@workload("segmented_docs", f"WITH s AS ({STREAMS['doc']} AND length(text) > 8000), wn AS (SELECT k, length(t) AS n, t AS w FROM s), {values(_DOCSEG)} SELECT doc_id, pattern, off FROM ({hits('doc_id')})")
+@workload("segmented_docs", f"WITH s AS ({STREAMS['doc']}), wn AS (SELECT k, length(t) AS n, t AS w FROM s), {values(_DOCSEG)} SELECT doc_id, pattern, off FROM ({hits('doc_id')})")
 def segmented_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    long_ = family(spark, sf_dir, "doc").where("length(text) > 8000")
-    segments = seal_segments(chunks(long_, 1024), 8)
+    segments = seal_segments(chunks(family(spark, sf_dir, "doc"), 1024), 8)
     return keyed(locate_segmented(segments, make_queries(spark, _DOCSEG), 8), "doc", F.col("query_id").alias("pattern"), "off")
 
 
@@ -508,9 +579,19 @@ def exact(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @workload("work_vs_baseline")
 def work_vs_baseline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Steps of one query by each method as the window grows (one stream's last 4,096 symbols)."""
-    text = windows(spark, sf_dir, "ev_all", 4096).first()["win_text"]
-    return spark.createDataFrame(measures.work_vs_baseline(text, "escvp", [64, 256, 1024, 4096]), "method string, w bigint, steps bigint, ratio double")
+    """Steps of one query by each method as the window grows, over the last symbols of the stream of all events."""
+    return measures.work_vs_baseline(windows(spark, sf_dir, "ev_all", 4096), ["escvp", "ce"], [64, 256, 1024, 4096])
+
+
+@workload("work_vs_baseline_doc")
+def work_vs_baseline_doc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.work_vs_baseline(windows(spark, sf_dir, "doc", 1024), DOC_PATTERNS, [64, 1024])
+
+
+@workload("wall_clock")
+def wall_clock(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of a batch of queries, pushes a second, and bytes of state by layout."""
+    return measures.wall_clock(windows(spark, sf_dir, "ev_all", 4096), EV)
 
 
 @workload("space_bound", base("li_part", 32) + "SELECT k AS l_partkey, true AS ok FROM wn")
