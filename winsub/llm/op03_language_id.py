@@ -77,36 +77,35 @@ class Model:
             self.strange = usual + STRANGE * (never - usual)
 
     def _likelihoods(self, data: np.ndarray, begin: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Words x languages log-likelihoods and each word's row."""
-        parts, where = [np.empty((0, len(self.languages)), np.float32)], [np.empty(0, np.int32)]
+        """Languages x words log-likelihoods and each word's row."""
+        parts, where = [np.empty((len(self.languages), 0), np.float32)], [np.empty(0, np.int32)]
         for at, to in _blocks(data):
             gram, first, place = _words(data[at:to])
             if len(first):
-                parts.append(np.add.reduceat(self.logp[gram], first, axis=0))
+                parts.append(np.add.reduceat(self.logp[gram], first, axis=0).T)
                 where.append((np.searchsorted(begin, place + at, side="right") - 1).astype(np.int32))
-        return np.concatenate(parts), np.concatenate(where)
+        return np.concatenate(parts, axis=1), np.concatenate(where)
 
     @staticmethod
     def mix(like: np.ndarray, row: np.ndarray, n: int, allowed: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Proportions by EM and the log-likelihood of each row's words; ``allowed``: rows x languages.
+        """Proportions by EM and the log-likelihood of each row's words; ``allowed``, result: languages x rows.
 
         ``row`` is sorted; words are weighed ``WORDS`` at a time, so memory follows the likelihoods alone.
         """
-        share = allowed / allowed.sum(axis=1, keepdims=True)
-        count = np.bincount(row, minlength=n)
+        share = allowed / allowed.sum(axis=0)
+        count = np.maximum(np.bincount(row, minlength=n), 1)
+        spans = [slice(at, at + WORDS) for at in range(0, len(row), WORDS)]
+        first = [np.flatnonzero(np.diff(row[x], prepend=-1)) for x in spans]
         for _ in range(ROUNDS):
             found = np.zeros_like(share)
-            for at in range(0, len(row), WORDS):
-                own = row[at : at + WORDS]
-                r = share[own] * like[at : at + WORDS]
-                r /= r.sum(axis=1, keepdims=True)
-                first = np.flatnonzero(np.diff(own, prepend=-1))
-                found[own[first]] += np.add.reduceat(r, first, axis=0)
-            share = found / np.maximum(count, 1)[:, None]
+            for x, begin in zip(spans, first, strict=True):
+                r = share[:, row[x]] * like[:, x]
+                r /= r.sum(axis=0)
+                found[:, row[x][begin]] += np.add.reduceat(r, begin, axis=1)
+            share = found / count
         total = np.zeros(n)
-        for at in range(0, len(row), WORDS):
-            own = row[at : at + WORDS]
-            total += np.bincount(own, weights=np.log((share[own] * like[at : at + WORDS]).sum(axis=1)), minlength=n)
+        for x, begin in zip(spans, first, strict=True):
+            total[row[x][begin]] += np.add.reduceat(np.log((share[:, row[x]] * like[:, x]).sum(axis=0)), begin)
         return share, total
 
     def predict(self, data: np.ndarray, offsets: np.ndarray) -> tuple[list[str], list[float], list[list[str]], np.ndarray]:
@@ -119,38 +118,36 @@ class Model:
         like, row = self._likelihoods(text, begin)
         if not len(row):
             return names, scores, sets, strange
-        one, peak = np.zeros((n, k)), np.empty(len(row), np.float32)
+        one, peak = np.zeros((k, n)), np.empty(len(row), np.float32)
         for at in range(0, len(row), WORDS):
-            part = like[at : at + WORDS]
-            top = part.max(axis=1)
-            peak[at : at + WORDS] = top
-            np.maximum(part - top[:, None], -30, out=part)
-            own = row[at : at + WORDS]
+            part, own = like[:, at : at + WORDS], row[at : at + WORDS]
+            peak[at : at + WORDS] = part.max(axis=0)
+            np.maximum(part - peak[at : at + WORDS], -30, out=part)
             for j in range(k):
-                one[:, j] += np.bincount(own, weights=part[:, j], minlength=n)
+                one[j] += np.bincount(own, weights=part[j], minlength=n)
             np.exp(part, out=part)
         words = np.bincount(row, minlength=n)
-        share, full = self.mix(like, row, n, np.ones((n, k)))
-        order = np.argsort(-share, axis=1, kind="stable")
-        rank = np.argsort(order, axis=1)
+        share, full = self.mix(like, row, n, np.ones((k, n)))
+        order = np.argsort(-share, axis=0, kind="stable")
+        rank = np.argsort(order, axis=0)
         penalty = 0.5 * np.log(np.maximum(words, 2)) + 2.0
-        best, chosen, size = np.full(n, -np.inf), share.copy(), np.ones(n, int)
+        best, chosen = np.full(n, -np.inf), share.copy()
         todo = np.flatnonzero(words)
         for m in range(1, k + 1):
             at = np.searchsorted(todo, row)
             at[at == len(todo)] = 0
             sel = todo[at] == row
             whole = bool(sel.all())
-            found, total = self.mix(like if whole else like[sel], at if whole else at[sel], len(todo), (rank[todo] < m).astype(float))
+            found, total = self.mix(like if whole else like[:, sel], at if whole else at[sel], len(todo), (rank[:, todo] < m).astype(float))
             value = total - penalty[todo] * (m - 1)
             better = value > best[todo]
-            best[todo[better]], chosen[todo[better]], size[todo[better]] = value[better], found[better], m
+            best[todo[better]], chosen[:, todo[better]] = value[better], found[:, better]
             # More languages can gain at most up to the full mixture.
             todo = todo[full[todo] - penalty[todo] * m > best[todo]]
             if not len(todo):
                 break
-        top = chosen.argmax(axis=1)
-        gap = one[np.arange(n), top] - np.where(np.arange(k) == top[:, None], -np.inf, one).max(axis=1, initial=-np.inf)
+        top = chosen.argmax(axis=0)
+        gap = one[top, np.arange(n)] - np.where(np.arange(k)[:, None] == top, -np.inf, one).max(axis=0, initial=-np.inf)
         sure = 1 / (1 + np.exp(-np.clip(gap, -30, 30)))
         # The mixture's log-likelihood of all trigrams.
         mixed = (full + np.bincount(row, weights=peak, minlength=n)) / TEMPER
@@ -159,8 +156,8 @@ class Model:
             piece = data[offsets[i] : offsets[i + 1]]
             if not _ASCII_LETTER[piece].any() and not any(ch.isalpha() for ch in piece.tobytes().decode()):
                 continue
-            names[i], scores[i] = self.languages[top[i]], float(chosen[i, top[i]] * max(0.5, sure[i]))
-            sets[i] = [self.languages[j] for j in order[i] if chosen[i, j] > 0.005]
+            names[i], scores[i] = self.languages[top[i]], float(chosen[top[i], i] * max(0.5, sure[i]))
+            sets[i] = [self.languages[j] for j in order[:, i] if chosen[j, i] > 0.005]
         return names, scores, sets, strange
 
     @staticmethod
