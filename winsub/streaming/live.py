@@ -3,7 +3,7 @@
 Input rows: (stream_id, seq, kind 'sym' | 'query', payload), ``seq`` ordering a stream's
 rows.  A query sees the window as of its place: updates and queries of a stream are taken
 one after the other, streams run in parallel.  State layouts: ``text`` keeps the window's
-text and scans it for every query, ``text+lazy`` keeps it and builds the index when a batch has
+text and builds the index in every batch, ``text+lazy`` builds it only when a batch has
 queries, ``tree`` keeps the index itself.
 """
 
@@ -19,7 +19,6 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from winsub.kernel.automaton import ManyPatterns
-from winsub.kernel.scan import native_find
 from winsub.kernel.window_index import WindowIndex
 from winsub.model import MATCHES, names
 
@@ -56,7 +55,7 @@ class LiveWindow(StatefulProcessor):
         index, added, out = None, [], []
         if self.layout == "tree":
             index = WindowIndex.restore(bytes(tree)) if tree else WindowIndex(self.capacity)
-        elif asked and self.layout == "text+lazy":
+        elif asked or self.layout == "text":
             index = WindowIndex(self.capacity)
             index.start = index.n_seen = index._base = n - len(text)
             index.extend(text)
@@ -67,9 +66,6 @@ class LiveWindow(StatefulProcessor):
                     added.append(payload)
                 else:
                     index.push(payload)
-            elif index is None:
-                text, added = (text + "".join(added))[-self.capacity :], []
-                out += [(key[0], payload, n, n - len(text) + i) for i in native_find(text, payload)[0]]
             else:
                 out += [(key[0], payload, n, off) for off in index.locate(payload)]
         text = "".join(index.window()) if index is not None else (text + "".join(added))[-self.capacity :]
@@ -146,6 +142,17 @@ def tagged(rows: DataFrame, patterns: list[str], asks: str) -> DataFrame:
     return rows.select("stream_id", "seq", F.explode(both).alias("r")).select("stream_id", "seq", "r.kind", "r.payload")
 
 
+def fan_out(asked: DataFrame, keys: DataFrame) -> DataFrame:
+    """Streaming queries (stream_id or null, seq, pattern) and a table of stream_ids -> tagged queries.
+
+    A query without a stream goes to every registered one, which is as many rows as it asks for;
+    of the two sides the micro-batch's queries are sent, never the registry.
+    """
+    asked = asked.select(F.col("stream_id").alias("only"), "seq", "pattern").where("length(pattern) > 0")
+    met = F.broadcast(asked).join(keys.select("stream_id").distinct(), F.expr("only is null or only = stream_id"))
+    return met.select("stream_id", "seq", F.lit("query").alias("kind"), F.col("pattern").alias("payload"))
+
+
 def standing_match(rows: DataFrame, patterns: list[str]) -> DataFrame:
     """Streaming (stream_id, seq, sym) -> streaming MATCHES of patterns known beforehand.
 
