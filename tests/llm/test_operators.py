@@ -438,11 +438,16 @@ def test_token_counts(docs, none):
         n = tokens(t or "")
         assert got[i] == (len((t or "").encode()), n, n > 1024)
     assert op8.token_counts(none, path).count() == 0
+    again = op8.token_counts(docs.where("doc_id = 13").unionByName(docs.where("doc_id = 13")), path).collect()
+    assert len(again) == 2 and len(set(again)) == 1
     c = op8.counter(path)
     for t in ["they're   we'll\n\n x", "a<|endoftext|>b!<|endoftext|>", "\t\n x\x1c y\x85z", "<|endoft", "   ", "日本 é", *("".join(R.choice(" \n'rvel!a1é<|\t") for _ in range(R.randint(0, 25))) for _ in range(200))]:
         assert c.prefix_counts(t).tolist() == [tokens(t[:i]) for i in range(len(t) + 1)]
         cut = c.truncate(t, 3)
         assert tokens(cut) <= 3 and (cut == t or tokens(t[: len(cut) + 1]) > 3)
+    tables = op8.prefix_tables(docs.where("doc_id not in (10, 11, 12)"), path)
+    cut = by_id(op8.longest_within(tables, 5), "n_chars", "n_tokens")
+    assert all(TEXTS[i][: k] == c.truncate(TEXTS[i], 5) and n == tokens(TEXTS[i][:k]) for i, (k, n) in cut.items() if TEXTS[i]) and cut[0] == (0, 0)
     some = R.sample(sorted(c.vocab), 3000)
     assert all(c.fits(a, b) == (c.merge(a + b) == [a, b]) for a, b in zip(some, some[1:], strict=False))
 

@@ -18,7 +18,7 @@ sketch, a block for every hash; so do, beside their own band, documents with so
 non-empty blocks that they, or a partner, could have too few for the bound.
 
 For components, keys are not expanded into pairs.  Each member of a key's group is first
-compared with the group's smallest set.  Workers do that for the documents they hold before
+compared with the group's smallest id.  Workers do that for the documents they hold before
 anything is shuffled, so a key that very many documents have sends one row a buffer, not one
 a document.  One parity bit per shingle gives a bit sketch whose Hamming distance
 must be within the bound before texts are fetched and compared exactly.  This settles
@@ -175,29 +175,31 @@ def _profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip([none, none, none, none, frequent.key.view(np.int64), frequent.count], kinds, strict=True)], names)
 
 
-EMITTED = "place long, key long, doc long, n int, leader long, times long"
+EMITTED = "place long, doc long, key long, leader long, times long"
 
 
-def _settle(key: np.ndarray, doc: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-    """Rows of ``EMITTED``: of three and more documents with one key the smallest set leads.
+def _settle(key: np.ndarray, doc: np.ndarray) -> pa.RecordBatch:
+    """Rows of ``EMITTED``: of three and more documents with one key the smallest id leads.
 
-    A leader (or a document of a smaller group) has its key as its place and stands for
-    ``times`` documents; the others have places of their own and name their leader.
+    A leader, or a document of a smaller group, has its key as its place and stands for ``times``
+    documents (null: 1); the others have places of their own and name their key and leader.
     """
     order = np.argsort(key)
     first = np.flatnonzero(np.diff(key[order], prepend=key[order[0]] ^ 1))
     size = np.diff(np.append(first, len(key)))
     many = np.repeat(size > 2, size)
     some = order[many]
-    order[many] = some[np.lexsort((doc[some], n[some], key[some]))]
-    key, doc, n = key[order], doc[order], n[order]
+    order[many] = some[np.lexsort((doc[some], key[some]))]
+    key, doc = key[order], doc[order]
     led = many.copy()
     led[first] = False
-    times = np.where(many, 0, 1)
-    times[first[size > 2]] = size[size > 2]
-    own = mix64(key.view(np.uint64) ^ mix64(doc.view(np.uint64))).view(np.int64)
-    leader = pa.array(np.repeat(doc[first], size), pa.int64(), mask=~led)
-    return pa.RecordBatch.from_arrays([pa.array(np.where(led, own, key)), pa.array(key), pa.array(doc), pa.array(n), leader, pa.array(times.astype(np.int64))], [x.split(" ")[0] for x in EMITTED.split(", ")])
+    times = np.where(led, 0, 1)
+    times[first] = np.where(size > 2, size, 1)
+    own = mix64(key[led].view(np.uint64) ^ mix64(doc[led].view(np.uint64))).view(np.int64)
+    place = key.copy()
+    place[led] = own
+    columns = [place, doc, pa.array(key, mask=~led), pa.array(np.repeat(doc[first], size), mask=~led), pa.array(times, mask=times == 1)]
+    return pa.RecordBatch.from_arrays([x if isinstance(x, pa.Array) else pa.array(x) for x in columns], [x.split(" ")[0] for x in EMITTED.split(", ")])
 
 
 def _emit(heavy: np.ndarray):
@@ -228,7 +230,7 @@ def _emit(heavy: np.ndarray):
                     docs.append(doc)
                 if sets:
                     key, owner = keys(sets, heavy)
-                    held.append((key.view(np.int64), np.array(docs, np.int64)[owner], np.array([len(s) for s in sets], np.int32)[owner]))
+                    held.append((key.view(np.int64), np.array(docs, np.int64)[owner]))
                 if sum(len(x[0]) for x in held) > HELD:
                     yield from settled()
         yield from settled()
@@ -360,14 +362,14 @@ class Join:
         self.sketch = self.rows.join(reps, self.rows.doc_id == reps.rep, "left_semi").select(F.col("doc_id").alias("rep"), "n", "sketch")
 
     def keyed(self) -> DataFrame:
-        """Members of groups with a common key beside the group's smallest set.
+        """Members of groups with a common key beside the group's leader.
 
         ``key`` is null where the group has no third member: its one pair says it all.
         """
         rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), EMITTED)
         by = Window.partitionBy("place")  # one row a worker's buffer and key at most, but for groups of two
-        lead = rows.withColumn("lead", F.min(F.struct("n", "doc")).over(by)["doc"]).withColumn("size", F.sum("times").over(by))
-        lead = lead.select("doc", F.coalesce("leader", "lead").alias("leader"), F.when(F.col("leader").isNotNull() | (F.col("size") > 2), F.col("key")).alias("key"))
+        lead = rows.withColumn("lead", F.min("doc").over(by)).withColumn("size", F.sum(F.coalesce("times", F.lit(1))).over(by))
+        lead = lead.select("doc", F.coalesce("leader", "lead").alias("leader"), F.coalesce("key", F.when(F.col("size") > 2, F.col("place"))).alias("key"))
         return stage(lead.where("doc <> leader").select("key", "doc", "leader").distinct(), "keyed")
 
     def verified(self, pairs: DataFrame, near: bool) -> DataFrame:
@@ -445,7 +447,7 @@ class Join:
 
     def all_links(self) -> DataFrame:
         """Every link of two classes, once: (a, b), a < b."""
-        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), EMITTED).select("key", "doc")
+        rows = self.texts.where("doc_id is not null").mapInArrow(_emit(self.heavy), EMITTED).select(F.coalesce("key", "place").alias("key"), "doc")
         rows = rows.join(self.member.select(F.col("doc_id").alias("doc"), "rep", "n"), "doc").select("key", "rep", "n").distinct()
         # Each class is its own label, so that none of its pairs is left out.
         nobody = rows.sparkSession.createDataFrame([], "node long, label long")

@@ -28,7 +28,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winsub.llm.common import table
+from winsub.llm.common import CACHES, lean, table
 
 #: Entries of the remembered tables (words and pairs, units) before they are emptied.
 REMEMBERED, UNITS = 300_000, 1_000_000
@@ -233,7 +233,7 @@ class _Units(dict):
         return found
 
 
-_COUNTERS: dict[str, PrefixCounter] = {}
+_COUNTERS: dict[str, PrefixCounter] = CACHES.setdefault("counters", {})
 
 
 def counter(path: str) -> PrefixCounter:
@@ -255,10 +255,29 @@ def token_counts(docs: DataFrame, path: str, limit: int = 1024) -> DataFrame:
                 ["doc_id", "n_bytes", "n_tokens"],
             )
 
-    rows = docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, "doc_id long, n_bytes long, n_tokens long")
+    rows = docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(lean(run, "counters"), "doc_id long, n_bytes long, n_tokens long")
     return rows.withColumn("over_limit", F.col("n_tokens") > limit)
 
 
+def prefix_tables(docs: DataFrame, path: str) -> DataFrame:
+    """doc_id, prefix_tokens: the exact token count of every prefix, by its length in characters (the first is 0)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts = counter(path).prefix_counts
+        for b in batches:
+            for i in range(0, b.num_rows, 64):
+                found = [counts(t or "").astype(np.int32) for t in b.column(1)[i : i + 64].to_pylist()]
+                yield pa.RecordBatch.from_arrays([b.column(0)[i : i + 64], pa.array(found, pa.list_(pa.int32()))], ["doc_id", "prefix_tokens"])
+
+    return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(lean(run, "counters"), "doc_id long, prefix_tokens array<int>")
+
+
+def longest_within(tables: DataFrame, budget: int) -> DataFrame:
+    """doc_id, n_chars, n_tokens: the longest prefix of each text of at most ``budget`` tokens, from its stored table alone."""
+    longest = f"array_max(transform(prefix_tokens, (c, i) -> if(c <= {int(budget)}, i, 0)))"
+    return tables.select("doc_id", "prefix_tokens", F.expr(longest).alias("n_chars")).select("doc_id", "n_chars", F.expr("prefix_tokens[n_chars]").alias("n_tokens"))
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
