@@ -12,16 +12,18 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from winsub.llm import op01_exact_dedup, op03_language_id, op04_packing, op06_parity_join, op07_quality
-from winsub.llm.common import fold, stage, table
+from winsub.llm.common import fold, small_batches, stage, table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a language; those without a letter go."""
+    """Documents with a language; those without a letter, or with letters of no language, go."""
+    small_batches(spark)
     return op03_language_id.kept_documents(docs, op03_language_id.fit(op03_language_id.training_rows(docs)))
 
 
 def select_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a quality score of at least one half."""
+    small_batches(spark)
     labels = table(spark, sf_dir, "labels").where(fold("doc_id", 4) != 2)
     return op07_quality.kept_documents(docs, op07_quality.fit(docs.where(fold("doc_id", 4) != 2), labels))
 
@@ -38,6 +40,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of sequences of at most 4096 ids."""
+    small_batches(spark)
     return op04_packing.pack(docs, public_tokenizers.path("word_bpe_49k.json"))
 
 

@@ -67,15 +67,19 @@ def staged_path(spark: SparkSession, tag: str) -> str:
     return f"{path}/{tag}"
 
 
+def small_batches(spark: SparkSession) -> None:
+    """From now on the session hands texts to workers ``BATCH_ROWS`` at a time at most."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def stage(df: DataFrame, tag: str, parts: int | None = None) -> DataFrame:
     """Write ``df`` once to the shared folder and return a scan of what was written."""
-    spark, key = df.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
-    path, rows = staged_path(spark, tag), spark.conf.get(key)
-    spark.conf.set(key, str(min(int(rows), BATCH_ROWS)) if int(rows) > 0 else str(BATCH_ROWS))
-    try:
-        (df.coalesce(parts) if parts else df).write.parquet(path)
-    finally:
-        spark.conf.set(key, rows)
+    spark = df.sparkSession
+    small_batches(spark)
+    path = staged_path(spark, tag)
+    (df.coalesce(parts) if parts else df).write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -95,6 +99,7 @@ atexit.register(drop_staged)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

@@ -37,7 +37,7 @@ from winsub.llm.common import lean, stage, table
 
 CAPACITY, END_ID, TOLERANCE = 4096, 2, 4
 #: Words whose ids a worker remembers before it starts afresh.
-REMEMBERED = 1_200_000
+REMEMBERED = 300_000
 
 CUT_SCHEMA = "doc_id long, doc_tokens long, full_crc array<long>, rem int, rem_crc long, part_crc array<long>, part int, full_rank long, rank long"
 
@@ -101,9 +101,6 @@ class Words:
         return [b"".join(map(known.__getitem__, words)) for words in split]
 
 
-_WORDS: dict[str, Words] = {}
-
-
 def bits(n: int) -> list[int]:
     """Powers of two that add up to n, largest first."""
     return [1 << k for k in range(n.bit_length() - 1, -1, -1) if n >> k & 1]
@@ -117,8 +114,7 @@ def cuts(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END
     end = struct.pack("<I", end_id)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = _WORDS.setdefault(path, None) or Words(path)
-        _WORDS[path] = words
+        words = Words(path)  # what it remembers goes with the task
         part, full, seen = TaskContext.get().partitionId(), 0, {}
         for b in batches:
             for i in range(0, b.num_rows, 256):

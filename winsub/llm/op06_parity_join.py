@@ -54,7 +54,7 @@ SMALL, RATIO, CHUNK, HEAVY, ROUNDS = 64, 16, 1024, 4096, 2
 #: Digests a worker remembers to skip copies inside its partition; bits of the text filter;
 #: keys a worker holds to settle their groups; rows of one cluster that a task compares; classes
 #: among which it remembers the pairs it compared.
-REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, COMPARED = 50_000, 1 << 22, 1_000_000, 8192, 6000
+REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, COMPARED = 50_000, 1 << 22, 500_000, 8192, 4096
 
 
 def bound(a, b):
