@@ -211,16 +211,27 @@ class Pieces:
     def encode(self, text: str) -> np.ndarray:
         if not text:
             return np.empty(0, np.uint32)
-        marked = MARK + text.replace(" ", MARK)
-        parts = _BREAK.split(marked) if self.breaks else [marked]
-        return np.frombuffer(b"".join(map(self.known.__getitem__, parts)), np.uint32)
+        if not self.breaks:
+            return np.frombuffer(self.known[MARK + text.replace(" ", MARK)], np.uint32)
+        return np.frombuffer(b"".join(self._blocks(text)), np.uint32)
+
+    def _blocks(self, text: str) -> Iterator[bytes]:
+        """Ids of the text's parts of about ``BLOCK`` characters, cut where the best path breaks."""
+        at, lead = 0, MARK
+        while at < len(text):
+            cut = _CUT.search(text, at + BLOCK)
+            to = cut.start() if cut else len(text)
+            yield b"".join(map(self.known.__getitem__, _BREAK.split(lead + text[at:to].replace(" ", MARK))))
+            at, lead = to, ""
 
     def decode(self, ids: np.ndarray) -> str:
         """Pieces joined, bytes put together, markers back to spaces, the leading one dropped."""
-        raw = b"".join(map(self.text.__getitem__, ids.tolist()))
+        raw = b"".join(b"".join(map(self.text.__getitem__, ids[k : k + BLOCK].tolist())) for k in range(0, len(ids), BLOCK))
         return raw.decode("utf-8", "replace").replace(MARK, " ")[1:]
 
 
+#: Characters (or ids) handled at one time; a space after another character, where a part may begin.
+BLOCK, _CUT = 1 << 16, re.compile("(?<=[^ ▁]) ")
 _BREAK = re.compile(f"(?<=[^{MARK}])(?={MARK})")
 
 
