@@ -638,3 +638,34 @@ def test_pipeline_on_empty_documents(spark, sf_dir):
         docs = step(spark, docs, sf_dir)
         assert docs.count() == 0
         docs = table(spark, sf_dir, "documents").where("false")
+
+
+def test_repeated_rows_give_a_row_each(spark, tmp_path):
+    """Pieces, languages and media of rows that repeat a doc_id, or have none."""
+    rows = spark.createDataFrame([(1, "the same text", "en"), (1, "the same text", "en"), (None, "the same text", "en"), (2, None, None), (2, None, None)], "doc_id long, text string, lang string")
+    for found in (op2.round_trip(rows, P.path("piece_bpe_32k.model")), op3.predict(rows, op3.fit(rows))):
+        got = [tuple(map(str, r)) for r in found.collect()]
+        assert len(got) == 5 and len(set(got)) == 3
+    op5.store(rows, f"{tmp_path}/m")
+    got = op5.features(spark, f"{tmp_path}/m").collect()
+    assert len(got) == 5 and len({r.payload_sha256 for r in got}) == 2
+    assert all(r.held_out is not None for r in rows.select(F.coalesce(op3.fold("doc_id", 4) == 2, F.lit(False)).alias("held_out")).collect())
+
+
+def test_pipeline_of_odd_rows(spark, sf_dir):
+    """Null and empty texts, null and repeated ids, copies, columns of any name: every stage keeps the columns."""
+    import corpus_pipeline
+
+    full = table(spark, sf_dir, "documents")
+    odd = spark.createDataFrame([(10**6, None), (10**6 + 1, ""), (None, "a text without an id " * 5), (10**6 + 2, BASE), (10**6 + 2, BASE), (10**6 + 3, BASE.upper()), (10**6 + 4, "12 34"), (10**6 + 5, near(BASE, 2))], "doc_id long, text string")
+    docs = full.unionByName(odd, allowMissingColumns=True).withColumns({"_sha": F.lit("mine"), "key": F.lit(1), "lost_id": F.col("doc_id"), "_lost": F.col("doc_id")})
+    columns = docs.columns
+    for name, step in corpus_pipeline.STAGES[:-1]:
+        docs = corpus_pipeline.stage(step(spark, docs, sf_dir), name)
+        assert docs.columns == columns, name
+        assert docs.where("_sha <> 'mine' or key <> 1 or not lost_id <=> doc_id").count() == 0, name
+    left = {r.doc_id for r in docs.where("doc_id >= 1000000 or doc_id is null").collect()}
+    assert not left & {10**6, 10**6 + 1, 10**6 + 4} and len(left & {10**6 + 2, 10**6 + 3, 10**6 + 5}) <= 1
+    assert docs.where("doc_id = 1000002").count() <= 1
+    pieces = corpus_pipeline.STAGES[-1][1](spark, docs, sf_dir)
+    assert pieces.select("doc_id").distinct().count() == docs.select("doc_id").distinct().count()

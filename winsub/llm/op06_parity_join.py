@@ -25,8 +25,8 @@ must be within the bound before texts are fetched and compared exactly.  This se
 groups of two.  Documents emit ``slack(n)`` more keys than needed, so linked documents share
 that many more: one with no more keys in groups of three and above than its partners have
 slack shares a group of two with each of them and is settled.  Of the others, connected
-ones are contracted, further leaders of the groups are tried for ``ROUNDS`` rounds, and only
-members of different components that still share a key are compared, in blocks of
+ones are contracted, further leaders of the groups are tried (``ROUNDS`` rounds at most, while more
+than ``AT_ONCE`` members of groups are left), and members of different components that still share a key are compared, in blocks of
 ``CHUNK`` members, again by Hamming distance first.
 
 Equality of shingles and blocks is that of 64-bit hashes.
@@ -53,8 +53,9 @@ from winsub.llm.components import components
 SMALL, RATIO, CHUNK, HEAVY, ROUNDS = 64, 16, 1024, 4096, 2
 #: Digests a worker remembers to skip copies inside its partition; bits of the text filter;
 #: keys a worker holds to settle their groups; rows of one cluster that a task compares; classes
-#: among which it remembers the pairs it compared.
-REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, COMPARED = 50_000, 1 << 22, 500_000, 8192, 4096
+#: among which it remembers the pairs it compared; rows that need no further leaders; documents
+#: at most that are sent to find their texts.
+REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, COMPARED, AT_ONCE, SENT = 50_000, 1 << 22, 500_000, 8192, 4096, 4_000_000, 1 << 19
 
 
 def bound(a, b):
@@ -381,14 +382,16 @@ class Join:
             pairs = pairs.where("100 * least(na, nb) >= 75 * greatest(na, nb)")
             pairs = pairs.select("a", "b", "na", "sa", "nb", "sb").mapInArrow(lean(_near), "a long, b long")
         pairs = stage(pairs.distinct(), "pairs")
-        ends = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
+        ends = stage(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ends")
         texts = stage(self._some(ends).select("doc_id", "text"), "texts")
         full = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a")
         full = full.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
         return stage(full.select("a", "b", "ta", "tb").mapInArrow(lean(_verify), "a long, b long").distinct(), "links")
 
     def _some(self, ends: DataFrame) -> DataFrame:
-        """Texts of the given documents; a filter of fixed size spares others the shuffle."""
+        """Texts of the given documents: a bounded set is sent; of more, a filter of fixed size spares others the shuffle."""
+        if ends.count() <= SENT:
+            return self.texts.join(F.broadcast(ends), "doc_id", "left_semi")
         bit = F.pmod(F.xxhash64("doc_id"), F.lit(FILTER_BITS))
         words = ends.groupBy(F.floor(bit / 64).cast("int").alias("w")).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(pmod(xxhash64(doc_id), {FILTER_BITS}) % 64 as int))")).alias("m"))
         bits = np.zeros(FILTER_BITS // 64, np.int64)
@@ -436,14 +439,17 @@ class Join:
         label = components(found)
         rows = self._open(self._unsettled(keyed), label)
         for k in range(ROUNDS):
+            if rows.count() <= AT_ONCE:
+                break
             place = F.xxhash64("rep", F.lit(k))
             lead = rows.groupBy("key").agg(F.min_by("rep", place).alias("leader"), F.min_by("label", place).alias("own"))
             pairs = rows.join(lead, "key").where("label <> own")
             pairs = pairs.select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")).distinct()
-            found = found.unionByName(self.verified(pairs, near=True))
+            # What is known of the components is a star below each label.
+            found = label.select(F.col("node").alias("a"), F.col("label").alias("b")).unionByName(self.verified(pairs, near=True))
             label = components(found)
             rows = self._open(rows.select("key", "rep", "n"), label)
-        return found.unionByName(self._compared(rows))
+        return label.select(F.col("node").alias("a"), F.col("label").alias("b")).unionByName(self._compared(rows))
 
     def all_links(self) -> DataFrame:
         """Every link of two classes, once: (a, b), a < b."""
