@@ -294,7 +294,9 @@ def test_parity_join(docs, none):
     assert {r.doc_id for r in kept.collect()} == {c for _, c in brute_components(TEXTS).values()} and kept.columns == docs.columns
 
 
-def test_parity_join_of_many_near_copies(spark, monkeypatch):
+@pytest.mark.parametrize("at_once", [0, 100_000])
+def test_parity_join_of_many_near_copies(spark, monkeypatch, at_once):
+    monkeypatch.setattr(op6, "AT_ONCE", at_once)
     """Copies around the threshold, boilerplate in most texts, groups in several blocks."""
     monkeypatch.setattr(op6, "CHUNK", 8)
     passage = " ".join(R.choice(WORDS) for _ in range(60))

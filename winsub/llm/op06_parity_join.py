@@ -52,10 +52,10 @@ from winsub.llm.components import components
 
 SMALL, RATIO, CHUNK, HEAVY, ROUNDS = 64, 16, 1024, 4096, 2
 #: Digests a worker remembers to skip copies inside its partition; bits of the text filter;
-#: keys a worker holds to settle their groups; rows of one cluster that a task compares; classes
-#: among which it remembers the pairs it compared; rows that need no further leaders; documents
-#: at most that are sent to find their texts.
-REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, COMPARED, AT_ONCE, SENT = 50_000, 1 << 22, 500_000, 8192, 4096, 4_000_000, 1 << 19
+#: keys a worker holds to settle their groups; rows of one cluster that a task compares, and
+#: of these at one time; classes among which it remembers the pairs it compared; rows that need no
+#: further leaders; documents at most that are sent to find their texts.
+REMEMBERED, FILTER_BITS, HELD, CLUSTER_ROWS, TOGETHER, COMPARED, AT_ONCE, SENT = 50_000, 1 << 22, 500_000, 1 << 16, 8192, 4096, 100_000, 1 << 19
 
 
 def bound(a, b):
@@ -262,16 +262,37 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
+class _Compared:
+    """Which pairs of classes a task compared; it starts afresh after ``COMPARED`` classes."""
+
+    def __init__(self):
+        self.index: dict[int, int] = {}
+        self.done = np.zeros((COMPARED, COMPARED), bool)
+
+    def places(self, rep: np.ndarray) -> np.ndarray | None:
+        """The classes' rows of ``done``; none if they are too many."""
+        new = [x for x in rep.tolist() if x not in self.index]
+        if len(self.index) + len(new) > COMPARED:
+            self.index.clear()
+            self.done[:] = False
+            new = rep.tolist()
+        if len(new) > COMPARED:
+            return None
+        for x in new:
+            self.index[x] = len(self.index)
+        return np.array([self.index[x] for x in rep.tolist()])
+
+
 class _Cluster:
-    """The classes of some rows (one a key and class) and which pairs of them were compared."""
+    """The classes of some rows, one a key and class."""
 
-    def __init__(self, rows: pa.Table):
+    def __init__(self, rows: pa.Table, compared: _Compared):
         self.rep, first, self.local = np.unique(rows["rep"].to_numpy(), return_index=True, return_inverse=True)
         self.n, self.label = (rows[x].to_numpy()[first] for x in ("n", "label"))
         self.sketches = [np.frombuffer(x.as_buffer(), np.uint64) for x in rows["sketch"].take(pa.array(first))]
         self.words = np.array([len(x) for x in self.sketches])
         self.halved: dict[int, np.ndarray] = {}
-        self.done = np.zeros((len(first), len(first)), bool) if len(first) <= COMPARED else None
+        self.done, self.place = compared.done, compared.places(self.rep)
 
     def at(self, w: int) -> np.ndarray:
         """All sketches at ``w`` words (zeros for narrower ones)."""
@@ -286,12 +307,13 @@ class _Cluster:
         open_ = (label[one][:, None] != label[other]) & (4 * small >= 3 * large)
         if one is other:
             open_ &= np.tri(len(one), k=-1, dtype=bool)
-        if self.done is not None:
-            open_ &= ~self.done[one[:, None], other]
+        if self.place is not None:
+            open_ &= ~self.done[self.place[one][:, None], self.place[other]]
         a, b = np.nonzero(open_)
         a, b = one[a], other[b]
-        if self.done is not None:
-            self.done[a, b] = self.done[b, a] = True
+        if self.place is not None:
+            x, y = self.place[a], self.place[b]
+            self.done[x, y] = self.done[y, x] = True
         width, hit = np.minimum(self.words[a], self.words[b]), np.zeros(len(a), bool)
         for w in np.unique(width):
             m, of = self.at(w), np.flatnonzero(width == w)
@@ -308,6 +330,7 @@ _BLOCK = ["key", "low", "high"]
 def _cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Near pairs of each run of equal (key, low, high); a run has about 2 * CHUNK rows."""
     held: list[pa.RecordBatch] = []
+    compared = _Compared()
 
     def starts(rows: pa.Table) -> np.ndarray:
         new = np.zeros(rows.num_rows, bool)
@@ -318,7 +341,7 @@ def _cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return np.flatnonzero(new)
 
     def out(rows: pa.Table) -> pa.RecordBatch:
-        cluster, chunk, low, high = _Cluster(rows), *(rows[x].to_numpy() for x in ("chunk", "low", "high"))
+        cluster, chunk, low, high = _Cluster(rows, compared), *(rows[x].to_numpy() for x in ("chunk", "low", "high"))
         a, b = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
         new = starts(rows)
         for i, j in zip(new, np.append(new[1:], len(chunk)), strict=True):
@@ -335,7 +358,7 @@ def _cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     for b in batches:
         held.append(b)
-        if sum(x.num_rows for x in held) >= CLUSTER_ROWS:
+        if sum(x.num_rows for x in held) >= TOGETHER:
             rows = pa.Table.from_batches(held)
             cut = int(starts(rows)[-1])
             if cut:
