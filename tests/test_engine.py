@@ -15,7 +15,7 @@ from winsub.plans import planner
 from winsub.sources.adapters import FAMILIES, assemble, chunks, encode_symbols, family, family_symbols, family_window, numbered, symbol_chunks, symbols, texts
 from winsub.sources.readers import load, load_text, register_source, symbol_rate
 from winsub.sources.sinks import save_parquet, to_memory, upsert_batches
-from winsub.streaming.live import counts, live_locate, near_events, once, reordered, state_store
+from winsub.streaming.live import LiveWindow, counts, live_locate, near_events, once, reordered, state_store
 
 ODD = [("a", "a%_b'\"\n\\E.*(?=ü)𝒳ü𝒳"), ("b", ""), ("c", None), (None, "x"), ("d", "ab" * 40), ("e", "x")]
 
@@ -343,17 +343,33 @@ def test_rate_source_and_update_mode(spark, tmp_path):
     assert max(r["count"] for r in found if r.k == "x") == 3 and [r["count"] for r in found if r.k == "y"] == [1]
 
 
-def test_idle_windows_are_forgotten(spark, tmp_path):
-    """With a lifetime a stream that was silent starts afresh; without one it goes on."""
-    import time
+def test_idle_windows_have_a_lifetime():
+    """The lifetime reaches the state; a window whose state is gone starts afresh."""
+    import pandas as pd
 
-    schema = "stream_id string, seq bigint, kind string, payload string"
-    for idle, want in ((1, []), (None, [0])):
-        src = str(tmp_path / f"s{idle}")
-        for k, batch in enumerate([[("s", 0, "sym", "a"), ("s", 1, "sym", "b")], [("s", 2, "query", "ab")]]):
-            spark.createDataFrame(batch, schema).coalesce(1).write.mode("append").parquet(src)
-            stream = spark.readStream.schema(schema).parquet(src)
-            with state_store(spark):
-                to_memory(live_locate(stream, 8, "text", idle), f"idle{idle}{k}", str(tmp_path / f"c{idle}")).awaitTermination()
-            time.sleep(0.1)
-        assert [r.off for r in spark.table(f"idle{idle}1").collect()] == want
+    class State:
+        value = None
+
+        def exists(self):
+            return self.value is not None
+
+        def get(self):
+            return self.value
+
+        def update(self, value):
+            self.value = value
+
+    class Handle:
+        def getValueState(self, name, schema, ttl=None):
+            self.ttl, self.state = ttl, State()
+            return self.state
+
+    rows = lambda *x: iter([pd.DataFrame(x, columns=["seq", "kind", "payload"])])
+    for idle in (None, 1000):
+        handle, live = Handle(), LiveWindow(8, "text", idle)
+        live.init(handle)
+        assert handle.ttl == idle
+        list(live.handleInputRows(("s",), rows((0, "sym", "a"), (1, "sym", "b")), None))
+        assert list(pd.concat(live.handleInputRows(("s",), rows((2, "query", "ab")), None)).off) == [0]
+        handle.state.value = None  # expired
+        assert pd.concat(live.handleInputRows(("s",), rows((3, "query", "ab")), None)).empty
