@@ -60,3 +60,11 @@ def test_entry(spark):
 
     assert __spark_entry__.entry(spark).count() > 0
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def test_window_that_begins_with_what_stands_between_texts(spark, tmp_path):
+    """The last text fills the window but for one symbol, which is the line feed before it."""
+    rows = [(1, 0, "u", "the"), (1, 1, "a", "x" * 2047), (2, 0, "u", "the"), (2, 1, "a", "x" * 2048), (3, 0, "u", "the"), (3, 1, "a", "x" * 2046)]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    found = QUERIES["locate_conv"](spark, str(tmp_path))
+    assert sorted(map(tuple, found.collect())) == [(1, "\n", 2051, 3), (3, "\n", 2050, 3)]
