@@ -68,3 +68,13 @@ def test_window_that_begins_with_what_stands_between_texts(spark, tmp_path):
     spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
     found = QUERIES["locate_conv"](spark, str(tmp_path))
     assert sorted(map(tuple, found.collect())) == [(1, "\n", 2051, 3), (3, "\n", 2050, 3)]
+
+
+def test_broadcast_query_sees_all_of_its_time(spark, tmp_path):
+    """Events of one time in several files; a query meets every event of its time, whatever the file and number."""
+    rows = [(500, 1, 5, "view"), (1500, 2, 5, "error"), (1501, 2, 5, "view"), (1502, 2, 6, "error"), (1503, 2, 7, "view"), (3, 3, 9, "error"), (1000, 1, 8, "view")]
+    for e, u, t, kind in rows:
+        spark.range(1).selectExpr(f"cast({e} as long) event_id", f"cast({u} as long) user_id", f"timestamp_micros({t}) ts", f"'{kind}' event_type").write.mode("append").parquet(f"{tmp_path}/events.parquet")
+    found = QUERIES["stream_locate_broadcast"](spark, str(tmp_path))
+    # Two queries at 5 see "ev", the one at 8 sees "evev".
+    assert sorted(map(tuple, found.collect())) == [(2, "ev", 2, 0), (2, "ev", 2, 0), (2, "ev", 4, 0), (2, "ev", 4, 2)]
