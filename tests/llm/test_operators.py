@@ -671,3 +671,9 @@ def test_pipeline_of_odd_rows(spark, sf_dir):
     assert docs.where("doc_id = 1000002").count() <= 1
     pieces = corpus_pipeline.STAGES[-1][1](spark, docs, sf_dir)
     assert pieces.select("doc_id").distinct().count() == docs.select("doc_id").distinct().count()
+
+
+def test_ids_of_any_number_are_packed_alike():
+    from winsub.llm.op04_packing import packed
+
+    assert all(packed(list(range(n))) == b"".join(i.to_bytes(4, "little") for i in range(n)) for n in (0, 1, 32, 33, 70))

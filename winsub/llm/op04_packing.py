@@ -42,6 +42,14 @@ REMEMBERED = 300_000
 CUT_SCHEMA = "doc_id long, doc_tokens long, full_crc array<long>, rem int, rem_crc long, part_crc array<long>, part int, full_rank long, rank long"
 
 
+#: Packers of few ids: most words are new to a task and short, where an array costs more than its ids.
+FEW = [struct.Struct(f"<{n}I").pack for n in range(33)]
+
+
+def packed(ids: list[int]) -> bytes:
+    return FEW[len(ids)](*ids) if len(ids) < len(FEW) else np.array(ids, "<u4").tobytes()
+
+
 class Words:
     """Ids of words as little-endian 32-bit bytes; tokens never cross ASCII white space.
 
@@ -61,30 +69,27 @@ class Words:
         self.letters = {x: chr(x) for x in plain} | {x: chr(256 + k) for k, x in enumerate(rest)}
 
     def _letters(self, stem: bytes) -> bytes | None:
-        """Ids of one run of letters, if it is one that needs no normalising."""
-        if stem.isalpha():
-            text = stem.decode()
-        else:
-            word = stem.decode()
-            if not word.isalpha() or max(word) >= "\u0250" or "\u0130" in word or not unicodedata.is_normalized("NFC", word):
-                return None
-            text = word.lower().encode().decode("latin-1").translate(self.letters)
-        return np.array([t.id for t in self.model.tokenize(text)], "<u4").tobytes()
+        """Ids of one run of letters that are not all ASCII, if it is one that needs no normalising."""
+        word = stem.decode()
+        if not word.isalpha() or max(word) >= "\u0250" or "\u0130" in word or not unicodedata.is_normalized("NFC", word):
+            return None
+        text = word.lower().encode().decode("latin-1").translate(self.letters)
+        return packed([t.id for t in self.model.tokenize(text)])
 
     def _encode(self, words: list[bytes]) -> list[bytes]:
         found = self.tokenizer.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)
-        return [np.array(e.ids, "<u4").tobytes() for e in found]
+        return [packed(e.ids) for e in found]
 
     def ids(self, texts: list[bytes]) -> list[bytes]:
         split = [(t if b"<|" in t else t.lower()).split() for t in texts]
         if len(self.known) > REMEMBERED:
             self.known.clear()
-        known, tails, odd = self.known, self.tails, []
+        known, tails, odd, tokenize = self.known, self.tails, [], self.model.tokenize
         for w in set().union(*split).difference(known):
             stem = w.rstrip(b".,;:!?")
             found = known.get(stem) if stem[-1:].isalnum() else None
             if found is None and stem and stem == stem.lower():
-                found = self._letters(stem)
+                found = packed([t.id for t in tokenize(stem.decode())]) if stem.isalpha() else self._letters(stem)
             if found is None:
                 odd.append(w)
                 continue
